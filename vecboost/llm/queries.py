@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from .embed_dedup import link_vectors
+from .quality import judge_quality
 from .simhash import near_duplicates
+from .toxicity import score_toxicity
 from .url_rules import RULES, judge_urls
 from .warc import archive_digest
 
@@ -14,6 +16,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -26,11 +32,15 @@ def op4_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(table(spark, sf_dir, "pages"), RULES)
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score_toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return archive_digest(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op2_simhash, op3_embeddings, op4_urls, op9_warc)}
+QUERIES = {f.__name__: f for f in (op1_quality, op2_simhash, op3_embeddings, op4_urls, op8_toxicity, op9_warc)}
 
 URLS_SQL = r"""
 WITH cut AS (
