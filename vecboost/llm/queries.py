@@ -5,8 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from .embed_dedup import link_vectors
+from .mixing import mix
+from .packing import pack
 from .quality import judge_quality
 from .simhash import near_duplicates
+from .tokens import token_digests
 from .toxicity import score_toxicity
 from .url_rules import RULES, judge_urls
 from .warc import archive_digest
@@ -32,6 +35,20 @@ def op4_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(table(spark, sf_dir, "pages"), RULES)
 
 
+def op5_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return token_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(table(spark, sf_dir, "documents"))
+
+
+def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix(table(spark, sf_dir, "documents"))
+
+
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -40,7 +57,7 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return archive_digest(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality, op2_simhash, op3_embeddings, op4_urls, op8_toxicity, op9_warc)}
+QUERIES = {f.__name__: f for f in (op1_quality, op2_simhash, op3_embeddings, op4_urls, op5_tokens, op6_packing, op7_mixing, op8_toxicity, op9_warc)}
 
 URLS_SQL = r"""
 WITH cut AS (
