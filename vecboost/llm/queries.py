@@ -9,6 +9,7 @@ from .mixing import mix
 from .packing import pack
 from .quality import judge_quality
 from .simhash import near_duplicates
+from .suffix_dedup import passage_digests
 from .tokens import token_digests
 from .toxicity import score_toxicity
 from .url_rules import RULES, judge_urls
@@ -57,7 +58,11 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return archive_digest(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op1_quality, op2_simhash, op3_embeddings, op4_urls, op5_tokens, op6_packing, op7_mixing, op8_toxicity, op9_warc)}
+def op10_suffix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passage_digests(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_quality, op2_simhash, op3_embeddings, op4_urls, op5_tokens, op6_packing, op7_mixing, op8_toxicity, op9_warc, op10_suffix)}
 
 URLS_SQL = r"""
 WITH cut AS (
