@@ -33,7 +33,8 @@ LENGTH, GRAM = 50, 24
 MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93)]
 KEY_BITS = 39
 POS = np.uint64(30)
-BLOCK = 4 << 20
+#: Sizes of working pieces, which bound memory: bytes of text at a time, stretches held before they are shipped, bytes of one suffix array.
+BLOCK, HELD, ARRAY = 1 << 20, 60_000, 1 << 19
 LAST = np.iinfo(np.int64).max
 
 
@@ -253,7 +254,7 @@ class SuffixDedup:
             docs = spark.read.schema(docs.schema).parquet(f"{self.folder}/input.parquet")
         self.docs, self.id_col, self.text = docs, id_col, text
         self.parts = n_partitions(spark)
-        self.bits = max(1, (self.parts - 1).bit_length())
+        self.bits = max(1, (8 * self.parts - 1).bit_length())
 
     def _read(self) -> DataFrame:
         return self.docs.select(F.col(self.id_col).cast("long").alias("id"), F.col(self.text).alias("text"))
@@ -311,8 +312,30 @@ class SuffixDedup:
             part = TaskContext.get().partitionId()
             shared = [unpack5(r["keys"]) | (r["bucket"] << KEY_BITS) for r in side_blobs(keys_at, part)]
             shared = np.sort(np.concatenate(shared)) if shared else np.zeros(0, np.int64)
+            z = zstandard.ZstdCompressor(level=1)
             seen: dict[bytes, int] = {}
             owner, places, hashes, marks, n_rows = [], [], [], [], 0
+
+            def ship() -> Iterator[pa.RecordBatch]:
+                out = []
+                if marks:
+                    m = np.array(marks, np.int64)
+                    out.append((part % (1 << bits), part, 1, marks_blob(m[:, 0], m[:, 1], m[:, 2])))
+                if owner:
+                    texts, hs, doc = list(seen), np.array(hashes, np.uint64), np.array(owner, np.int64)
+                    bucket = (hs >> np.uint64(64 - bits)).astype(np.int64)
+                    order = np.argsort(bucket, kind="stable")
+                    for group in np.split(order, np.flatnonzero(np.diff(bucket[order])) + 1):
+                        some, at = [texts[g] for g in group.tolist()], [places[g] for g in group.tolist()]
+                        flat = np.array([x for p in at for x in p], "<i4")
+                        arrays = [np.array([len(group), len(flat)], "<i8"), hs[group].astype("<u8"), doc[group].astype("<i8"), np.array([len(s) for s in some], "<i4"), np.array([len(p) for p in at], "<i4"), np.ascontiguousarray(flat.T)]
+                        out.append((int(bucket[group[0]]), part, 0, z.compress(b"".join([*(x.tobytes() for x in arrays), *some]))))
+                for held in (seen, owner, places, hashes, marks):
+                    held.clear()
+                for k in range(0, len(out), 64):
+                    cols = list(zip(*out[k : k + 64]))
+                    yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int32()), pa.array(cols[3], pa.binary())], ["bucket", "part", "kind", "blob"])
+
             for row, buf, ends, (doc_ids,) in blocks(batches, "text", ["id"]):
                 doc_ids = [LAST if d is None else d for d in doc_ids]
                 n_rows = row + len(doc_ids)
@@ -322,8 +345,8 @@ class SuffixDedup:
                 k = keyed(h, bits)
                 i = np.flatnonzero(shared[np.minimum(np.searchsorted(shared, k), len(shared) - 1)] == k)
                 begins = np.concatenate([[0], ends[:-1]])
-                for hh, r, a, z, b in zip(h[i].tolist(), t[i].tolist(), first[i].tolist(), (last[i] + LENGTH).tolist(), begins[t[i]].tolist()):
-                    s, d = buf[a:z], doc_ids[r]
+                for hh, r, a, e, b in zip(h[i].tolist(), t[i].tolist(), first[i].tolist(), (last[i] + LENGTH).tolist(), begins[t[i]].tolist()):
+                    s, d = buf[a:e], doc_ids[r]
                     had = seen.get(s)
                     if had is None:
                         seen[s] = len(owner)
@@ -331,32 +354,17 @@ class SuffixDedup:
                         places.append([(row + r, a - b)])
                         hashes.append(hh)
                     elif d > owner[had]:
-                        marks.append((row + r, a - b, z - b))
+                        marks.append((row + r, a - b, e - b))
                     elif d == owner[had]:
                         places[had].append((row + r, a - b))
                     else:
-                        marks += [(q, x, x + z - a) for q, x in places[had]]
+                        marks += [(q, x, x + e - a) for q, x in places[had]]
                         owner[had], places[had] = d, [(row + r, a - b)]
-            m = np.array(marks, np.int64).reshape(-1, 3)
-            meta = zstandard.ZstdCompressor().compress(np.array([[n_rows], [-1], [-1]], "<i4").tobytes())
-            z = zstandard.ZstdCompressor(level=1)
-            out = [(part % (1 << bits), part, 1, marks_blob(m[:, 0], m[:, 1], m[:, 2])), (part % (1 << bits), part, 2, meta)]
-            if owner:
-                texts = list(seen)
-                hs = np.array(hashes, np.uint64)
-                bucket = (hs >> np.uint64(64 - bits)).astype(np.int64)
-                order = np.argsort(bucket, kind="stable")
-                cuts = np.flatnonzero(np.diff(bucket[order])) + 1
-                doc = np.array(owner, np.int64)
-                for group in np.split(order, cuts):
-                    some, at = [texts[g] for g in group.tolist()], [places[g] for g in group.tolist()]
-                    flat = np.array([x for p in at for x in p], "<i4")
-                    arrays = [np.array([len(group), len(flat)], "<i8"), hs[group].astype("<u8"), doc[group].astype("<i8"), np.array([len(s) for s in some], "<i4"), np.array([len(p) for p in at], "<i4"), np.ascontiguousarray(flat.T)]
-                    body = b"".join([*(x.tobytes() for x in arrays), *some])
-                    out.append((int(bucket[group[0]]), part, 0, z.compress(body)))
-            for k in range(0, len(out), 64):
-                cols = list(zip(*out[k : k + 64]))
-                yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int32()), pa.array(cols[3], pa.binary())], ["bucket", "part", "kind", "blob"])
+                if len(owner) >= HELD or len(marks) >= 8 * HELD:
+                    yield from ship()
+            yield from ship()
+            meta = z.compress(np.array([[n_rows], [-1], [-1]], "<i4").tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array([part % (1 << bits)], pa.int32()), pa.array([part], pa.int32()), pa.array([2], pa.int32()), pa.array([meta], pa.binary())], ["bucket", "part", "kind", "blob"])
 
         return self._read().mapInArrow(run, "bucket int, part int, kind int, blob binary")
 
@@ -402,10 +410,18 @@ class SuffixDedup:
                 lead = np.flatnonzero(~later)  # the records of each stretch's least document
                 lead = lead[np.argsort(cls[lead], kind="stable")]
                 begin = np.searchsorted(cls[lead], np.arange(len(texts) + 1))
-                found = list(owned_by_smaller([texts[c] for c in several], least[several]))
-                more = [(part[i], row[i], at[i] + a, at[i] + z + LENGTH) for s, a, z in found for i in lead[begin[several[s]] : begin[several[s] + 1]]]
-                if more:
-                    marks.append(np.array(more, np.int64).T)
+                several = several[np.argsort(group[several], kind="stable")]  # equal strings have one anchor: arrays may part between anchors
+                upto, new = np.cumsum(size[several]), np.diff(group[several], prepend=-1) != 0
+                piece, last = np.zeros(len(several), np.int64), 0
+                for k in np.flatnonzero(new)[1:]:
+                    if upto[k] - last > ARRAY:
+                        piece[k:] += 1
+                        last = upto[k - 1]
+                for some in np.split(several, np.flatnonzero(np.diff(piece)) + 1):
+                    found = owned_by_smaller([texts[c] for c in some], least[some])
+                    more = [(part[i], row[i], at[i] + a, at[i] + z + LENGTH) for s, a, z in found for i in lead[begin[some[s]] : begin[some[s] + 1]]]
+                    if more:
+                        marks.append(np.array(more, np.int64).T)
             p, r, a, z = np.concatenate(marks, axis=1)
             order = np.argsort(p, kind="stable")
             cuts = np.flatnonzero(np.diff(p[order])) + 1
