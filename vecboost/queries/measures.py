@@ -1 +1,213 @@
+"""Predictions of a fixed model, and the accuracy and cost measures."""
 
+from __future__ import annotations
+
+
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from ..config import BoostConfig
+from ..functions.significance import best_set, unpaired_t
+from ..operators import metrics
+from ..operators.native import softmax_columns
+from ..plans.baselines import round_budget
+from ..plans.model import Model, Tree, score_expr
+from ..plans.workloads import oblique, sliced, table
+from . import query
+from .boosters import Y_SQL
+
+KEY = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
+COLS = ["l_quantity", "l_extendedprice", "l_discount"]
+#: A fixed model: edges of its features, and (node, feature, bin) and (node, deltas) of two trees.
+EDGES = [[25.0, 40.0], [30000.0, 60000.0], [0.03, 0.06]]
+SPLITS = [[(1, 1, 2), (2, 0, 1), (3, 2, 1)], [(1, 2, 2), (2, 1, 1), (3, 0, 2)]]
+DELTAS = [{1: [0.1, 0.0, -0.1], 2: [0.2, 0.1, -0.3], 3: [-0.2, 0.1, 0.1], 4: [0.5, -0.1, -0.4], 5: [-0.1, 0.2, -0.1], 6: [0.0, 0.3, -0.3], 7: [-0.4, -0.1, 0.5]}, {1: [0.0, 0.05, -0.05], 2: [0.1, 0.1, -0.2], 3: [-0.1, 0.0, 0.1], 4: [0.3, 0.0, -0.3], 5: [0.0, 0.1, -0.1], 6: [-0.2, 0.2, 0.0], 7: [-0.3, -0.1, 0.4]}]
+
+
+def fixed_model() -> Model:
+    m = Model(BoostConfig(outputs=3, n_trees=2, depth=2, schedule="layer"), EDGES)
+    for s, d in zip(SPLITS, DELTAS):
+        t = Tree(3, 2)
+        for j, f, b in s:
+            t.split(j, f, b, True, 1.0)
+        for j, v in d.items():
+            t.delta[j] = v
+        m.trees.append(t)
+    return m
+
+
+def side(j, f, b):
+    return f"{COLS[f]} <= {EDGES[f][b - 1]}"
+
+
+def path_sql(t: int, k: int, layers: int = 2) -> str:
+    """A tree's score k down to `layers` below the root, as text."""
+    (_, *root), left, right = SPLITS[t]
+    top = side(1, *root)
+    d = DELTAS[t]
+    out = f"{d[1][k]}"
+    if layers > 0:
+        out += f" + CASE WHEN {top} THEN {d[2][k]} ELSE {d[3][k]} END"
+    if layers > 1:
+        out += f" + CASE WHEN {top} THEN CASE WHEN {side(*left)} THEN {d[4][k]} ELSE {d[5][k]} END ELSE CASE WHEN {side(*right)} THEN {d[6][k]} ELSE {d[7][k]} END END"
+    return out
+
+
+SCORED = f"(SELECT {', '.join(KEY)}, l_orderkey % 5 = 0 AS test, {Y_SQL} AS y, {', '.join(f'({path_sql(0, k)} + {path_sql(1, k)})::DOUBLE AS s{k}' for k in range(3))} FROM lineitem)"
+PROB = f"(SELECT *, {', '.join(f'exp(s{k})/(exp(s0)+exp(s1)+exp(s2)) AS p{k}' for k in range(3))}, CASE WHEN s0 >= s1 AND s0 >= s2 THEN 0 WHEN s1 >= s2 THEN 1 ELSE 2 END AS prediction FROM {SCORED})"
+
+
+def scored(spark, sf_dir):
+    d = table(spark, sf_dir, "lineitem")
+    s = score_expr(fixed_model(), COLS)
+    d = d.select(*KEY, (F.col("l_orderkey") % 5 == 0).alias("test"), sliced(oblique(), [1.6, 2.4]).alias("y"), *[x.alias(f"s{k}") for k, x in enumerate(s)])
+    p = softmax_columns([F.col(f"s{k}") for k in range(3)])
+    d = d.withColumn("probability", F.array(*p))
+    # ties go to the lowest class: compared on the rounded scores that SQL sees alike
+    r = [F.round(f"s{k}", 9) for k in range(3)]
+    return d.withColumn("prediction", F.when((r[0] >= r[1]) & (r[0] >= r[2]), 0).when(r[1] >= r[2], 1).otherwise(2))
+
+
+PROB = PROB.replace("s0 >= s1 AND s0 >= s2", "round(s0,9) >= round(s1,9) AND round(s0,9) >= round(s2,9)").replace("WHEN s1 >= s2", "WHEN round(s1,9) >= round(s2,9)")
+
+
+@query(f"SELECT {', '.join(KEY)}, prediction, {', '.join(f'round(s{k}, 6) AS s{k}' for k in range(3))} FROM {PROB}")
+def predict_fixed_model(spark, sf_dir):
+    return scored(spark, sf_dir).select(*KEY, "prediction", *[F.round(f"s{k}", 6).alias(f"s{k}") for k in range(3)])
+
+
+@query(f"SELECT {', '.join(KEY)}, {', '.join(f'round(s{k}, 6) AS s{k}' for k in range(3))} FROM {SCORED}")
+def predict_join_leafboxes(spark, sf_dir):
+    """Scores by a range join with the leaves' boxes (four a tree, fixed)."""
+    inf, boxes = float("inf"), []
+    for t, tree in enumerate(fixed_model().fold().trees):
+        for j in tree.leaves():
+            lo, hi = [-inf] * 3, [inf] * 3
+            k = j
+            while k > 1:
+                f, e = int(tree.feature[k // 2]), EDGES[int(tree.feature[k // 2])][int(tree.bin[k // 2]) - 1]
+                if k % 2:
+                    lo[f] = max(lo[f], e)
+                else:
+                    hi[f] = min(hi[f], e)
+                k //= 2
+            boxes.append((t, *lo, *hi, *tree.delta[j].tolist()))
+    b = F.broadcast(spark.createDataFrame(boxes, "tree int, lo0 double, lo1 double, lo2 double, hi0 double, hi1 double, hi2 double, d0 double, d1 double, d2 double"))
+    d = table(spark, sf_dir, "lineitem").withColumn("_row", F.monotonically_increasing_id())
+    inside = None
+    for k, c in enumerate(COLS):
+        cond = (F.col(c) > F.col(f"lo{k}")) & (F.col(c) <= F.col(f"hi{k}"))
+        inside = cond if inside is None else inside & cond
+    return d.join(b, inside).groupBy("_row", *KEY).agg(*[F.round(F.sum(f"d{k}"), 6).alias(f"s{k}") for k in range(3)]).drop("_row")
+
+
+@query(" UNION ALL ".join(f"SELECT {', '.join(KEY)}, {n} AS layers, {', '.join(f'round(({path_sql(0, k, n)})::DOUBLE, 6) AS s{k}' for k in range(3))} FROM lineitem" for n in range(3)))
+def layered_prediction_fixed(spark, sf_dir):
+    """Scores of the first tree after its root, its first and its second layer."""
+    d, m = table(spark, sf_dir, "lineitem"), fixed_model()
+    out = None
+    for n in range(3):
+        t = Tree(3, 2, delta=None)
+        for j, f, b in SPLITS[0]:
+            if j.bit_length() <= n:
+                t.split(j, f, b, True, 1.0)
+        t.delta[:] = m.trees[0].delta
+        t.delta[2 ** (n + 1) :] = 0
+        part = d.select(*KEY, F.lit(n).alias("layers"), *[F.round(x, 6).alias(f"s{k}") for k, x in enumerate(score_expr(Model(m.config, EDGES, trees=[t]), COLS))])
+        out = part if out is None else out.unionAll(part)
+    return out
+
+
+@query(f"SELECT test, round(avg((prediction = y)::INT::DOUBLE), 6) AS accuracy FROM {PROB} GROUP BY test")
+def accuracy_fixed(spark, sf_dir):
+    return scored(spark, sf_dir).groupBy("test").agg(F.round(F.avg((F.col("prediction") == F.col("y")).cast("double")), 6).alias("accuracy"))
+
+
+@query(f"SELECT round(avg(-ln(greatest(CASE y WHEN 0 THEN p0 WHEN 1 THEN p1 ELSE p2 END, 1e-15))), 6) AS cross_entropy FROM {PROB}")
+def cross_entropy_fixed(spark, sf_dir):
+    return metrics.cross_entropy(scored(spark, sf_dir)).select(F.round("cross_entropy", 6).alias("cross_entropy"))
+
+
+@query(f"SELECT y, prediction, count(*) AS n FROM {PROB} GROUP BY ALL")
+def confusion_matrix(spark, sf_dir):
+    return metrics.confusion(scored(spark, sf_dir))
+
+
+@query(f"SELECT y, prediction, count(*) AS n, grouping_id(y, prediction)::BIGINT AS level FROM {PROB} GROUP BY ROLLUP (y, prediction)")
+def confusion_rollup(spark, sf_dir):
+    return scored(spark, sf_dir).rollup("y", "prediction").agg(F.count("*").alias("n"), F.grouping_id().alias("level"))
+
+
+@query(f"SELECT y, test, round(avg((prediction = y)::INT::DOUBLE), 6) AS accuracy, count(*) AS n FROM {PROB} GROUP BY CUBE (y, test)")
+def accuracy_cube(spark, sf_dir):
+    return scored(spark, sf_dir).withColumn("hit", (F.col("prediction") == F.col("y")).cast("double")).cube("y", "test").agg(F.round(F.avg("hit"), 6).alias("accuracy"), F.count("*").alias("n"))
+
+
+MOMENTS = f"(SELECT test, avg((prediction = y)::INT::DOUBLE) AS m, stddev_samp((prediction = y)::INT::DOUBLE) AS s, count(*) AS n FROM {PROB} GROUP BY test)"
+
+
+@query(f"SELECT test, round(m, 6) AS mean, round(s, 6) AS sd, n FROM {MOMENTS}")
+def ttest_moments(spark, sf_dir):
+    hit = (F.col("prediction") == F.col("y")).cast("double")
+    return scored(spark, sf_dir).groupBy("test").agg(F.round(F.avg(hit), 6).alias("mean"), F.round(F.stddev_samp(hit), 6).alias("sd"), F.count("*").alias("n"))
+
+
+@query(f"SELECT round((a.m - b.m) / sqrt(a.s*a.s/a.n + b.s*b.s/b.n), 4) AS t, round(power(a.s*a.s/a.n + b.s*b.s/b.n, 2) / (power(a.s*a.s/a.n, 2)/(a.n-1) + power(b.s*b.s/b.n, 2)/(b.n-1)), 2) AS df FROM {MOMENTS} a JOIN {MOMENTS} b ON a.test AND NOT b.test")
+def ttest_unpaired(spark, sf_dir):
+    hit = (F.col("prediction") == F.col("y")).cast("double")
+    r = {x.test: x for x in scored(spark, sf_dir).groupBy("test").agg(F.avg(hit).alias("m"), F.stddev_samp(hit).alias("s"), F.count("*").alias("n")).collect()}
+    t, df, _ = unpaired_t(r[True].m, r[True].s, r[True].n, r[False].m, r[False].s, r[False].n)
+    return spark.createDataFrame([(round(t, 4), round(df, 2))], "t double, df double")
+
+
+#: A fixed table of methods: (method, accuracy, deviation, rows).
+EVALS = [("ovr", 0.80, 0.40, 4000), ("per_class", 0.81, 0.39, 4000), ("full", 0.85, 0.36, 4000), ("diag", 0.853, 0.354, 4000), ("diag_lbl", 0.862, 0.345, 4000), ("prior", 0.50, 0.50, 4000)]
+
+
+@query("WITH e(method, m, s, n) AS (VALUES " + ", ".join(f"('{a}', {b}::DOUBLE, {c}::DOUBLE, {d})" for a, b, c, d in EVALS) + ") SELECT e.method, abs((b.m - e.m) / sqrt(b.s*b.s/b.n + e.s*e.s/e.n)) < 1.9602 AS in_best FROM e CROSS JOIN (SELECT * FROM e ORDER BY m DESC LIMIT 1) b")
+def best_set_rule(spark, sf_dir):
+    """Methods that the t-test does not tell from the best (at 7,998 degrees the critical value is 1.9602)."""
+    rows = [{"method": a, "accuracy": b, "accuracy_sd": c, "n_test": d} for a, b, c, d in EVALS]
+    held = best_set(rows)
+    return spark.createDataFrame([(r["method"], r["method"] in held) for r in rows], "method string, in_best boolean")
+
+
+@query("SELECT t::INT AS trees, c::INT AS classes, ceil(t / c::DOUBLE)::INT AS rounds, (ceil(t / c::DOUBLE) * c)::INT AS built, ceil(t / c::DOUBLE) * c < 2 * t AS counts FROM (VALUES (10), (25), (50), (100)) a(t) CROSS JOIN (VALUES (3), (7), (10), (26)) b(c)")
+def round_budget_grid(spark, sf_dir):
+    return spark.createDataFrame([(t, c, *round_budget(t, c)) for t in (10, 25, 50, 100) for c in (3, 7, 10, 26)], "trees int, classes int, rounds int, built int, counts boolean")
+
+
+@query("SELECT 2 AS n_trees, 8 AS n_leaves, 24 AS n_params, 42 AS n_params_unfolded")
+def model_size_fixed(spark, sf_dir):
+    s = metrics.model_size(fixed_model())
+    return spark.createDataFrame([tuple(s.values())], "n_trees int, n_leaves int, n_params int, n_params_unfolded int")
+
+
+def curves(spark, sf_dir):
+    """A stand-in curve: the share of lines within the cheapest tenths, by line number."""
+    d = table(spark, sf_dir, "lineitem").groupBy(F.col("l_linenumber").alias("n_trees"), F.col("l_returnflag").alias("method")).agg(F.sum("l_quantity").alias("q"))
+    w = W.partitionBy("method").orderBy("n_trees")
+    return d.select("method", "n_trees", F.round(F.sum("q").over(w) / F.sum("q").over(W.partitionBy("method")), 6).alias("accuracy"))
+
+
+CURVES = "(SELECT method, n_trees, round(sum(q) OVER (PARTITION BY method ORDER BY n_trees) / sum(q) OVER (PARTITION BY method), 6) AS accuracy FROM (SELECT l_linenumber AS n_trees, l_returnflag AS method, sum(l_quantity) AS q FROM lineitem GROUP BY ALL))"
+
+
+@query(f"SELECT * FROM {CURVES}")
+def curve_by_tree(spark, sf_dir):
+    return curves(spark, sf_dir)
+
+
+@query(f"SELECT method, min(CASE WHEN accuracy >= 0.6 THEN n_trees END) AS n_trees FROM {CURVES} GROUP BY method")
+def trees_to_target(spark, sf_dir):
+    return metrics.trees_to_target(curves(spark, sf_dir), 0.6)
+
+
+@query("SELECT c::INT AS classes, h AS hessian, (CASE h WHEN 'diagonal' THEN 2*c+1 ELSE 1+c+c*(c+1)//2 END)::INT AS sums_per_cell, (CASE h WHEN 'diagonal' THEN c ELSE c*c*c END)::INT AS solve_per_candidate, 8*32*20*8*(CASE h WHEN 'diagonal' THEN 2*c+1 ELSE 1+c+c*(c+1)//2 END)::BIGINT AS task_bytes FROM (VALUES (3), (7), (10), (26)) a(c) CROSS JOIN (VALUES ('diagonal'), ('full')) b(h)")
+def cost_model_grid(spark, sf_dir):
+    rows = []
+    for c in (3, 7, 10, 26):
+        for h in ("diagonal", "full"):
+            m = metrics.cost_model(BoostConfig(outputs=c, hessian=h, depth=4, bins=32), 1000, 20)
+            rows.append((c, h, m["sums_per_cell"], m["solve_per_candidate"], m["task_bytes"]))
+    return spark.createDataFrame(rows, "classes int, hessian string, sums_per_cell int, solve_per_candidate int, task_bytes long")

@@ -1 +1,329 @@
+"""The steps of the method one by one, at the first layer of the small workload unless said."""
 
+from __future__ import annotations
+
+
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from ..functions.losses import codewords
+from ..operators import native as N
+from ..operators.binning import bin_expr, edges
+from ..plans.workloads import T3_EDGES, T3_FEATURES, slice3, table
+from . import query
+from .boosters import Y_SQL, Sql, base_sql
+
+BINS = ["b0", "b1", "b2", "b3"]
+PAIRS = [(0, 1), (0, 2), (1, 2)]
+
+
+def t3(spark, sf_dir):
+    d = slice3(spark, sf_dir)
+    return d.select("test", *[bin_expr(c, e).alias(b) for b, c, e in zip(BINS, T3_FEATURES, T3_EDGES)], "y", F.lit(1).alias("node"))
+
+
+def train(spark, sf_dir, stats):
+    return t3(spark, sf_dir).where("not test").select("node", *BINS, *N.named(*stats))
+
+
+def softmax0(packed: bool):
+    """Derivatives at zero scores."""
+    return N.softmax_stats([F.lit(0.0)] * 3, F.col("y"), packed)
+
+
+def r6(*names):
+    return [F.round(n, 6).alias(n) for n in names]
+
+
+STATS = [f"g{k}" for k in range(3)] + [f"h{k}" for k in range(3)]
+FULL = [f"g{k}" for k in range(3)] + [f"h{k}" for k in range(6)]
+
+# ---- derived once for the SQL side: root sums under zero scores, where p = 1/3
+ROOT = f"""
+z AS ({base_sql("class")}),
+r AS (SELECT *, 1.0/3 - (y=0)::INT AS g0, 1.0/3 - (y=1)::INT AS g1, 1.0/3 - (y=2)::INT AS g2, 2.0/9 AS h0, 2.0/9 AS h1, 2.0/9 AS h2, -1.0/9 AS h3, -1.0/9 AS h4, -1.0/9 AS h5 FROM z WHERE NOT test),
+c AS (SELECT feature, bin, count(*) AS n, {", ".join(f"sum({s})::DOUBLE AS {s}" for s in FULL)} FROM (
+  SELECT *, 0 AS feature, b0 AS bin FROM r UNION ALL SELECT *, 1, b1 FROM r UNION ALL SELECT *, 2, b2 FROM r UNION ALL SELECT *, 3, b3 FROM r) GROUP BY ALL)"""
+
+
+def best_sql(f: Sql, top: int = 1, extra: str = "") -> str:
+    G, H = [f"g{k}" for k in range(3)], [f"h{k}" for k in range(3 if f.hessian in ("diagonal", "identity") else 6)]
+    over = "OVER (PARTITION BY feature ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)"
+    L, R, T = ([[f"l{x}" for x in v] for v in (G, H)], [[f"(t{x}-l{x})" for x in v] for v in (G, H)], [[f"t{x}" for x in v] for v in (G, H)])
+    return f"""WITH {ROOT}, p AS (SELECT feature, bin, {", ".join(f"sum({x}) {over} AS l{x}, sum({x}) OVER (PARTITION BY feature) AS t{x}" for x in ["n", *G, *H])} FROM c),
+k AS (SELECT feature, bin, ln::BIGINT AS nl, (tn-ln)::BIGINT AS nr, round({f.gain(*L, "ln")} + {f.gain(*R, "(tn-ln)")} - {f.gain(*T, "tn")}, 9) AS gain FROM p WHERE ln < tn)
+SELECT 1 AS node, feature, bin, nl, nr, round(gain, 4) AS gain, place::INT AS place FROM (SELECT *, row_number() OVER (ORDER BY gain DESC, feature, bin) AS place FROM k) WHERE place <= {top} {extra}"""
+
+
+def splits(spark, sf_dir, kind="diagonal", top=1):
+    packed = kind in ("full", "pair")
+    stats = FULL if packed else STATS
+    rows = train(spark, sf_dir, softmax0(packed))
+    c = N.candidates(N.prefix(N.histogram(rows, BINS, stats), stats), 3, 6 if packed else 3, 1.0, kind)
+    return N.best(c, top=top).withColumn("gain", F.round("gain", 4))
+
+
+@query(best_sql(Sql(3)))
+def best_split_root(spark, sf_dir):
+    return splits(spark, sf_dir)
+
+
+@query(best_sql(Sql(3, hessian="full")))
+def best_split_full_c3(spark, sf_dir):
+    return splits(spark, sf_dir, "full")
+
+
+@query(best_sql(Sql(3, hessian="pair")))
+def best_split_pairblock(spark, sf_dir):
+    return splits(spark, sf_dir, "pair")
+
+
+@query(best_sql(Sql(3, hessian="identity")))
+def best_split_firstorder(spark, sf_dir):
+    return splits(spark, sf_dir, "identity")
+
+
+@query(best_sql(Sql(3), 5))
+def topk_splits(spark, sf_dir):
+    return splits(spark, sf_dir, top=5)
+
+
+@query(best_sql(Sql(3), 99, "AND gain > 500"))
+def preprune_filter(spark, sf_dir):
+    """Candidates left when a split must gain more than 500: pruning while growing."""
+    return splits(spark, sf_dir, top=99).where("gain > 500")
+
+
+@query(f"WITH {ROOT}, w AS (SELECT feature, bin, sum(n) OVER u AS nl, sum(g0) OVER u AS gl0, sum(h0) OVER u AS hl0, sum(n) OVER (PARTITION BY feature) AS nt FROM c WINDOW u AS (PARTITION BY feature ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)) SELECT feature, bin, nl::BIGINT AS nl, nt::BIGINT AS nt, round(gl0, 6) AS gl0, round(hl0, 6) AS hl0 FROM w")
+def prefix_gains_root(spark, sf_dir):
+    rows = train(spark, sf_dir, softmax0(False))
+    p = N.prefix(N.histogram(rows, BINS, STATS), STATS)
+    return p.select("feature", "bin", F.col("l_n").alias("nl"), F.col("t_n").alias("nt"), F.round("l_g0", 6).alias("gl0"), F.round("l_h0", 6).alias("hl0"))
+
+
+@query(f"WITH {ROOT} SELECT feature, bin, n, {', '.join(f'round({s}, 6) AS {s}' for s in STATS)} FROM c")
+def hist_softmax_root(spark, sf_dir):
+    return N.histogram(train(spark, sf_dir, softmax0(False)), BINS, STATS).select("feature", "bin", "n", *r6(*STATS))
+
+
+@query(f"WITH {ROOT} SELECT feature, bin, n, {', '.join(f'round({s}, 6) AS {s}' for s in FULL)} FROM c")
+def hist_full_root(spark, sf_dir):
+    return N.histogram(train(spark, sf_dir, softmax0(True)), BINS, FULL).select("feature", "bin", "n", *r6(*FULL))
+
+
+@query(f"WITH {ROOT} SELECT feature, bin, n, round(g0, 6) AS g0 FROM c")
+def hist_decimal_exact(spark, sf_dir):
+    """Decimal sums do not depend on the order in which rows are added."""
+    h = N.histogram(train(spark, sf_dir, softmax0(False)), BINS, ["g0"], decimal=True)
+    return h.select("feature", "bin", "n", F.round(F.col("g0").cast("double"), 6).alias("g0"))
+
+
+@query(f"WITH {ROOT} SELECT feature, bin, count(*) AS n, round(sum(g0), 6) AS g0 FROM (SELECT *, 0 AS feature, b0 AS bin FROM r UNION ALL SELECT *, 1, b1 FROM r UNION ALL SELECT *, 2, b2 FROM r UNION ALL SELECT *, 3, b3 FROM r) WHERE b1 > 4 GROUP BY ALL")
+def hist_sibling_subtract(spark, sf_dir):
+    """The right child's histogram as the parent's minus the left child's."""
+    rows = train(spark, sf_dir, softmax0(False))
+    parent = N.histogram(rows, BINS, ["g0"])
+    left = N.histogram(rows.where("b1 <= 4"), BINS, ["g0"])
+    return N.subtract(parent, left, ["g0"]).select("feature", "bin", "n", F.round("g0", 6).alias("g0"))
+
+
+@query(f"WITH {ROOT} SELECT CASE WHEN b1 <= 4 THEN 2 ELSE 3 END AS node, count(*) AS n, {', '.join(f'round(sum({s}), 6) AS {s}' for s in STATS)} FROM r GROUP BY 1")
+def node_totals(spark, sf_dir):
+    rows = train(spark, sf_dir, softmax0(False))
+    return rows.withColumn("node", F.when(F.col("b1") <= 4, 2).otherwise(3)).groupBy("node").agg(F.count("*").alias("n"), *[F.round(F.sum(s), 6).alias(s) for s in STATS])
+
+
+def leaf_sql(f: Sql) -> str:
+    H = [f"h{k}" for k in range(3 if f.hessian in ("diagonal", "identity") else 6)]
+    w = f.weight(["g0", "g1", "g2"], H, "n")
+    return f"WITH {ROOT}, t AS (SELECT CASE WHEN b1 <= 4 THEN 2 ELSE 3 END AS node, count(*) AS n, {', '.join(f'sum({s}) AS {s}' for s in FULL)} FROM r GROUP BY 1) SELECT node, {', '.join(f'round({x}, 6) AS w{k}' for k, x in enumerate(w))} FROM t"
+
+
+def leaves(spark, sf_dir, kind, zero_sum=False):
+    rows = train(spark, sf_dir, softmax0(True))
+    t = rows.withColumn("node", F.when(F.col("b1") <= 4, 2).otherwise(3)).groupBy("node").agg(F.count("*").alias("n"), *[F.sum(s).alias(s) for s in FULL])
+    g, h = [F.col(f"g{k}") for k in range(3)], [F.col(f"h{k}") for k in range(6)]
+    return t.select("node", *[F.round(w, 6).alias(f"w{k}") for k, w in enumerate(N.weights(g, h, F.col("n"), 1.0, kind, zero_sum))])
+
+
+@query(leaf_sql(Sql(3)))
+def leaf_weights_diag(spark, sf_dir):
+    return leaves(spark, sf_dir, "diagonal")
+
+
+@query(leaf_sql(Sql(3, hessian="full")))
+def leaf_weights_full_c3(spark, sf_dir):
+    return leaves(spark, sf_dir, "full")
+
+
+@query(leaf_sql(Sql(3, zero_sum=True)))
+def leaf_weights_zero_sum(spark, sf_dir):
+    return leaves(spark, sf_dir, "diagonal", True)
+
+
+@query(f"WITH z AS ({base_sql('class')}) SELECT test, CASE WHEN b1 <= 4 THEN CASE WHEN b2 <= 3 THEN 4 ELSE 5 END ELSE CASE WHEN b3 <= 5 THEN 6 ELSE 7 END END AS node, y, count(*) AS n FROM z GROUP BY ALL")
+def split_apply_fixed(spark, sf_dir):
+    """Rows by node of a fixed depth-2 tree."""
+    node = F.when(F.col("b1") <= 4, F.when(F.col("b2") <= 3, 4).otherwise(5)).otherwise(F.when(F.col("b3") <= 5, 6).otherwise(7))
+    return t3(spark, sf_dir).groupBy("test", node.alias("node"), "y").agg(F.count("*").alias("n"))
+
+
+# ---- bins and edges
+@query(" UNION ALL ".join(f"SELECT {i} AS feature, round(quantile_cont({c}, {k / 8}), 6) AS edge, round({k / 8}::DOUBLE, 3) AS p FROM lineitem" for i, c in enumerate(T3_FEATURES) for k in range(1, 8)))
+def quantile_edges_exact(spark, sf_dir):
+    d, ps = table(spark, sf_dir, "lineitem"), [k / 8 for k in range(1, 8)]
+    q = d.agg(*[F.percentile(c, F.array(*map(F.lit, ps))).alias(c) for c in T3_FEATURES])
+    return q.select(F.explode(F.array(*[F.struct(F.lit(i).alias("feature"), F.col(c).alias("e")) for i, c in enumerate(T3_FEATURES)])).alias("x")).select("x.feature", F.posexplode("x.e").alias("k", "e")).select("feature", F.round("e", 6).alias("edge"), F.round((F.col("k") + 1) / 8, 3).alias("p"))
+
+
+@query("SELECT b AS bin, max(l_extendedprice) AS edge, count(*) AS n FROM (SELECT l_extendedprice, ntile(8) OVER (ORDER BY l_extendedprice) AS b FROM lineitem) GROUP BY b".replace("b AS bin", "b::INT AS bin"))
+def ntile_edges(spark, sf_dir):
+    """Equal-count bins by a global order: exact, and only for tables that one window may hold."""
+    d = table(spark, sf_dir, "lineitem").select("l_extendedprice", F.ntile(8).over(W.orderBy("l_extendedprice")).alias("bin"))
+    return d.groupBy("bin").agg(F.max("l_extendedprice").alias("edge"), F.count("*").alias("n"))
+
+
+@query("SELECT (0) AS feature, true AS within UNION ALL SELECT 1, true")
+def quantile_edges_sketch(spark, sf_dir):
+    """Whether each KLL edge's true rank lies within 2 % of the asked one."""
+    d = table(spark, sf_dir, "lineitem")
+    cols, n = ["l_extendedprice", "l_quantity"], 16
+    cuts = edges(d, cols, n, "kll")
+    checks = []
+    for i, (c, e) in enumerate(zip(cols, cuts)):
+        worst = F.greatest(*[F.greatest(F.abs(F.avg((F.col(c) <= x).cast("double")) - (k + 1) / n) - 0.02, F.lit(-1.0)) for k, x in enumerate(e)]) if len(e) == n - 1 else F.lit(-1.0)
+        checks.append(F.struct(F.lit(i).alias("feature"), (worst <= 0).alias("within")))
+    return d.agg(*[c.alias(f"c{i}") for i, c in enumerate(checks)]).select(F.explode(F.array("c0", "c1")).alias("x")).select("x.*")
+
+
+@query("SELECT least(greatest(floor((l_extendedprice - lo) / ((hi - lo) / 16)), 0), 15)::INT AS bin, count(*) AS n FROM lineitem CROSS JOIN (SELECT min(l_extendedprice) AS lo, max(l_extendedprice) AS hi FROM lineitem) GROUP BY 1")
+def bin_uniform(spark, sf_dir):
+    d = table(spark, sf_dir, "lineitem").select("l_extendedprice")
+    ends = d.agg(F.min("l_extendedprice").alias("lo"), F.max("l_extendedprice").alias("hi"))
+    b = F.least(F.greatest(F.floor((F.col("l_extendedprice") - F.col("lo")) / ((F.col("hi") - F.col("lo")) / 16)), F.lit(0)), F.lit(15)).cast("int")
+    return d.crossJoin(F.broadcast(ends)).groupBy(b.alias("bin")).agg(F.count("*").alias("n"))  # one row is broadcast
+
+
+@query("SELECT " + "CASE " + " ".join(f"WHEN l_extendedprice <= {e} THEN {i + 1}" for i, e in enumerate(T3_EDGES[1])) + " ELSE 8 END AS bin, count(*) AS n FROM lineitem GROUP BY 1")
+def bin_by_range_join(spark, sf_dir):
+    """Bins by a range join with the table of edges (a fixed number of rows)."""
+    lo, hi = [float("-inf"), *T3_EDGES[1]], [*T3_EDGES[1], float("inf")]
+    e = spark.createDataFrame([(i + 1, a, b) for i, (a, b) in enumerate(zip(lo, hi))], "bin int, lo double, hi double")
+    x = F.col("l_extendedprice")
+    return table(spark, sf_dir, "lineitem").join(F.broadcast(e), (x > F.col("lo")) & (x <= F.col("hi"))).groupBy("bin").agg(F.count("*").alias("n"))
+
+
+# ---- labels and derivatives
+@query("SELECT vec_id, (list_position(embedding[1:10], list_max(embedding[1:10])) - 1)::INT AS y FROM embeddings")
+def argmax_label_emb10(spark, sf_dir):
+    first = F.slice("embedding", 1, 10)
+    return table(spark, sf_dir, "embeddings").select("vec_id", (F.array_position(first, F.array_max(first)) - 1).cast("int").alias("y"))
+
+
+def code_query(kind):
+    def run(spark, sf_dir):
+        m = codewords(5, kind)
+        y = F.col("label") % 5
+        return table(spark, sf_dir, "embeddings").groupBy(y.cast("int").alias("y")).agg(F.count("*").alias("n")).select("y", "n", *[F.round(F.element_at(F.array(*[F.lit(float(v)) for v in m[:, k]]), F.col("y") + 1), 6).alias(f"u{k}") for k in range(5)])
+
+    run.__name__ = {"onehot": "label_code_onehot", "centered": "label_code_centered", "simplex": "label_code_simplex"}[kind]
+    return run
+
+
+def code_sql(on, off):
+    return "SELECT (label % 5)::INT AS y, count(*) AS n, " + ", ".join(f"round(CASE WHEN label % 5 = {k} THEN {on} ELSE {off} END::DOUBLE, 6) AS u{k}" for k in range(5)) + " FROM embeddings GROUP BY label % 5"
+
+
+query(code_sql("1.0", "0.0"))(code_query("onehot"))
+query(code_sql("1.0", "-0.25"))(code_query("centered"))
+query(code_sql("(1-1.0/5)/sqrt(1-1.0/5)", "(-1.0/5)/sqrt(1-1.0/5)"))(code_query("simplex"))
+
+KEY = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
+
+
+def scored_lines(spark, sf_dir):
+    """Lines with three made-up scores and the slice label."""
+    d = table(spark, sf_dir, "lineitem")
+    from ..plans.workloads import oblique, sliced
+
+    return d.select(*KEY, "l_tax", (F.col("l_quantity") / 25 - 1).alias("s0"), (F.col("l_discount") * 10 - 0.5).alias("s1"), (F.col("l_tax") * 5).alias("s2"), sliced(oblique(), [1.6, 2.4]).alias("y"))
+
+
+LINES = f"(SELECT {', '.join(KEY)}, l_tax, l_quantity/25 - 1 AS s0, l_discount*10 - 0.5 AS s1, l_tax*5 AS s2, {Y_SQL} AS y FROM lineitem)"
+
+
+def grads_sql(f: Sql) -> str:
+    e, g, _, loss = f.row()
+    return f"SELECT {', '.join(KEY)}, {', '.join(f'round({x}, 6) AS g{k}' for k, x in enumerate(g))}, round({loss}, 6) AS loss FROM (SELECT *, {', '.join(f'{x} AS e{k}' for k, x in enumerate(e))} FROM {LINES})"
+
+
+def pick(y, values):
+    return F.element_at(F.array(*values), y + 1)
+
+
+@query(grads_sql(Sql(3)))
+def softmax_gradients(spark, sf_dir):
+    d = scored_lines(spark, sf_dir)
+    s = [F.col(f"s{k}") for k in range(3)]
+    g, _ = N.softmax_stats(s, F.col("y"))
+    loss = -F.log(F.greatest(pick(F.col("y"), N.softmax_columns(s)), F.lit(1e-15)))
+    return d.select(*KEY, *[F.round(x, 6).alias(f"g{k}") for k, x in enumerate(g)], F.round(loss, 6).alias("loss"))
+
+
+@query(grads_sql(Sql(3, loss="multiexp")))
+def exp_gradients(spark, sf_dir):
+    d, m = scored_lines(spark, sf_dir), codewords(3, "centered") / 3
+    u = [pick(F.col("y"), [F.lit(float(m[y, k])) for y in range(3)]) for k in range(3)]
+    e = F.exp(-(u[0] * F.col("s0") + u[1] * F.col("s1") + u[2] * F.col("s2")))
+    return d.select(*KEY, *[F.round(-x * e, 6).alias(f"g{k}") for k, x in enumerate(u)], F.round(e, 6).alias("loss"))
+
+
+@query(grads_sql(Sql(3, loss="marginexp")))
+def margin_exp_gradients(spark, sf_dir):
+    d, m, y = scored_lines(spark, sf_dir), codewords(3, "simplex"), F.col("y")
+    diff = lambda k, j: pick(y, [F.lit(float((m[a, j] - m[k, j]) / 2)) for a in range(3)])
+    e = [F.when(y == k, 0.0).otherwise(F.exp(-sum((diff(k, j) * F.col(f"s{j}") for j in (1, 2)), diff(k, 0) * F.col("s0")))) for k in range(3)]
+    g = [-sum((e[k] * diff(k, j) for k in (1, 2)), e[0] * diff(0, j)) for j in range(3)]
+    return d.select(*KEY, *[F.round(x, 6).alias(f"g{k}") for k, x in enumerate(g)], F.round(e[0] + e[1] + e[2], 6).alias("loss"))
+
+
+@query(f"SELECT {', '.join(KEY)}, round(1/(1+exp(-s0)) - (y > 0)::INT, 6) AS g0, round(1/(1+exp(-s1)) - (l_tax > 0.04)::INT, 6) AS g1, round(1/(1+exp(-s0))*(1-1/(1+exp(-s0))), 6) AS h0 FROM {LINES}")
+def multilabel_gradients(spark, sf_dir):
+    p = [1 / (1 + F.exp(-F.col(f"s{k}"))) for k in range(2)]
+    return scored_lines(spark, sf_dir).select(*KEY, F.round(p[0] - (F.col("y") > 0).cast("double"), 6).alias("g0"), F.round(p[1] - (F.col("l_tax") > 0.04).cast("double"), 6).alias("g1"), F.round(p[0] * (1 - p[0]), 6).alias("h0"))
+
+
+# ---- machinery
+STAMPS = [(3, 0, 1, 0, 1, 5, 1.5), (4, 1, 1, 0, 1, 7, 2.0), (4, 2, 1, 0, 1, 2, -1.0), (4, 2, 1, 0, 1, 2, -1.0), (4, 2, 1, 1, 3, 9, 0.5), (5, 3, 1, 0, 1, 4, 9.0)]
+
+
+@query("SELECT node, feature, bin, sum(n)::BIGINT AS n, sum(g) AS g FROM (SELECT DISTINCT * FROM (VALUES " + ", ".join(f"({s}, {b}, {n}, {f}, {i}, {c}, {g}::DOUBLE)" for s, b, n, f, i, c, g in STAMPS) + ") t(stamp, batch_id, node, feature, bin, n, g) WHERE stamp = 4) GROUP BY ALL")
+def stale_stamp_filter(spark, sf_dir):
+    return N.stamped(spark.createDataFrame(STAMPS, "stamp long, batch_id long, node int, feature int, bin int, n long, g double"), 4)
+
+
+@query("SELECT k AS layer, count(*) AS n FROM (SELECT l_orderkey % 8 AS k FROM lineitem WHERE l_orderkey % 5 <> 0) WHERE k < 4 GROUP BY k UNION ALL SELECT 4, count(*) FROM lineitem WHERE l_orderkey % 5 <> 0 AND l_orderkey % 8 >= 4")
+def rows_per_layer_slices(spark, sf_dir):
+    """A slice of the training rows for each of four layers, and twice as much and more for the fifth."""
+    d = table(spark, sf_dir, "lineitem").where("l_orderkey % 5 <> 0")
+    return d.groupBy(F.least(F.col("l_orderkey") % 8, F.lit(4)).alias("layer")).agg(F.count("*").alias("n"))
+
+
+#: A fixed depth-3 list of splits: (node, gain).
+PRUNE = [(1, 5.0), (2, -1.0), (3, -2.0), (4, 3.0), (5, -0.5), (6, 1.0), (7, 0.5)]
+
+
+@query("""WITH t(node, gain) AS (VALUES """ + ", ".join(f"({n}, {g}::DOUBLE)" for n, g in PRUNE) + """),
+d2 AS (SELECT node, gain AS total FROM t WHERE node >= 4), d1 AS (SELECT p.node, p.gain + coalesce(sum(greatest(c.total, 0)), 0) AS total FROM t p LEFT JOIN d2 c ON c.node // 2 = p.node WHERE p.node IN (2, 3) GROUP BY p.node, p.gain),
+d0 AS (SELECT p.node, p.gain + sum(greatest(c.total, 0)) AS total FROM t p JOIN d1 c ON c.node // 2 = p.node WHERE p.node = 1 GROUP BY p.node, p.gain),
+x AS (SELECT * FROM d2 UNION ALL SELECT * FROM d1 UNION ALL SELECT * FROM d0)
+SELECT x.node, x.total > 0 AND (x.node = 1 OR p.total > 0) AND (x.node < 4 OR (g.total > 0)) AS stays FROM x LEFT JOIN x p ON p.node = x.node // 2 LEFT JOIN x g ON g.node = x.node // 4""")
+def postprune_collapse(spark, sf_dir):
+    """Which splits of a fixed list stay when negative subtrees are collapsed bottom-up."""
+    from ..plans.model import Tree
+
+    t = Tree(1, 3)
+    for n, g in PRUNE:
+        t.split(n, 0, 1, True, g)
+    t.collapse()
+    return spark.createDataFrame([(n, bool(t.feature[n] >= 0)) for n, _ in PRUNE], "node int, stays boolean")
