@@ -190,7 +190,7 @@ def score(df: DataFrame, model: Model, keep: list[str], n_trees: int | None = No
     from pyspark.sql.types import ArrayType, DoubleType, IntegerType, StructField, StructType
 
     kept = df.select(*keep).schema.fields
-    return df.select("bins", *keep).mapInArrow(run, StructType([*kept, StructField("scores", ArrayType(DoubleType())), StructField("probability", ArrayType(DoubleType())), StructField("prediction", IntegerType())]))
+    return df.select(*dict.fromkeys(["bins", *keep])).mapInArrow(run, StructType([*kept, StructField("scores", ArrayType(DoubleType())), StructField("probability", ArrayType(DoubleType())), StructField("prediction", IntegerType())]))
 
 
 def score_expr(model: Model, cols: list[str]) -> list:
