@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.arrays import to_bytes
+
 MISSING = 0  # the bin of null and NaN
 
 
@@ -56,6 +58,12 @@ def bin_expr(col, cuts: list[float]):
     return F.when(x.isNull() | F.isnan(x), F.lit(MISSING)).otherwise(tree(0, len(cuts))).cast("int")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """df over as many tasks as there are cores, if it has fewer: a small single file would keep one core busy."""
+    n = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(n) if df.rdd.getNumPartitions() < n else df
+
+
 def binned(df: DataFrame, features: str | list[str], cuts: list[list[float]], keep: list[str]) -> DataFrame:
     """(bins BINARY: a byte a feature, *keep). features: an array column, or a list of numeric columns."""
     x = F.col(features).cast("array<double>") if isinstance(features, str) else F.array(*[F.col(c).cast("double") for c in features])
@@ -70,9 +78,8 @@ def binned(df: DataFrame, features: str | list[str], cuts: list[list[float]], ke
             for f in range(m):
                 out[:, f] = np.searchsorted(held[f], flat[:, f], side="left") + 1
             out[np.isnan(flat)] = MISSING
-            raw = out.tobytes()
-            yield pa.RecordBatch.from_arrays([pa.array([raw[k * m : (k + 1) * m] for k in range(n)], pa.binary()), *(b.column(c) for c in keep)], ["bins", *keep])
+            yield pa.RecordBatch.from_arrays([to_bytes(out), *(b.column(c) for c in keep)], ["bins", *keep])
 
     from pyspark.sql.types import BinaryType, StructField, StructType
 
-    return df.select(x.alias("_x"), *keep).mapInArrow(run, StructType([StructField("bins", BinaryType()), *kept]))
+    return spread(df.select(x.alias("_x"), *keep)).mapInArrow(run, StructType([StructField("bins", BinaryType()), *kept]))

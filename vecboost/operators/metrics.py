@@ -9,10 +9,11 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..config import BoostConfig
+from ..functions.arrays import byte_matrix
 from ..functions.losses import loss_of
 from ..functions.solve import hessian_of
 from ..plans.boost import targets, training_loss
-from ..plans.model import Model, bin_matrix, score
+from ..plans.model import Model, score
 
 CLIP = 1e-15
 
@@ -45,7 +46,7 @@ def curve(base: DataFrame, model: Model) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            x, y = bin_matrix(b.column("bins")), targets(b, "class")
+            x, y = byte_matrix(b.column("bins")), targets(b, "class")
             s, hit, ent = np.tile(model.base, (len(x), 1)), [], []
             for t in model.trees:
                 t.descend(x, s)
@@ -108,7 +109,7 @@ def taylor_gap(base: DataFrame, model: Model, first: int) -> tuple[float, float]
     def run(batches):
         for b in batches:
             if b.num_rows:
-                x, y = bin_matrix(b.column("bins")), targets(b, loss.kind)
+                x, y = byte_matrix(b.column("bins")), targets(b, loss.kind)
                 s, t = model.scores(x, first), model.scores(x)
                 d = t - s
                 told = (loss.grad(s, y) * d).sum() + 0.5 * np.einsum("ia,iab,ib->", d, loss.full(s, y), d)

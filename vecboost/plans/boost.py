@@ -16,9 +16,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import BoostConfig
+from ..functions.arrays import byte_matrix, list_matrix, to_lists
 from ..functions.losses import loss_of
 from ..functions.solve import hessian_of
-from .model import Model, Tree, bin_matrix
+from .model import Model, Tree
 
 SPLIT = "tree int, node int, feature int, bin int, default_left boolean, gain double, n long, nl long, nr long, w array<double>, wl array<double>, wr array<double>"
 GAIN_DIGITS = 9
@@ -41,7 +42,7 @@ def targets(batch: pa.RecordBatch, kind: str) -> np.ndarray:
         return y.to_numpy(zero_copy_only=False).astype(np.int64)
     if kind == "binary":
         return y.to_numpy(zero_copy_only=False).astype(np.float64)
-    return np.stack([np.asarray(v, np.float64) for v in y.to_pylist()]) if batch.num_rows else np.zeros((0, 1))
+    return list_matrix(y).astype(np.float64)
 
 
 def layer_sums(base: DataFrame, model: Model, wips: list[Wip], fresh: bool, hessian_scale: float | None = None) -> DataFrame:
@@ -60,8 +61,8 @@ def layer_sums(base: DataFrame, model: Model, wips: list[Wip], fresh: bool, hess
         for b in batches:
             if not b.num_rows:
                 continue
-            x, y = bin_matrix(b.column("bins")), targets(b, loss.kind)
-            s = np.stack(b.column("scores").to_pylist()) if carried else model.scores(x)
+            x, y = byte_matrix(b.column("bins")), targets(b, loss.kind)
+            s = list_matrix(b.column("scores")).copy() if carried else model.scores(x)
             w = b.column("weight").to_numpy(zero_copy_only=False)[:, None] if weighted else None
             spots = [t.tree.descend(x, s if fresh else None) for t in wips]
             g = loss.grad(s, y)
@@ -271,7 +272,7 @@ def training_loss(base: DataFrame, model: Model, by_class: bool = False):
             if b.num_rows:
                 y = targets(b, loss.kind)
                 k = y if loss.kind == "class" else np.zeros(len(y), int)
-                v = loss.value(model.scores(bin_matrix(b.column("bins"))), y)
+                v = loss.value(model.scores(byte_matrix(b.column("bins"))), y)
                 yield pa.RecordBatch.from_pydict({"k": pa.array(np.arange(cfg.outputs), pa.int32()), "v": np.bincount(k, v, cfg.outputs), "n": np.bincount(k, minlength=cfg.outputs).astype(float)})
 
     sums = base.select("bins", "y").mapInArrow(run, "k int, v double, n double").groupBy("k").agg(F.sum("v").alias("v"), F.sum("n").alias("n")).collect()
@@ -288,12 +289,12 @@ def carry(base: DataFrame, model: Model, first: int, scored: DataFrame | None, k
 
     def run(batches):
         for b in batches:
-            s = np.stack(b.column("scores").to_pylist()).copy() if had and b.num_rows else np.tile(model.base, (b.num_rows, 1))
+            s = list_matrix(b.column("scores")).copy() if had and b.num_rows else np.tile(model.base, (b.num_rows, 1))
             if b.num_rows:
-                x = bin_matrix(b.column("bins"))
+                x = byte_matrix(b.column("bins"))
                 for t in trees:
                     t.descend(x, s)
-            yield pa.RecordBatch.from_arrays([*(b.column(f.name) for f in fields), pa.array(list(s) if len(s) else [], pa.list_(pa.float64()))], [*(f.name for f in fields), "scores"])
+            yield pa.RecordBatch.from_arrays([*(b.column(f.name) for f in fields), to_lists(s)], [*(f.name for f in fields), "scores"])
 
     from pyspark.sql.types import ArrayType, DoubleType, StructField, StructType
 

@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import BoostConfig
+from ..functions.arrays import byte_matrix, to_lists
 from ..functions.losses import loss_of
 
 NODE = "tree int, node int, layer int, is_leaf boolean, feature int, bin int, edge double, default_left boolean, delta array<double>, n long, gain double, target_class int, stamp long"
@@ -170,22 +171,16 @@ class Model:
         return out
 
 
-def bin_matrix(column: pa.Array) -> np.ndarray:
-    """Rows x features of a binary column of equal lengths."""
-    rows = column.to_pylist()
-    return np.frombuffer(b"".join(rows), np.uint8).reshape(len(rows), -1)
-
-
 def score(df: DataFrame, model: Model, keep: list[str], n_trees: int | None = None) -> DataFrame:
     """(keep, scores, prediction) of binned rows: the folded model goes to every task, rows don't move."""
     folded, loss = model.fold(), loss_of(model.config.loss, model.config.outputs, model.config.label_encoding)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            s = folded.scores(bin_matrix(b.column("bins")), n_trees) if b.num_rows else np.zeros((0, folded.config.outputs))
+            s = folded.scores(byte_matrix(b.column("bins")), n_trees) if b.num_rows else np.zeros((0, folded.config.outputs))
             p = loss.predict(s)
             best = (p[:, 0] >= 0.5).astype(np.int32) if loss.kind == "binary" else p.argmax(axis=1).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(list(s), pa.list_(pa.float64())), pa.array(list(p), pa.list_(pa.float64())), pa.array(best)], [*keep, "scores", "probability", "prediction"])
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), to_lists(s), to_lists(p), pa.array(best)], [*keep, "scores", "probability", "prediction"])
 
     from pyspark.sql.types import ArrayType, DoubleType, IntegerType, StructField, StructType
 
