@@ -10,7 +10,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD, prefix_sums
+from .common import WORD, prefix_sums, spread
 
 #: Lengths up to EXACT are their own grid point; above, grid points lie within one part in STEPS of each other.
 EXACT, STEPS = 1024, 256
@@ -73,7 +73,7 @@ def pack(docs: DataFrame, budget: int = 16_384, buckets: int = 16, id_col: str =
     texts count one token (their end); null ids and repeated rows are placed each; an empty table gives no rows.
     Other columns are not read.
     """
-    sized = docs.select(F.col(id_col).alias("_id"), F.greatest(n_words(F.col(text)), F.lit(1)).alias("n_tokens"))
+    sized = spread(docs.select(F.col(id_col).alias("_id"), F.col(text).alias("_text"))).select("_id", F.greatest(n_words(F.col("_text")), F.lit(1)).alias("n_tokens"))
     bounds = bucket_bounds(sized, buckets) if bounds is None else bounds
     length = F.lit(None).cast("long")
     for b in sorted(bounds, reverse=True):

@@ -15,6 +15,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import spread
+
 BLANK, SYMBOLS = b" \t\n\r\x0b\x0c", b"#*$%&|<>"
 UPPER, DIGITS = bytes(range(65, 91)), bytes(range(48, 58))
 MARKS = b"!?.,;:-_\"'()[]{}/\\+=@~^`"
@@ -75,7 +77,7 @@ def statistics(docs: DataFrame, id_col: str = "doc_id", text: str = "text", carr
             cols = list(zip(*rows)) or [()] * len(COUNTS)
             yield pa.RecordBatch.from_arrays([b.column(c) for c in (id_col, *carry)] + [pa.array(c, pa.int64()) for c in cols], [id_col, *carry, *COUNTS])
 
-    read = docs.select(id_col, *carry, F.col(text).alias("_text"))
+    read = spread(docs.select(id_col, *carry, F.col(text).alias("_text")))
     return read.mapInArrow(run, ", ".join([f"`{c}` {kinds[c]}" for c in (id_col, *carry)] + [f"{c} long" for c in COUNTS]))
 
 

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, cut, unite
+from .common import components, cut, spread, unite
 
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 SEED, SHINGLE, RADIUS = 42, 3, 3
@@ -48,7 +48,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text") ->
             fps = [fingerprint(t or b"") for t in b.column("text").cast(pa.binary()).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(np.array(fps, np.uint64).view(np.int64))], ["id", "fp"])
 
-    return docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).mapInArrow(run, f"id {kind}, fp long")
+    return spread(docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"))).mapInArrow(run, f"id {kind}, fp long")
 
 
 def hamming(a, b):

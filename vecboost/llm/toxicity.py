@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import spread
+
 #: Character classes: 0 a boundary (anything else), 1 to 26 the letters, 27 any byte beyond ASCII.
 CLASSES, ORDER = 28, 4
 CLASS = np.zeros(256, np.int32)
@@ -65,7 +67,7 @@ def gram_counts(docs: DataFrame, text: str = "text") -> np.ndarray:
         cells = np.nonzero(total)[0]
         yield pa.RecordBatch.from_pydict({"code": pa.array(cells, pa.int32()), "n": pa.array(total[cells], pa.int64())})
 
-    sums = docs.select(F.col(text).alias("text")).mapInArrow(run, "code int, n long").groupBy("code").agg(F.sum("n").alias("n")).toPandas()
+    sums = spread(docs.select(F.col(text).alias("text"))).mapInArrow(run, "code int, n long").groupBy("code").agg(F.sum("n").alias("n")).toPandas()
     out = np.zeros(CLASSES**ORDER, np.float64)
     out[sums["code"].to_numpy()] = sums["n"].to_numpy()
     return out
@@ -241,7 +243,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
     cost = language_model(gram_counts(docs, text))
     some = labels.where(F.col(id_col).isNotNull() & F.col(label).isin(0, 1) & ~held_out(id_col)).groupBy(id_col).agg(F.max(label).alias("_y"))
     some = some.orderBy(F.xxhash64(id_col), id_col).limit(sample)  # bounds what is broadcast and collected
-    known = docs.select(F.col(id_col), F.col(text).alias("text")).join(F.broadcast(some), id_col).select("text", "_y")
+    known = spread(docs.select(F.col(id_col), F.col(text).alias("text")).join(F.broadcast(some), id_col).select("text", "_y"))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reader, seen = Reader(cost), (Counter(), Counter())
@@ -287,7 +289,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", t
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([score(t or b"") for t in b.column("text").cast(pa.binary()).to_pylist()], pa.float64())], ["id", "score"])
 
-    scored = docs.select(F.col(id_col).alias("id"), F.col(text).alias("text")).mapInArrow(run, f"id {kind}, score double")
+    scored = spread(docs.select(F.col(id_col).alias("id"), F.col(text).alias("text"))).mapInArrow(run, f"id {kind}, score double")
     return scored.select(F.col("id").alias(id_col), F.coalesce(held_out("id"), F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
