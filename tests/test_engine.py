@@ -6,7 +6,7 @@ from vecboost.config import BoostConfig
 from vecboost.operators import metrics
 from vecboost.operators.binning import array_edges, bin_expr, binned, edges
 from vecboost.plans import baselines, presets
-from vecboost.plans.boost import fit, training_loss
+from vecboost.plans.boost import fit, quota_slice, training_loss
 from vecboost.plans.estimator import VectorBoost, register
 from vecboost.plans.model import Model, score, score_expr
 from vecboost.plans.tuning import random_search
@@ -142,3 +142,18 @@ def test_save_load_resume_estimator_sql(spark, data, tmp_path):
     register(spark, m)
     assert spark.sql("SELECT size(boost_score(array(0.1D, 0.2D, 0.3D))) n").first().n == 3
     assert spark.sql("SELECT count(*) n FROM boost_nodes()").first().n == sum(len(t.leaves()) for t in m.trees)
+
+
+def test_carried_scores_over_a_rebase_are_the_stateless_ones(data, monkeypatch):
+    _, base, cuts, bins, _ = data
+    monkeypatch.setattr("vecboost.plans.boost.REBASE", 2)
+    cfg = BoostConfig(outputs=3, n_trees=5, depth=1)
+    a, b = fit(base, cfg, cuts), fit(base, cfg.but(rescore="stateless"), cuts)
+    np.testing.assert_allclose(a.scores(bins.astype(np.uint8)), b.scores(bins.astype(np.uint8)), atol=1e-12)
+
+
+def test_quota_draws_equal_rows_one_by_one(spark):
+    same = spark.range(20_000).selectExpr("id as key", "cast('ab' as binary) as bins", "1 as y")
+    for layer in range(3):
+        assert 1800 < quota_slice(same, 2000, 20_000, layer, 0, 7).count() < 2200
+    assert quota_slice(same, 30_000, 20_000, 0, 0, 7) is same

@@ -23,6 +23,8 @@ from .model import Model, Tree
 
 SPLIT = "tree int, node int, feature int, bin int, default_left boolean, gain double, n long, nl long, nr long, w array<double>, wl array<double>, wr array<double>"
 GAIN_DIGITS = 9
+#: Rounds between two scorings of all rows by the whole model.
+REBASE = 10
 
 
 @dataclass
@@ -162,12 +164,12 @@ def best_splits(sums: DataFrame, cfg: BoostConfig, scalar: bool) -> DataFrame:
     return each.groupBy("tree", "node").agg(F.max_by(F.struct(*each.columns), rank).alias("b")).select("b.*")
 
 
-def grow_layer(base: DataFrame, model: Model, wips: list[Wip], layer: int, fresh: bool) -> bool:
-    """Adds one layer below the open nodes of every tree; False if nothing could be split."""
+def grow_layer(base: DataFrame, model: Model, wips: list[Wip], layer: int, fresh: bool, n_rows: int | None = None) -> bool:
+    """Adds one layer below the open nodes of every tree; False if nothing could be split. n_rows: of base, for quotas."""
     cfg = model.config
     scalar = wips[0].direction is not None
     q = cfg.quota(layer)
-    rows = base if q is None else quota_slice(base, q, layer, len(model.trees), cfg.seed)
+    rows = base if q is None else quota_slice(base, q, base.count() if n_rows is None else n_rows, layer, len(model.trees), cfg.seed)
     found = best_splits(layer_sums(rows, model, wips, fresh), cfg, scalar).collect()  # a row an open node
     for k, wip in enumerate(wips):
         wip.open_next = []
@@ -193,13 +195,16 @@ def grow_layer(base: DataFrame, model: Model, wips: list[Wip], layer: int, fresh
     return any(w.open for w in wips)
 
 
-def quota_slice(base: DataFrame, quota: int, layer: int, tree: int, seed: int) -> DataFrame:
-    """About quota rows, another part of the data for each layer: a filter by hash, so no sort and no shuffle."""
-    n = base.count()
+def quota_slice(base: DataFrame, quota: int, n: int, layer: int, tree: int, seed: int) -> DataFrame:
+    """About quota of the n rows, another part of the data for each layer: a filter by hash, so no sort and no shuffle.
+
+    The hash takes the column key where there is one, so that equal rows are drawn one by one.
+    """
     if n <= quota:
         return base
     share = round(quota / n * (1 << 30))
-    return base.where(F.pmod(F.xxhash64("bins", "y", F.lit(seed), F.lit(tree), F.lit(layer)), F.lit(1 << 30)) < share)
+    what = [c for c in ("key", "bins", "y") if c in base.columns]
+    return base.where(F.pmod(F.xxhash64(*what, F.lit(seed), F.lit(tree), F.lit(layer)), F.lit(1 << 30)) < share)
 
 
 def root_step(base: DataFrame, model: Model, wips: list[Wip]) -> None:
@@ -212,13 +217,13 @@ def root_step(base: DataFrame, model: Model, wips: list[Wip]) -> None:
         w.tree.n[1] = r.n
 
 
-def grow(base: DataFrame, model: Model, wips: list[Wip]) -> list[Tree]:
+def grow(base: DataFrame, model: Model, wips: list[Wip], n_rows: int | None = None) -> list[Tree]:
     cfg = model.config
     fresh = cfg.schedule == "layer"
     if fresh and cfg.root_contributes:
         root_step(base, model, wips)
     for layer in range(cfg.depth):
-        if not grow_layer(base, model, wips, layer, fresh):
+        if not grow_layer(base, model, wips, layer, fresh, n_rows):
             break
     for w in wips:
         if cfg.pruning == "post":
@@ -308,36 +313,41 @@ def fit(base: DataFrame, cfg: BoostConfig, edges: list[list[float]], how: str |
     how: vector (default), per_class, logitboost or abc. base_class, for abc: a class, 'worst_class' (greatest training
     loss) or 'exhaustive' (every class tried each round). model: one to go on from. Rows stay where they are; the
     model, which is small by construction, goes to every task. rescore='carried' keeps the committed trees' scores in a
-    persisted column, recomputed from the input and the model if an executor is lost.
+    persisted column: each round adds its trees to the column of the last, and every REBASE rounds the column is made
+    from the input and the whole model again, so lineage stays short and a lost executor costs little. With a quota a
+    layer reads a slice only, so its rows are scored there and the rows are counted once.
     """
     how = how or ("per_class" if cfg.schedule == "per_class" else "vector")
     model = model or Model(cfg, edges, classes or [], prior_scores(base, cfg) if cfg.base == "prior" else None)
     keep = ["y", *(["weight"] if "weight" in base.columns else [])]
-    held = None
+    held, spent, at, rounds = None, None, 0, 0
+    n_rows = None if cfg.rows_per_layer is None else base.count()
     best, since = np.inf, 0
     while len(model.trees) < cfg.n_trees:
         rows = base
-        if cfg.rescore == "carried" and model.trees:
-            # from the input and the whole model each time: lineage doesn't grow with the rounds
-            now = carry(base, model, 0, None, keep).persist()
-            if held is not None:
-                held.unpersist()
-            held = rows = now
+        if cfg.rescore == "carried" and cfg.rows_per_layer is None and model.trees:
+            anew = held is None or rounds % REBASE == 0
+            now = carry(base, model, 0 if anew else at, None if anew else held, keep).persist()
+            spent, held, at, rounds = held, now, len(model.trees), rounds + 1
+            rows = now
         left = cfg.n_trees - len(model.trees)
         if how == "per_class" and cfg.refresh == "tree":
-            trees = grow(rows, model, [round_of(cfg, model, how)[len(model.trees) % cfg.outputs]])
+            trees = grow(rows, model, [round_of(cfg, model, how)[len(model.trees) % cfg.outputs]], n_rows)
         elif how == "abc" and base_class == "exhaustive":
             tried = []
             for b in range(cfg.outputs):
-                grown = grow(rows, model, round_of(cfg, model, how, b))
+                grown = grow(rows, model, round_of(cfg, model, how, b), n_rows)
                 tried.append((training_loss(base, Model(cfg, edges, classes or [], model.base, model.trees + grown)), b, grown))
             trees = min(tried, key=lambda x: x[:2])[2]
         elif how == "abc":
             by = training_loss(base, model, True) if base_class == "worst_class" else {}
-            trees = grow(rows, model, round_of(cfg, model, how, max(by, key=lambda k: (by[k], -k)) if by else base_class))
+            trees = grow(rows, model, round_of(cfg, model, how, max(by, key=lambda k: (by[k], -k)) if by else base_class), n_rows)
         else:
-            trees = grow(rows, model, round_of(cfg, model, how)[: left if how == "per_class" and cfg.refresh == "tree" else None])
+            trees = grow(rows, model, round_of(cfg, model, how)[: left if how == "per_class" and cfg.refresh == "tree" else None], n_rows)
         model.trees += trees
+        if spent is not None:  # only now is the column that was made from it complete
+            spent.unpersist()
+            spent = None
         if cfg.patience and validation is not None:
             v = training_loss(validation, model)
             best, since = (v, 0) if v < best - 1e-12 else (best, since + 1)
