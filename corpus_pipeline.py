@@ -6,8 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from vecboost.llm.common import fresh_dir
 from vecboost.llm.mixing import take_mix
+from vecboost.llm.near_copies import keep_one
 from vecboost.llm.packing import pack
-from vecboost.llm.simhash import keep_one
 from vecboost.llm.suffix_dedup import cut_passages
 from vecboost.llm.toxicity import drop_toxic
 
@@ -18,7 +18,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The lowest document of each SimHash component."""
+    """The lowest document of each component over five-word shingle similarities of 0.8 or more."""
     return keep_one(docs)
 
 

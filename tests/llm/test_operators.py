@@ -10,7 +10,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from vecboost.llm import quality, simhash, toxicity
+from vecboost.llm import near_copies, quality, simhash, toxicity
 from vecboost.llm.common import components, prefix_sums
 from vecboost.llm.embed_dedup import link_vectors, quantise, tile_links, unit
 from vecboost.llm.mixing import Node, mix, share, take_mix
@@ -130,6 +130,33 @@ def test_vantage_trees_find_every_pair(spark, monkeypatch):
     assert {k: got.get(k, k) for k in range(len(p))} == want
 
 
+def test_pipeline_drops_edited_copies(spark, docs, none, monkeypatch):
+    import corpus_pipeline as P
+
+    r, texts = random.Random(4), dict(enumerate(TEXTS))
+    for k in range(12):
+        base = [f"{r.choice(WORDS)}{r.randint(0, 500)}" for _ in range(r.choice([60, 120, 300]))]
+        texts[100 + 10 * k] = " ".join(base)
+        for j in range(1, 9):
+            edited = list(base)
+            for at in r.sample(range(len(base)), 1 + j % 3):
+                edited[at] = f"new{k}x{j}"
+            texts[100 + 10 * k + j] = " ".join(edited)
+    words = {i: (t or "").lower().encode().split() for i, t in texts.items()}
+    sets = {i: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set() for i, w in words.items()}
+    close = [(a, b) for a in sets for b in sets if a < b and (sets[a] == sets[b] or 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]))]
+    root = union_find(sets, close)
+    far = [(a, b) for a, b in close if a >= 100 and bin(brute_fingerprint(texts[a]) ^ brute_fingerprint(texts[b])).count("1") > 3]
+    assert len(far) > 50  # op2's links alone would miss these
+    monkeypatch.setattr(near_copies, "BLOCK", 3)  # clusters of several tiles
+    d = spark.createDataFrame([*texts.items(), (5, COPY), (None, "no id")], "doc_id long, text string").repartition(4)
+    got = near_copies.near_copies(d).collect()
+    assert {r.doc_id: r.component_id for r in got if r.doc_id is not None} == root and len(got) == len(texts) + 2
+    kept = [r.doc_id for r in P.near_duplicates(spark, d, "").collect()]
+    assert sorted(k for k in kept if k is not None) == sorted([*set(root.values()), 5]) and None in kept
+    assert near_copies.near_copies(none).count() == 0
+
+
 def test_embeddings(spark):
     rng = np.random.default_rng(3)
     c = rng.normal(size=(12, 16))
