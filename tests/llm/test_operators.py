@@ -349,6 +349,23 @@ def test_deobfuscation_and_scores(spark, docs, none):
     assert abs(counts.sum() - len(want)) < 20
 
 
+SPACED_OUT = ["s c u m,", "h a t e?", "s c u m!", '"m o r o n"', "(i d i o t)", "i. d. i. o. t", "i  d  i  o  t", "m- o- r- o- n", "x_i.d.i.o.t"]
+
+
+def test_scores_read_what_restore_reads(monkeypatch):
+    seen = []
+    monkeypatch.setattr(toxicity, "decode", lambda s, cost: seen.append(s.lower()) or "word")
+    r = random.Random(3)
+    noise = ["".join(r.choice("ab1! ._-'é\n") for _ in range(r.randint(0, 24))) for _ in range(3000)]
+    for text in [*SPACED_OUT, *("the river " + t + " of stone" for t in SPACED_OUT), "1d10t 'm0r0n', i d i o t", *noise]:
+        assert toxicity.may_be_spaced(text.encode()) or not toxicity.SPACED.search(text)
+        toxicity.restore(text, [])
+        shown, seen[:] = {s.strip("'") for s in seen}, []
+        toxicity.Reader(np.zeros(0)).features(text.encode())
+        scored, seen[:] = {s.strip("'") for s in seen}, []
+        assert scored == shown and (scored or text not in SPACED_OUT), text
+
+
 def test_viterbi_is_the_cheapest_path():
     from itertools import product
 

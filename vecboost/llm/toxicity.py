@@ -34,7 +34,7 @@ SPACED = re.compile(r"(?<![^\W_])(?:[A-Za-z0-9@$!|+*][ ._\-]{1,2}){3,}[A-Za-z0-9
 MIXED = re.compile(r"[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]*(?:[^\W\d_][0-9@$!|+*]|[0-9@$!|+*][^\W\d_])[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]*")
 THREE, LETTERS = re.compile(r"([A-Za-z])\1\1"), re.compile(r"[^\W\d_]+")
 EDGE = re.compile(r"^([0-9@$!|+*])\1+|([0-9@$!|+*])\2+$|[!*|+]+$|^[*|+]+")
-WORDS = LETTERS
+WORDS, ENDS = LETTERS, ".,;:?\"'()"
 #: Bounds of training: labelled rows, features of the linear model, and the log likelihood ratio that a feature brings.
 SAMPLE, N_FEATURES, LEAST_GAIN = 20_000, 4_000, 12.0
 
@@ -144,11 +144,14 @@ LOOK[[*range(48, 58), *range(65, 91), *range(97, 123), *b"@$!|+*"]] = 2
 
 
 def may_be_spaced(b: bytes) -> bool:
-    """Whether four single signs stand with one gap between each; a quick look before the pattern."""
-    c = LOOK[np.frombuffer(b" " + b + b" ", np.uint8)]
-    gap = c == 1
-    alone = gap[:-2] & (c == 2)[1:-1] & gap[2:]
-    return len(alone) > 6 and bool((alone[:-6] & alone[2:-4] & alone[4:-2] & alone[6:]).any())
+    """Whether four signs follow each other over gaps of one or two; true wherever SPACED matches, a quick look before it."""
+    c = LOOK[np.frombuffer(b + bytes(9), np.uint8)]
+    sign, gap = c == 2, c == 1
+    one, two = sign[:-3] & gap[1:-2] & sign[2:-1], sign[:-3] & gap[1:-2] & gap[2:-1] & sign[3:]
+    far = one | two
+    for _ in range(2):
+        far = one[: len(far) - 3] & far[2:-1] | two[: len(far) - 3] & far[3:]
+    return bool(far.any())
 
 
 class Reader:
@@ -165,7 +168,7 @@ class Reader:
         return own if self.wanted is None else [f for f in own if f in self.wanted]
 
     def of_token(self, token: str) -> tuple[str, ...]:
-        token = token.strip(".,;:?\"'()")
+        token = token.strip(ENDS)
         words = [token] if token.isalpha() else WORDS.findall(token)
         for s in doubtful(token):
             words += decode(s, self.cost).split()
@@ -195,7 +198,7 @@ class Reader:
 
 def restore(text: str, cost: list[float]) -> str:
     """The text with every doubtful segment read anew; for people to see."""
-    found = set(spaced_out(text)) | {s for t in text.split() for s in doubtful(t)}
+    found = set(spaced_out(text)) | {s for t in text.split() for s in doubtful(t.strip(ENDS))}
     for s in sorted(found, key=lambda x: (-len(x), x)):
         text = text.replace(s, decode(s, cost))
     return text
