@@ -366,6 +366,22 @@ def test_scores_read_what_restore_reads(monkeypatch):
         assert scored == shown and (scored or text not in SPACED_OUT), text
 
 
+def language(words, times=300):
+    text = b"\n" + " ".join(rnd.choice(words) for _ in range(times * len(words))).encode() + b"\n"
+    return toxicity.language_model(np.bincount(toxicity.class_codes(text), minlength=toxicity.CLASSES**4).astype(float)).tolist()
+
+
+def test_doubled_signs_at_the_ends_are_read():
+    cost = language([*WORDS, "kill", "ass", "dumbass", "great"])
+    reader = toxicity.Reader(np.array(cost))
+    for said, meant in [("ki11", "kill"), ("a$$", "ass"), ("a55", "ass"), ("dumba55", "dumbass"), ("Dumb4$$!!", "dumbass"), ("1d10t!!", "idiot")]:
+        assert meant + "$" in reader.features(f"the {said} of stone".encode()), said
+        assert meant in toxicity.restore(f"the {said}, of stone", cost).split(",")[0], said
+    assert toxicity.restore("The Great!! river of stone! **Great**", cost) == "The Great!! river of stone! **Great**"
+    for s, want in [("ab!!*", "ab"), ("ab*!!", "ab"), ("ab$$!!", "ab$$"), ("a$$", "a"), ("++ab", "ab"), ("*+ab1", "ab1"), ("11", "11"), ("111", "")]:
+        assert toxicity.bare(s) == want
+
+
 def test_viterbi_is_the_cheapest_path():
     from itertools import product
 

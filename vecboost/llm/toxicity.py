@@ -31,9 +31,10 @@ MEANT = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "6": "gb", "7": "t",
 #: Costs (negative log probabilities) of the channel: sign for letter, sign as itself, run shortened, run kept, gap as word end.
 SWAP, ITSELF, SHORTEN, KEEP_RUN, GAP = 0.7, 3.0, 0.5, 2.0, 2.5
 SPACED = re.compile(r"(?<![^\W_])(?:[A-Za-z0-9@$!|+*][ ._\-]{1,2}){3,}[A-Za-z0-9@$!|+*](?![^\W_])")
-MIXED = re.compile(r"[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]*(?:[^\W\d_][0-9@$!|+*]|[0-9@$!|+*][^\W\d_])[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]*")
+PIECES = re.compile(r"[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]+")
+MIXED = re.compile(r"[^\W\d_][0-9@$!|+*]|[0-9@$!|+*][^\W\d_]")
 THREE, LETTERS = re.compile(r"([A-Za-z])\1\1"), re.compile(r"[^\W\d_]+")
-EDGE = re.compile(r"^([0-9@$!|+*])\1+|([0-9@$!|+*])\2+$|[!*|+]+$|^[*|+]+")
+SIGNS = set("0123456789@$!|+*")
 WORDS, ENDS = LETTERS, ".,;:?\"'()"
 #: Bounds of training: labelled rows, features of the linear model, and the log likelihood ratio that a feature brings.
 SAMPLE, N_FEATURES, LEAST_GAIN = 20_000, 4_000, 12.0
@@ -125,14 +126,25 @@ def spaced_out(text: str) -> list[str]:
     return [m[0] for m in SPACED.finditer(text) if len(set(re.sub(r"[ ._\-]", "", m[0].lower()))) > 2]
 
 
+def bare(s: str) -> str:
+    """s without the signs at its ends that may be punctuation: any ! * | + after it, any * | + before it, and doubled ones."""
+    if len(s) < 3:
+        return s
+    if s[0] in SIGNS:
+        s = s.lstrip(s[0] if s[1] == s[0] else "*|+")
+    if s and s[-1] in SIGNS:
+        s = s.rstrip("!*|+" if s[-1] in "!*|+" else s[-1] if s[-2:-1] == s[-1] else "")
+    return s
+
+
 def doubtful(token: str) -> list[str]:
-    """Segments of a blank-free token whose lattices have more than one path."""
+    """Segments of a blank-free token whose lattices have more than one path; with and without the signs at their ends."""
     found = []
     if not token.isalpha():
-        for m in MIXED.finditer(token):
-            core = EDGE.sub("", m[0]) if len(m[0]) > 2 else m[0]
-            if len(core) <= 64 and MIXED.fullmatch(core):
-                found.append(core)
+        for m in PIECES.finditer(token):
+            if MIXED.search(m[0]):
+                core = bare(m[0])
+                found += [m[0], core] if core != m[0] and MIXED.search(core) else [m[0]]
     if THREE.search(token):
         found += [m[0] for m in LETTERS.finditer(token) if THREE.search(m[0])]
     return found
@@ -197,10 +209,17 @@ class Reader:
 
 
 def restore(text: str, cost: list[float]) -> str:
-    """The text with every doubtful segment read anew; for people to see."""
-    found = set(spaced_out(text)) | {s for t in text.split() for s in doubtful(t.strip(ENDS))}
-    for s in sorted(found, key=lambda x: (-len(x), x)):
+    """The text with every doubtful segment read anew; for people to see. Signs that are read as punctuation stay."""
+
+    spaced, found = set(spaced_out(text)), {s for t in text.split() for s in doubtful(t.strip(ENDS))}
+    for s in sorted(spaced, key=lambda x: (-len(x), x)):
         text = text.replace(s, decode(s, cost))
+    read = {s: decode(s, cost) for s in found}
+    for s in sorted(found, key=lambda x: (-len(x), x)):
+        core = bare(s)
+        as_is = re.sub(r"[^\x00-\x7f]", "é", " ".join(WORDS.findall(core.lower())))
+        if read[s] != as_is and (core == s or read[s] != read.get(core)):
+            text = re.sub(rf"(?<![^\W\d_]){re.escape(s)}(?![^\W\d_])", read[s], text)
     return text
 
 
