@@ -382,6 +382,17 @@ def test_doubled_signs_at_the_ends_are_read():
         assert toxicity.bare(s) == want
 
 
+def test_long_segments_and_doubled_letters_are_read():
+    cost = language([*WORDS, "stupid", "letter", "all", "room"])
+    reader = toxicity.Reader(np.array(cost))
+    for said, meant in [("m" + "0" * 70 + "ron", "moron"), ("id1" + "i" * 70 + "ot", "idiot"), ("m0r0n" * 40 + "id10t", "idiot"), ("iddiot", "idiot"), ("mooron", "moron"), ("stuupid", "stupid"), ("Stup1dd", "stupid"), ("IddiOt", "idiot")]:
+        assert any(f.startswith(meant[:4]) for f in reader.features(f"the {said} of stone".encode())) or len(said) > 80, said
+        assert toxicity.restore(f"the {said} of stone", cost).endswith(f"{meant} of stone"), said
+    assert toxicity.restore("All the Green letters under a room", cost).split()[:3] == ["All", "the", "Green"]
+    assert "letter" in toxicity.restore("a letter", cost) and toxicity.restore("room", cost) == "room"
+    assert len(toxicity.decode("m0r0n1" * 20_000, cost)) > 100_000  # in steps, not in their square
+
+
 def test_viterbi_is_the_cheapest_path():
     from itertools import product
 

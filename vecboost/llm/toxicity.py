@@ -3,6 +3,7 @@
 Writers hide words by digits and signs for letters, by blanks between letters and by repeats. Suspicious
 segments become character lattices of what may have been meant; a Viterbi search under a character language
 model, counted over the whole corpus, picks the likeliest reading; a linear model scores the restored text.
+Segments may be of any length: a run of one character is one step, and work grows with the steps.
 A token without a doubtful character has a lattice of one path, so it is left as it is.
 """
 
@@ -28,12 +29,12 @@ CLASS[65:91] = CLASS[97:123] = np.arange(1, 27)
 CLASS[128:] = 27
 #: Letters that a sign may stand for.
 MEANT = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "6": "gb", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "€": "e", "*": "aeiou"}
-#: Costs (negative log probabilities) of the channel: sign for letter, sign as itself, run shortened, run kept, gap as word end.
-SWAP, ITSELF, SHORTEN, KEEP_RUN, GAP = 0.7, 3.0, 0.5, 2.0, 2.5
+#: Costs (negative log probabilities) of the channel: sign for letter, sign as itself, run shortened, run kept, gap as word end, two letters for one.
+SWAP, ITSELF, SHORTEN, KEEP_RUN, GAP, DOUBLED = 0.7, 3.0, 0.5, 2.0, 2.5, 3.0
 SPACED = re.compile(r"(?<![^\W_])(?:[A-Za-z0-9@$!|+*][ ._\-]{1,2}){3,}[A-Za-z0-9@$!|+*](?![^\W_])")
 PIECES = re.compile(r"[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]+")
 MIXED = re.compile(r"[^\W\d_][0-9@$!|+*]|[0-9@$!|+*][^\W\d_]")
-THREE, LETTERS = re.compile(r"([A-Za-z])\1\1"), re.compile(r"[^\W\d_]+")
+TWO, LETTERS = re.compile(r"(?i)([a-z])\1"), re.compile(r"[^\W\d_]+")
 SIGNS = set("0123456789@$!|+*")
 WORDS, ENDS = LETTERS, ".,;:?\"'()"
 #: Bounds of training: labelled rows, features of the linear model, and the log likelihood ratio that a feature brings.
@@ -85,26 +86,29 @@ def language_model(counts: np.ndarray, mass: float = 4.0) -> np.ndarray:
 
 
 def lattice(segment: str) -> list[list[tuple[tuple[int, ...], float]]]:
-    """Steps of (classes put out, cost)."""
+    """Steps of (classes put out, cost), one for each run of a character."""
     steps: list = []
-    spaced = bool(SPACED.fullmatch(segment))
+    spaced, before, times = bool(SPACED.fullmatch(segment)), "", 0
     for m in re.finditer(r"(?s)(.)\1*", segment.lower()):
         c, n = m[1], len(m[0])
         if spaced and c in " ._-":
             steps.append([((), 0.0), ((0,), GAP if n == 1 and "  " not in segment else 0.3)])
             continue
-        own = CLASS[ord(c)] if ord(c) < 128 else 27
+        own = int(CLASS[ord(c)]) if ord(c) < 128 else 27
+        joined = [((), SHORTEN)] if max(n, times) > 2 and (c in MEANT.get(before, "") or before and before in MEANT.get(c, "")) else []  # a sign and a run of its letter
+        before, times = c, n
         if own:
-            steps.append([((int(own),) * n, 0.0)] if n < 3 else [((int(own),), SHORTEN), ((int(own),) * 2, SHORTEN), ((int(own),) * min(n, 8), KEEP_RUN)])
+            kept = [((own,) * n, 0.0)] + [((own,), DOUBLED)] * (n == 2 and own < 27)
+            steps.append(joined + (kept if n < 3 else [((own,), SHORTEN), ((own,) * 2, SHORTEN), ((own,) * min(n, 8), KEEP_RUN)]))
             continue
         said = [((ord(x) - 96,) * k, SWAP + (0.0 if k == n else SHORTEN)) for x in MEANT.get(c, "") for k in {1, min(n, 2)}]
-        steps.append(said + [((0,), ITSELF if said else 0.0)])
+        steps.append(joined + said + [((0,), ITSELF if said else 0.0)])
     return steps
 
 
 def decode(segment: str, cost: list[float]) -> str:
     """The likeliest reading (Viterbi; the state is the last three classes)."""
-    best = {(0, 0, 0): (0.0, "")}
+    best: dict = {(0, 0, 0): (0.0, None)}  # what was said is a chain from its end, shared by the paths
     for step in [*lattice(segment), [((0,), 0.0)]]:
         after: dict = {}
         for (a, b, c), (total, said) in best.items():
@@ -114,11 +118,15 @@ def decode(segment: str, cost: list[float]) -> str:
                     if d or z:
                         t += cost[((x * CLASSES + y) * CLASSES + z) * CLASSES + d]
                         x, y, z = y, z, d
-                        s += " " if d == 0 else "é" if d == 27 else chr(96 + d)
+                        s = (s, d)
                 if (x, y, z) not in after or t < after[x, y, z][0]:
                     after[x, y, z] = (t, s)
         best = after
-    return min(best.values())[1].strip()
+    said, letters = min(best.items(), key=lambda kv: (kv[1][0], kv[0]))[1][1], []
+    while said:
+        said, d = said
+        letters.append(" " if d == 0 else "é" if d == 27 else chr(96 + d))
+    return "".join(reversed(letters)).strip()
 
 
 def spaced_out(text: str) -> list[str]:
@@ -145,8 +153,8 @@ def doubtful(token: str) -> list[str]:
             if MIXED.search(m[0]):
                 core = bare(m[0])
                 found += [m[0], core] if core != m[0] and MIXED.search(core) else [m[0]]
-    if THREE.search(token):
-        found += [m[0] for m in LETTERS.finditer(token) if THREE.search(m[0])]
+    if TWO.search(token):
+        found += [m[0] for m in LETTERS.finditer(token) if TWO.search(m[0])]
     return found
 
 
