@@ -185,6 +185,15 @@ def test_tile_bounds_are_rigorous():
         assert got == {(a, b) for a in range(300) for b in range(a + 1, 300) if x[a] @ x[b] >= t}
 
 
+@pytest.mark.parametrize("width", [1040, 1041, 3072])
+def test_wide_vectors_are_compared(width):
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(12, width))[rng.integers(0, 12, 60)] + rng.normal(size=(60, width)) * 0.22
+    x = unit(np.concatenate([x, np.ones((2, width))]))
+    got = {(int(a), int(b)) for i, j in tile_links((x, *quantise(x)), None, 0.95, 16) for a, b in zip(i, j)}
+    assert got == {(a, b) for a in range(62) for b in range(a + 1, 62) if x[a] @ x[b] >= 0.95} and (60, 61) in got
+
+
 URLS = ["https://Sub.Example.ORG/es/x?q", "http://example.org/en/123#a", "http://example.org/en/2", "https://a.com/fr/", "http://b.com/de/x", "http://b.com/DE/x", "no scheme", None, "", "http://org", "http://org/", "http://notorg/", "ftp://x.example.org:8/es/", "http://com/fr/#", "a://b.c.com/fr/?/de/", "http://xn.org\n/es/"]
 
 

@@ -2,7 +2,7 @@
 
 A unit vector x is stored as s*q + r with integer q in [-127, 127]; e = |r| is known exactly. Then
 |x.y - s_x s_y q_x.q_y| <= e_x + e_y + e_x e_y, so a tile product of the integer codes (exact in float32, as
-its sums stay under 2^24) decides every pair outside that band; only pairs within it are computed again from
+its sums over at most 1,040 columns stay under 2^24) decides every pair outside that band; only pairs within it are computed again from
 the full vectors in double precision.
 """
 
@@ -19,6 +19,8 @@ from .common import components, cut, unite
 
 #: Covers the rounding of double and float32 steps in the bounds.
 SLACK = 1e-6
+#: Columns of one float32 product: 127 ** 2 * WIDTH < 2 ** 24.
+WIDTH = 1040
 
 
 def quantise(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -44,14 +46,14 @@ def tile_links(a: tuple, b: tuple | None, threshold: float, rows: int = 512) ->
     same = b is None
     xa, qa, sa, ea = a
     xb, qb, sb, eb = b or a
-    if np.abs(qa).max(initial=0).astype(np.int64) ** 2 * qa.shape[1] >= 2**24:
-        raise ValueError("too many dimensions for exact float32 sums")
     fb = qb.astype(np.float32).T
     s_least, s_most, e_most = sb.min(), sb.max(), eb.max()
     for k in range(0, len(xa), rows):
         fa, s, e = qa[k : k + rows].astype(np.float32), sa[k : k + rows], ea[k : k + rows]
         first = k if same else 0
-        product = fa @ fb[:, first:]
+        product = fa[:, :WIDTH] @ fb[:WIDTH, first:]
+        for c in range(WIDTH, fa.shape[1], WIDTH):  # pieces are exact in float32, their sum in float64
+            product = product.astype(np.float64) + fa[:, c : c + WIDTH] @ fb[c : c + WIDTH, first:]
         low = threshold - (e + e_most + e * e_most) - SLACK
         low = low / (s * np.where(low > 0, s_most, s_least))  # no pair of the row under it can reach the threshold
         i, j = np.nonzero(product >= low[:, None].astype(np.float32) - 1)
