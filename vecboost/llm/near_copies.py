@@ -22,7 +22,7 @@ from .simhash import LOWER, SEED
 
 #: Words of a shingle, and the least similarity of a link: 4 / 5.
 SHINGLE, SHARE = 5, (4, 5)
-#: A pair at similarity s is compared but for (1 - s ** ROWS) ** BANDS: 7e-6 at 0.8, 7e-12 at 0.9.
+#: A pair at similarity s is compared but for (1 - s ** ROWS) ** BANDS: 7e-6 at 0.8, 2e-12 at 0.9.
 BANDS, ROWS = 30, 5
 #: Bounds: nodes of a cluster's block (a tile has two), tiled nodes that a task's bundle is meant to hold, columns of a product.
 BLOCK, BUNDLE, COLUMNS = 128, 1024, 4096
