@@ -229,15 +229,69 @@ def vocabulary():
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-def test_pieces_encode_as_whole_texts(vocabulary):
+PARTS = ["a", "b", " ", " ", "\n", "\t", "\xa0", "é", "12", "'s", "<|endoftext|>", "!!", "\r", "\x00", "\x1c", "\x85", "日", "don't", ",", "ß.", "\u2003", " x", "\nEin", ".\n", "À", "\x7f", "ǅ"]
+
+
+def encodes_whole(e):
     import pyarrow as pa
 
-    e = Encoder(vocabulary)
-    parts = ["a", "b", " ", " ", "\n", "\t", "\xa0", "é", "12", "'s", "<|endoftext|>", "!!", "\r", "\x00", "\x1c", "\x85", "日"]
-    texts = ["".join(rnd.choice(parts) for _ in range(rnd.randint(0, 14))) for _ in range(3000)] + ["", LONG]
-    ids, sizes = e.encode(pa.array([*texts, None]))
+    texts = ["".join(rnd.choice(PARTS) for _ in range(rnd.randint(0, 14))) for _ in range(6000)] + ["", LONG]
     want = [x.ids for x in e.t.encode_batch(texts, add_special_tokens=False)] + [[]]
-    assert [x.tolist() for x in np.split(ids, np.cumsum(sizes)[:-1])] == want
+    for step in (len(texts), 1000):
+        for k in range(0, len(texts), step):
+            some = pa.array([*texts, None]).slice(k, step + (k + step >= len(texts)))
+            ids, sizes = e.encode(some)
+            assert [x.tolist() for x in np.split(ids, np.cumsum(sizes)[:-1])] == want[k : k + len(some)]
+
+
+def test_pieces_encode_as_whole_texts(vocabulary):
+    e = Encoder(vocabulary)
+    assert e.by_pieces
+    encodes_whole(e)
+    encodes_whole(Encoder(vocabulary, most=100))
+
+
+@pytest.mark.parametrize("how", ["words", "no pattern", "prefix", "lower"])
+def test_other_vocabularies_encode_whole_texts(vocabulary, tmp_path, how):
+    import json
+
+    import public_tokenizers
+
+    spec = json.load(open(vocabulary))
+    if how == "no pattern":  # tokens may cross blanks
+        spec["pre_tokenizer"]["use_regex"] = False
+    elif how == "prefix":
+        spec["pre_tokenizer"]["add_prefix_space"] = True
+    else:
+        spec["normalizer"] = {"type": "Lowercase"}
+    at = tmp_path / "vocabulary.json"
+    at.write_text(json.dumps(spec))
+    e = Encoder(public_tokenizers.path("word_bpe_49k.json") if how == "words" else str(at))
+    assert not e.by_pieces
+    encodes_whole(e)
+
+
+def test_a_vocabulary_without_some_bytes(vocabulary, tmp_path):
+    import json
+
+    spec = json.load(open(vocabulary))
+    gone = {t for t in spec["model"]["vocab"] if "x" in t}
+    spec["model"]["vocab"] = {t: i for t, i in spec["model"]["vocab"].items() if t not in gone}
+    spec["model"]["merges"] = [m for m in spec["model"]["merges"] if "x" not in "".join(m)]
+    at = tmp_path / "vocabulary.json"
+    at.write_text(json.dumps(spec))
+    encodes_whole(Encoder(str(at)))
+
+
+def test_slices_by_bytes():
+    import pyarrow as pa
+
+    from vecboost.llm.tokens import by_bytes
+
+    texts = [None, "", "abc", "x" * 50, "ab", None, "cd", "y" * 9, "z"]
+    b = pa.RecordBatch.from_pydict({"text": texts})
+    got = [s.column("text").to_pylist() for s in by_bytes(b, "text", 10)]
+    assert sum(got, []) == texts and all(len(s) == 1 or sum(len(t or "") for t in s) <= 10 for s in got)
 
 
 @pytest.mark.parametrize("bits", [False, True])

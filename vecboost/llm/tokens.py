@@ -12,11 +12,10 @@ from __future__ import annotations
 import io
 import json
 import os
-import re
 import struct
 import zlib
-from array import array
 from collections.abc import Iterator
+from itertools import compress, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -31,9 +30,21 @@ from .common import fresh_dir, n_partitions, open_input, written_once
 
 MAGIC = b"BPLANES1"
 CHUNK = 1 << 16
-#: A piece may begin at a blank unless both its neighbours are blank (or it ends the text): only there do
+#: White space, as a set of RE2.
+WHITE = r"\t-\r\x1c-\x20\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}"
+#: A piece may begin at a blank unless both its neighbours are white (or it ends the text): only there do
 #: the tokenizer's own pre-tokens cross it.
-UNSAFE = re.compile(r"\s (?:\s|$)")
+UNSAFE = f"[{WHITE}] (?:[{WHITE}]|$)"
+#: Of a byte: 1 a blank, 2 ASCII other than a letter, 4 an ASCII letter, 8 ASCII that isn't white or the first of two
+#: bytes that aren't.
+KIND = np.zeros(256, np.uint8)
+KIND[:128] = 2 | 8
+KIND[[*range(65, 91), *range(97, 123)]] = 4 | 8
+KIND[[*range(9, 14), *range(28, 32)]] = 2
+KIND[32] = 1
+KIND[0xC3:0xE0] = 8
+#: Bytes of text that are encoded at a time.
+SLICE = 16 << 20
 
 
 def split_planes(ids: np.ndarray, bits: bool) -> list[bytes]:
@@ -62,7 +73,11 @@ class PlaneWriter:
         out.write(MAGIC)
 
     def add(self, doc_id, ids: np.ndarray) -> None:
-        self.docs.append((doc_id, len(ids)))
+        self.add_all([doc_id], ids, [len(ids)])
+
+    def add_all(self, doc_ids: list, ids: np.ndarray, sizes: list[int]) -> None:
+        """Documents in order, their ids end to end."""
+        self.docs += zip(doc_ids, sizes)
         self.held.append(ids)
         self.n_held += len(ids)
         self.n += len(ids)
@@ -145,70 +160,136 @@ class PlaneReader:
 
 
 class Encoder:
-    """Whole texts to ids; the pieces between safe blanks are looked up or given to the tokenizer in batches.
+    """Whole texts to ids; the pieces between safe cuts are looked up or given to the tokenizer, many in one text.
 
-    Equal to encoding the whole text at once: texts with blanks where pre-tokens could cross a piece's edge, or
-    with what may be a special token, go to the tokenizer whole. Unknown pieces go there many at a time, with an
-    added token between them that marks where each ends.
+    Equal to encoding the whole text at once. Only a byte-level vocabulary with the usual pattern (`splits_at_blanks`)
+    is handled by pieces, for there no token crosses a safe cut, and the bytes of each id tell where a piece ends; with
+    any other, and where a text has blanks that pre-tokens could cross or what may be a special token, whole texts go
+    to the tokenizer. Pieces found are kept, `most` of them at most.
     """
 
-    def __init__(self, path: str, most: int = 1_000_000):
+    def __init__(self, path: str, most: int = 1_200_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.t, self.known, self.most = Tokenizer.from_file(path), {}, most
-        self.mark = next(((i, a.content) for i, a in self.t.get_added_tokens_decoder().items() if not (a.lstrip or a.rstrip or a.single_word)), None)
-
-    def _whole(self, texts: list[str]) -> list[bytes]:
-        return [array("I", e.ids).tobytes() for e in self.t.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def _pieces(self, new: list[str]) -> list[bytes]:
-        if self.mark is None:
-            return self._whole(new)
-        (mark, name), out = self.mark, []
-        for k in range(0, len(new), 4096):
-            ids = np.array(self.t.encode_batch_fast([name.join(new[k : k + 4096]) + name], add_special_tokens=False)[0].ids, "<u4")
-            ends = np.flatnonzero(ids == mark).tolist()
-            raw, first = ids.tobytes(), 0
-            for e in ends:
-                out.append(raw[4 * first : 4 * e])
-                first = e + 1
-        if len(out) != len(new):
-            raise ValueError("pieces were lost")
-        return out
+        self.t, self.most = Tokenizer.from_file(path), most
+        self.special = [a.content for a in self.t.get_added_tokens_decoder().values()]
+        self.by_pieces = len(self.special) <= 16 and splits_at_blanks(json.loads(self.t.to_str()))
+        if self.by_pieces:
+            vocab = self.t.get_vocab()
+            self.n_bytes = np.zeros(max(vocab.values()) + 1, np.int64)
+            self.n_bytes[list(vocab.values())] = list(map(len, vocab))  # the alphabet has a sign for each byte
+        self._forget()
+
+    def _forget(self) -> None:
+        self.known: dict[bytes, int] = {}  # a piece's place in begin; ids[begin[k]:begin[k + 1]] are its ids
+        self.begin, self.ids = np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint32)
+
+    def _whole(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        own = [np.array(e.ids, np.uint32) for e in self.t.encode_batch_fast(texts, add_special_tokens=False)]
+        return np.concatenate([np.zeros(0, np.uint32), *own]), np.array([len(x) for x in own], np.int64)
+
+    def _joined(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of pieces end to end and how many each has; pre-tokens cross no edge where all are `joinable`."""
+        ids = np.array(self.t.encode_batch_fast([b"".join(pieces).decode()], add_special_tokens=False)[0].ids, np.uint32)
+        ends, at = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces))), np.cumsum(self.n_bytes[ids])
+        upto = np.searchsorted(at, ends) + 1
+        if len(at) and upto[-1] == len(at) and np.array_equal(at[upto - 1], ends):
+            return ids, np.diff(upto, prepend=0)
+        return self._whole([p.decode() for p in pieces])  # some byte has no id
+
+    def _learn(self, new: list[bytes]) -> None:
+        fits = joinable(new)
+        joint, rest = list(compress(new, fits)), list(compress(new, ~fits))
+        found = [(self._joined(some), some) for some in (joint[k : k + 16384] for k in range(0, len(joint), 16384))]
+        found.append((self._whole([p.decode() for p in rest]), rest))
+        for (ids, sizes), some in found:
+            n, at = len(self.known), int(self.begin[len(self.known)])
+            while len(self.begin) <= n + len(some):
+                self.begin = np.concatenate([self.begin, np.zeros_like(self.begin)])
+            while len(self.ids) < at + len(ids):
+                self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+            self.begin[n + 1 : n + 1 + len(some)] = at + np.cumsum(sizes)
+            self.ids[at : at + len(ids)] = ids
+            self.known.update(zip(some, range(n, n + len(some))))
+
+    def _places(self, pieces: list[bytes]) -> np.ndarray:
+        return np.fromiter(map(self.known.get, pieces, repeat(-1)), np.int64, len(pieces))
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids end to end, and the number of each text's."""
-        if len(self.known) > self.most:
-            self.known.clear()
-        special = self.mark[1][:2] if self.mark else "<|"
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
-        odd = np.array(["\0" in t or special in t or UNSAFE.search(t) is not None for t in texts.to_pylist()], bool)
-        plain = texts.filter(pa.array(~odd)) if odd.any() else texts
-        split = pc.split_pattern(pc.replace_substring(plain, " ", "\0 "), "\0")
-        coded = split.flatten().dictionary_encode()
-        pieces, index = coded.dictionary.to_pylist(), coded.indices.to_numpy(zero_copy_only=False)
-        new = [p for p in pieces if p not in self.known]
-        self.known.update(zip(new, self._pieces(new)))
-        found = list(map(self.known.__getitem__, pieces))
-        size = np.fromiter(map(len, found), np.int64, len(found)) // 4
-        begin = np.concatenate([[0], np.cumsum(size)])
-        table = np.frombuffer(b"".join(found), "<u4")
-        n = size[index]
-        upto = np.concatenate([[0], np.cumsum(n)])
-        ids = table[np.repeat(begin[index] - upto[:-1], n) + np.arange(upto[-1])]
-        bounds = upto[split.offsets.to_numpy() - split.offsets[0].as_py()]
+        if not self.by_pieces:
+            return self._whole(texts.to_pylist())
+        odd = pc.match_substring_regex(texts, UNSAFE)
+        for name in self.special:
+            odd = pc.or_(odd, pc.match_substring(texts, name))
+        odd = odd.to_numpy(zero_copy_only=False)
         if not odd.any():
-            return ids, np.diff(bounds)
-        whole = [np.frombuffer(x, "<u4") for x in self._whole(texts.filter(pa.array(odd)).to_pylist())]
-        own, k, w = [], 0, iter(whole)
-        for o in odd:
-            if o:
-                own.append(next(w))
-            else:
-                own.append(ids[bounds[k] : bounds[k + 1]])
-                k += 1
-        return np.concatenate(own), np.array([len(x) for x in own], np.int64)
+            return self._by_pieces(texts)
+        parts = [(odd, *self._whole(texts.filter(pa.array(odd)).to_pylist())), (~odd, *self._by_pieces(texts.filter(pa.array(~odd))))]
+        sizes = np.zeros(len(texts), np.int64)
+        for some, _, own in parts:
+            sizes[some] = own
+        ids, which = np.zeros(sizes.sum(), np.uint32), np.repeat(odd, sizes)
+        for (_, own, _), there in zip(parts, (which, ~which)):
+            ids[there] = own
+        return ids, sizes
+
+    def _by_pieces(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        text, at = text_bytes(texts)
+        starts = np.flatnonzero(safe_cuts(text, at))
+        offsets = np.concatenate([starts, [len(text)]]) if len(text) else np.zeros(1, np.int64)
+        coded = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(offsets), pa.py_buffer(text)]).dictionary_encode()
+        if len(self.known) > self.most:
+            self._forget()
+        pieces = coded.dictionary.to_numpy(zero_copy_only=False).tolist()
+        place = self._places(pieces)
+        if len(lacking := np.flatnonzero(place < 0)):
+            new = list(map(pieces.__getitem__, lacking))
+            self._learn(new)
+            place[lacking] = self._places(new)
+        table = pa.LargeListArray.from_arrays(self.begin[: len(self.known) + 1], self.ids)
+        found = table.take(pa.array(place).take(coded.indices))
+        upto = found.offsets.to_numpy()
+        return found.flatten().to_numpy(), np.diff(upto[np.searchsorted(starts, at)] - upto[0])
+
+
+def text_bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes of a large_string array without nulls, end to end, and where each text begins (and the last ends)."""
+    _, offsets, data = texts.buffers()
+    at = np.frombuffer(offsets, np.int64, len(texts) + 1, 8 * texts.offset) if len(texts) else np.zeros(1, np.int64)
+    data = np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)
+    return data[at[0] : at[-1]], at - at[0]
+
+
+def safe_cuts(text: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Where pieces begin: texts (at), blanks, a line's end after a sign that isn't white, and the end of a run of letters (ASCII alone)."""
+    kind = KIND[text]
+    cut = kind == 1
+    cut[1:] |= ((kind[1:] & 2) != 0) & ((kind[:-1] & 4) != 0)  # a letter, then another ASCII sign
+    cut[1:] |= (text[1:] == 10) & ((kind[:-1] & 8) != 0)
+    cut[at[:-1][at[:-1] < len(text)]] = True
+    return cut
+
+
+def joinable(pieces: list[bytes]) -> np.ndarray:
+    """Whether each begins with a blank or a line's end, no white after it, and doesn't end in white: in a text of such
+    pieces pre-tokens cross no edge."""
+    size, text = np.fromiter(map(len, pieces), np.int64, len(pieces)), np.frombuffer(b"".join(pieces) + b" ", np.uint8)
+    first = np.cumsum(size) - size
+    last, solid = first + size - 1, KIND[text] & 8 != 0
+    ends = solid[last] | (text[last] >= 0x80) & (text[last] < 0xC0) & (text[last - 1] >= 0xC3) & (text[last - 1] < 0xE0)
+    return (size > 1) & ((text[first] == 32) | (text[first] == 10)) & solid[first + 1] & ends
+
+
+def splits_at_blanks(spec: dict) -> bool:
+    """Whether a tokenizer (its JSON) is byte-level with the usual pattern, where no token crosses a safe blank."""
+    before, model = spec.get("pre_tokenizer") or {}, spec.get("model") or {}
+    plain = not any(spec.get(k) for k in ("normalizer", "truncation", "padding"))
+    byte_level = before.get("type") == "ByteLevel" and before.get("use_regex", True) and not before.get("add_prefix_space")
+    fixed = model.get("type") == "BPE" and not any(model.get(k) for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback"))
+    return bool(plain and byte_level and fixed)
 
 
 _ENCODERS: dict[str, Encoder] = {}
@@ -221,6 +302,17 @@ def encoder_for(path: str) -> Encoder:
     return _ENCODERS[path]
 
 
+def by_bytes(batch: pa.RecordBatch, column: str, most: int) -> Iterator[pa.RecordBatch]:
+    """Slices of whole rows with at most `most` bytes in a column; a longer row is a slice of its own."""
+    size = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    first = 0
+    while first < batch.num_rows:
+        last = int(np.searchsorted(size, (size[first - 1] if first else 0) + most, "right"))
+        last = max(last, first + 1)
+        yield batch.slice(first, last - first)
+        first = last
+
+
 FILES = "part int, file string, n_docs long, n_tokens long"
 
 
@@ -235,16 +327,13 @@ def write_tokens(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 0,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, encoder = TaskContext.get().partitionId(), encoder_for(tokenizer)
-        at, end = f"{folder}/tokens-{part:06d}.planes", np.array([end_id], np.uint32)
+        at = f"{folder}/tokens-{part:06d}.planes"
         with written_once(at) as out:
             w = PlaneWriter(out, chunk, bits)
             for b in batches:
-                for k in range(0, b.num_rows, 4096):
-                    tokens, sizes = encoder.encode(b.column("text").slice(k, 4096))
-                    last = 0
-                    for d, n in zip(b.column("id").slice(k, 4096).to_pylist(), sizes.tolist()):
-                        w.add(d, np.concatenate([tokens[last : last + n], end]))
-                        last += n
+                for some in by_bytes(b, "text", SLICE):
+                    ids, sizes = encoder.encode(some.column("text"))
+                    w.add_all(some.column("id").to_pylist(), np.insert(ids, np.cumsum(sizes), end_id), (sizes + 1).tolist())
             w.close()
         yield pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "file": [at], "n_docs": pa.array([len(w.docs)], pa.int64()), "n_tokens": pa.array([w.n], pa.int64())})
 
