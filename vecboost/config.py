@@ -16,13 +16,13 @@ class BoostConfig:
     hessian_scale: float = 1.0
     solver: str = "pivoted_qr"  # pivoted_qr, svd, normal, cholesky, closed
     schedule: str = "tree"  # tree, layer, per_class
-    refresh: str = "tree"  # of per_class: after each tree or once a round
+    refresh: str = "tree"  # of per_class: after each tree, once a round, or after each layer of each tree
     root_contributes: bool = True
     n_trees: int = 10
     depth: int = 4
     eta: float = 0.3
     lam: float = 1.0
-    l2_mode: str = "absolute"  # or per_instance: lam times the rows of the layer
+    l2_mode: str = "absolute"  # or per_instance: lam times the rows that the layer read
     gamma: float = 0.0
     pruning: str = "pre"  # pre, post
     min_child_weight: float = 0.0
@@ -38,7 +38,7 @@ class BoostConfig:
     seed: int = 7
 
     def __post_init__(self):
-        for name, allowed in {"hessian": "diagonal full identity pair block", "solver": "pivoted_qr svd normal cholesky closed", "schedule": "tree layer per_class", "refresh": "tree round", "l2_mode": "absolute per_instance", "pruning": "pre post", "mcw_mode": "mean sum count", "label_encoding": "onehot centered simplex", "base": "zero prior", "rescore": "carried stateless"}.items():
+        for name, allowed in {"hessian": "diagonal full identity pair block", "solver": "pivoted_qr svd normal cholesky closed", "schedule": "tree layer per_class", "refresh": "tree round layer", "l2_mode": "absolute per_instance", "pruning": "pre post", "mcw_mode": "mean sum count", "label_encoding": "onehot centered simplex", "base": "zero prior", "rescore": "carried stateless"}.items():
             if getattr(self, name) not in allowed.split():
                 raise ValueError(f"{name}={getattr(self, name)!r}: one of {allowed}")
         if self.outputs < 1 or self.depth < 1 or not 1 <= self.bins <= 254 or self.lam < 0 or self.gamma < 0:
@@ -46,6 +46,11 @@ class BoostConfig:
         if self.hessian == "full" and self.outputs > self.max_full_classes:
             raise ValueError(f"a full Hessian of {self.outputs} outputs costs {self.outputs**2} sums a cell; raise max_full_classes to insist")
 
+    @property
+    def layered(self) -> bool:
+        """Whether every layer is a step of its own, with gradients taken anew."""
+        return self.schedule == "layer" or self.schedule == "per_class" and self.refresh == "layer"
+
     def but(self, **changes) -> BoostConfig:
         return replace(self, **changes)
 

@@ -148,7 +148,12 @@ class FullH(Hessian):
         return m
 
     def _solve(self, m, b):
-        return SOLVERS[self.solver](m, b)
+        """By the solver chosen; systems that aren't positive definite are no case for Cholesky and go to the pivoted QR."""
+        if self.solver != "cholesky" or (fit := check_spd(m, 0.0)).all():
+            return SOLVERS[self.solver](m, b)
+        out = pivoted_qr(m, b)
+        out[fit] = cholesky(m[fit], b[fit])
+        return out
 
     def weight(self, g, h, n, lam):
         m = self.matrix(h) + np.asarray(lam).reshape(-1, 1, 1) * np.eye(self.c)

@@ -58,10 +58,17 @@ def bin_expr(col, cuts: list[float]):
     return F.when(x.isNull() | F.isnan(x), F.lit(MISSING)).otherwise(tree(0, len(cuts))).cast("int")
 
 
+def is_scan(df: DataFrame) -> bool:
+    """Whether df reads files and does nothing else but choose and compute columns."""
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    return all(x.strip(" +-:").startswith(("Project", "Relation ", "Filter")) for x in plan.strip().splitlines())
+
+
 def spread(df: DataFrame) -> DataFrame:
-    """df over as many tasks as there are cores, if it has fewer: a small single file would keep one core busy."""
+    """df over as many tasks as there are cores, if it is a plain scan of fewer slices: a small single file would keep one
+    core busy. Nothing is run to count slices; what has been through an exchange is left as it is."""
     n = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(n) if df.rdd.getNumPartitions() < n else df
+    return df.repartition(n) if is_scan(df) and df.rdd.getNumPartitions() < n else df
 
 
 def binned(df: DataFrame, features: str | list[str], cuts: list[list[float]], keep: list[str]) -> DataFrame:

@@ -30,12 +30,15 @@ class Tree:
     delta: np.ndarray = None
     n: np.ndarray = None
     gain: np.ndarray = None
+    cut: np.ndarray = None  # thresholds by value, of trees whose edges moved while they grew
 
     def __post_init__(self):
         k = 2 ** (self.depth + 1)
         if self.feature is None:
             self.feature, self.bin, self.left_default = np.full(k, -1, np.int64), np.zeros(k, np.int64), np.ones(k, bool)
             self.delta, self.n, self.gain = np.zeros((k, self.c)), np.zeros(k, np.int64), np.zeros(k)
+        if self.cut is None:
+            self.cut = np.full(k, np.nan)
 
     def nodes(self) -> list[int]:
         out = [1]
@@ -47,11 +50,15 @@ class Tree:
     def leaves(self) -> list[int]:
         return [j for j in self.nodes() if self.feature[j] < 0]
 
-    def split(self, j: int, feature: int, bin_: int, left_default: bool, gain: float) -> None:
+    def split(self, j: int, feature: int, bin_: int, left_default: bool, gain: float, cut: float | None = None) -> None:
         self.feature[j], self.bin[j], self.left_default[j], self.gain[j] = feature, bin_, left_default, gain
+        if cut is not None:
+            self.cut[j] = cut
 
     def descend(self, bins: np.ndarray, scores: np.ndarray | None = None) -> np.ndarray:
-        """Node of every row; scores, if given, get the deltas along the path."""
+        """Node of every row of bins, or of raw values where nodes have thresholds of their own; scores, if given, get
+        the deltas along the path."""
+        raw = bins.dtype.kind == "f"
         node = np.ones(len(bins), np.int64)
         rows = np.arange(len(bins))
         if scores is not None:
@@ -62,7 +69,7 @@ class Tree:
             if not live.any():
                 break
             x = bins[rows, np.maximum(f, 0)]
-            left = np.where(x == 0, self.left_default[node], x <= self.bin[node])
+            left = np.where(np.isnan(x) if raw else x == 0, self.left_default[node], x <= (self.cut if raw else self.bin)[node])
             node = np.where(live, 2 * node + ~left, node)
             if scores is not None:
                 scores[live] += self.delta[node[live]]
@@ -70,7 +77,7 @@ class Tree:
 
     def fold(self) -> Tree:
         """The same predictions with every contribution pushed down into the leaves."""
-        t = Tree(self.c, self.depth, self.target, self.feature.copy(), self.bin.copy(), self.left_default.copy(), self.delta.copy(), self.n.copy(), self.gain.copy())
+        t = Tree(self.c, self.depth, self.target, self.feature.copy(), self.bin.copy(), self.left_default.copy(), self.delta.copy(), self.n.copy(), self.gain.copy(), self.cut.copy())
         for j in t.nodes():
             if t.feature[j] >= 0:
                 t.delta[2 * j] += t.delta[j]
@@ -142,11 +149,27 @@ class Model:
                 todo.append((2 * j, [*path, f"({name} <= {edge}{null.format(name)})"]))
         return out
 
+    def regrid(self) -> Model:
+        """The same model over the thresholds that its nodes hold by value: edges are those, and bins their places."""
+        used: list[set] = [set() for _ in self.edges]
+        for t in self.trees:
+            for j in t.nodes():
+                if t.feature[j] >= 0:
+                    used[t.feature[j]].add(float(t.cut[j]))
+        edges, out = [sorted(u) for u in used], []
+        for t in self.trees:
+            t = t.fold()
+            for j in t.nodes():
+                if t.feature[j] >= 0:
+                    t.bin[j] = edges[t.feature[j]].index(float(t.cut[j])) + 1
+            out.append(t)
+        return Model(self.config, edges, self.classes, self.base, out, self.stamp)
+
     def edge(self, f: int, b: int) -> float | None:
         return self.edges[f][b - 1] if 1 <= b <= len(self.edges[f]) else float("-inf") if b < 1 else float("inf")
 
     def table(self, spark: SparkSession) -> DataFrame:
-        rows = [(k, j, j.bit_length() - 1, bool(t.feature[j] < 0), int(t.feature[j]), int(t.bin[j]), self.edge(int(t.feature[j]), int(t.bin[j])) if t.feature[j] >= 0 else None, bool(t.left_default[j]), t.delta[j].tolist(), int(t.n[j]), float(t.gain[j]), t.target, self.stamp) for k, t in enumerate(self.trees) for j in t.nodes()]
+        rows = [(k, j, j.bit_length() - 1, bool(t.feature[j] < 0), int(t.feature[j]), int(t.bin[j]), (self.edge(int(t.feature[j]), int(t.bin[j])) if np.isnan(t.cut[j]) else float(t.cut[j])) if t.feature[j] >= 0 else None, bool(t.left_default[j]), t.delta[j].tolist(), int(t.n[j]), float(t.gain[j]), t.target, self.stamp) for k, t in enumerate(self.trees) for j in t.nodes()]
         return spark.createDataFrame(rows, NODE)
 
     def save(self, spark: SparkSession, path: str) -> None:
@@ -167,7 +190,7 @@ class Model:
             t = out.trees[r.tree]
             t.target, t.delta[r.node], t.n[r.node], t.gain[r.node] = r.target_class, r.delta, r.n, r.gain
             if not r.is_leaf:
-                t.split(r.node, r.feature, r.bin, r.default_left, r.gain)
+                t.split(r.node, r.feature, r.bin, r.default_left, r.gain, r.edge)
         return out
 
 

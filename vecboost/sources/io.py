@@ -28,8 +28,12 @@ def write(df: DataFrame, kind: str, path: str, mode: str = "overwrite", by: list
 
 
 def scratch(spark: SparkSession, what: str) -> str:
-    """A fresh path in the folder that executors share; a temporary one where none is set, as in tests."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="vecboost-")
+    """A fresh path in the folder that executors share; a temporary one where none is set on one machine, as in tests."""
+    base = spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if base is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = tempfile.mkdtemp(prefix="vecboost-")
     return f"{base.rstrip('/')}/{what}-{uuid.uuid4().hex}"
 
 
