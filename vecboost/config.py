@@ -9,7 +9,7 @@ from dataclasses import asdict, dataclass, replace
 @dataclass(frozen=True)
 class BoostConfig:
     outputs: int = 3
-    loss: str = "softmax"  # softmax, logistic, squared, multilabel, multiexp, marginexp, or a registered name
+    loss: str = "softmax"  # softmax, logistic, squared, multilabel, multiexp, marginexp, pairwise, or a registered name
     label_encoding: str = "onehot"  # onehot, centered, simplex
     hessian: str = "diagonal"  # diagonal, full, identity, pair, block
     blocks: tuple[tuple[int, ...], ...] = ()

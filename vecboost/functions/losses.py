@@ -316,23 +316,50 @@ class AutoDiff(Loss):
         return self._predict(s)
 
 
-class PairwiseLogistic:
+class PairwiseLogistic(Loss):
     """Ranking within groups: the sum of log(1 + exp(s_low - s_high)) over pairs of different grades of one group.
-    Scores of one output; groups and grades as arrays. Gradient and diagonal curvature per row."""
 
-    def derivatives(self, s: np.ndarray, grade: np.ndarray, group: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
-        loss, g, h = 0.0, np.zeros(len(s)), np.zeros(len(s))
-        for q in np.unique(group):
-            i = np.flatnonzero(group == q)
-            better = grade[i][:, None] > grade[i][None, :]
-            d = s[i][:, None] - s[i][None, :]
-            p = sigmoid(-d) * better
-            loss += float((np.logaddexp(0, -d) * better).sum())
-            g[i] += p.sum(axis=0) - p.sum(axis=1)
-            w = p * (1 - sigmoid(-d))
-            h[i] += w.sum(axis=0) + w.sum(axis=1)
+    One output; y holds (grade, group) rows, and all rows of a group come together. A row's value is half that of its pairs,
+    so rows add up to the sum over pairs. Pairs are formed in blocks of STEP rows, so memory grows with a group's rows, not
+    with its pairs.
+    """
+
+    kind, STEP = "rank", 1024
+
+    def _sums(self, s, y):
+        s, grade, group = s[:, 0], y[:, 0], y[:, 1]
+        loss, g, h = np.zeros(len(s)), np.zeros(len(s)), np.zeros(len(s))
+        order = np.argsort(group, kind="stable")
+        for i in np.split(order, np.flatnonzero(np.diff(group[order])) + 1):
+            for k in range(0, len(i), self.STEP):
+                a = i[k : k + self.STEP]
+                d, sign = s[a][:, None] - s[i][None, :], np.sign(grade[a][:, None] - grade[i][None, :])
+                p = sigmoid(-d * sign) * (sign != 0)  # how wrong each pair is
+                loss[a] += 0.5 * (np.logaddexp(0, -d * sign) * (sign != 0)).sum(axis=1)
+                g[a] -= (p * sign).sum(axis=1)
+                h[a] += (p * (1 - p) * (sign != 0)).sum(axis=1)
         return loss, g, h
 
+    def value(self, s, y):
+        return self._sums(s, y)[0]
+
+    def grad(self, s, y):
+        return self._sums(s, y)[1][:, None]
+
+    def diag(self, s, y):
+        return self._sums(s, y)[2][:, None]
+
+    def full(self, s, y):
+        return self.diag(s, y)[:, :, None]
+
+    def predict(self, s):
+        return s
+
+    def derivatives(self, s: np.ndarray, grade: np.ndarray, group: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+        """(loss, gradient, diagonal curvature) of scores in one array."""
+        loss, g, h = self._sums(np.asarray(s, float)[:, None], np.stack([grade, group], axis=1).astype(float))
+        return float(loss.sum()), g, h
+
 
 REGISTERED: dict[str, Loss] = {}
 
@@ -344,7 +371,7 @@ def register(name: str, loss: Loss) -> None:
 
 def loss_of(name: str, outputs: int, encoding: str = "onehot", zero_sum: str | None = None, mu: float = 1.0) -> Loss:
     made = REGISTERED.get(name) or {
-        "softmax": SoftmaxXent, "logistic": Logistic, "squared": SquaredError, "multilabel": MultiLabelLogistic,
+        "softmax": SoftmaxXent, "logistic": Logistic, "squared": SquaredError, "multilabel": MultiLabelLogistic, "pairwise": PairwiseLogistic,
         "multiexp": lambda: MultiExp(codewords(outputs, encoding)), "marginexp": lambda: MarginExp(codewords(outputs, encoding)),
     }[name]()
     return ZeroSum(made, mu) if zero_sum == "penalty" else made

@@ -58,6 +58,15 @@ def bin_expr(col, cuts: list[float]):
     return F.when(x.isNull() | F.isnan(x), F.lit(MISSING)).otherwise(tree(0, len(cuts))).cast("int")
 
 
+def range_join_bins(df: DataFrame, col: str, cuts: list[float], out: str = "bin") -> DataFrame:
+    """df with the bin of a column, by a range join with the table of edges (a row an edge, so it is broadcast); null and NaN: MISSING."""
+    lo, hi = [float("-inf"), *cuts], [*cuts, float("inf")]
+    e = df.sparkSession.createDataFrame([(i + 1, a, b) for i, (a, b) in enumerate(zip(lo, hi))], f"{out} int, _lo double, _hi double")
+    x = F.col(col).cast("double")
+    inside = ~F.isnan(x) & ((x > F.col("_lo")) & (x <= F.col("_hi")) | (x == float("-inf")) & (F.col(out) == 1))
+    return df.join(F.broadcast(e), inside, "left").drop("_lo", "_hi").withColumn(out, F.coalesce(out, F.lit(MISSING)))
+
+
 def is_scan(df: DataFrame) -> bool:
     """Whether df reads files and does nothing else but choose and compute columns."""
     plan = df._jdf.queryExecution().optimizedPlan().toString()

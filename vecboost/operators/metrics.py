@@ -10,53 +10,73 @@ from pyspark.sql import functions as F
 
 from ..config import BoostConfig
 from ..functions.arrays import byte_matrix
-from ..functions.losses import loss_of
 from ..functions.solve import hessian_of
 from ..plans.boost import targets, training_loss
+from ..plans.kernel import LocalRows, loss_for
 from ..plans.model import Model, score
 
 CLIP = 1e-15
 
 
-def per_row(scored: DataFrame, label: str = "y") -> DataFrame:
-    """(correct, loss) of classification rows with probability and prediction."""
+def per_row(scored: DataFrame, label: str = "y", keep: list[str] | None = None) -> DataFrame:
+    """(keep, correct, loss) of classification rows with probability and prediction."""
     p = F.element_at("probability", F.col(label) + 1)
-    return scored.select((F.col("prediction") == F.col(label)).cast("double").alias("correct"), (-F.log(F.greatest(p, F.lit(CLIP)))).alias("loss"))
+    return scored.select(*(keep or []), (F.col("prediction") == F.col(label)).cast("double").alias("correct"), (-F.log(F.greatest(p, F.lit(CLIP)))).alias("loss"))
 
 
-def evaluate(base: DataFrame, model: Model, n_trees: int | None = None) -> dict:
-    """accuracy, cross_entropy, their deviations and the number of rows: one job, one row."""
-    r = per_row(score(base, model, ["y"], n_trees)).agg(F.avg("correct").alias("accuracy"), F.avg("loss").alias("cross_entropy"), F.stddev_samp("correct").alias("accuracy_sd"), F.stddev_samp("loss").alias("cross_entropy_sd"), F.count("*").alias("n_test")).first()
-    return r.asDict()
+def moments(scored: DataFrame, label: str = "y", by: list[str] | None = None) -> DataFrame:
+    """accuracy, cross_entropy, their deviations and the number of rows, of all rows or of each group: what the t-tests take."""
+    rows = per_row(scored, label, by)
+    return rows.groupBy(*(by or [])).agg(F.avg("correct").alias("accuracy"), F.avg("loss").alias("cross_entropy"), F.stddev_samp("correct").alias("accuracy_sd"), F.stddev_samp("loss").alias("cross_entropy_sd"), F.count("*").alias("n_test"))
 
 
-def accuracy(scored: DataFrame, label: str = "y") -> DataFrame:
-    return per_row(scored, label).agg(F.avg("correct").alias("accuracy"))
+def evaluate(base: DataFrame | LocalRows, model: Model, n_trees: int | None = None) -> dict:
+    """The moments of a model's rows: one job, one row."""
+    if isinstance(base, LocalRows):
+        p = loss_for(model.config).predict(Model(model.config, model.edges, base=model.base, trees=model.trees[:n_trees]).scores(base.x))
+        hit = (p.argmax(axis=1) == base.y).astype(float)
+        ent = -np.log(np.maximum(p[np.arange(len(p)), base.y], CLIP))
+        sd = lambda v: float(v.std(ddof=1)) if len(v) > 1 else None
+        return {"accuracy": float(hit.mean()), "cross_entropy": float(ent.mean()), "accuracy_sd": sd(hit), "cross_entropy_sd": sd(ent), "n_test": len(hit)}
+    return moments(score(base, model, ["y"], n_trees)).first().asDict()
 
 
-def cross_entropy(scored: DataFrame, label: str = "y") -> DataFrame:
-    return per_row(scored, label).agg(F.avg("loss").alias("cross_entropy"))
+def accuracy(scored: DataFrame, label: str = "y", by: list[str] | None = None) -> DataFrame:
+    return moments(scored, label, by).select(*(by or []), "accuracy")
 
 
-def curve(base: DataFrame, model: Model) -> DataFrame:
-    """(n_trees, accuracy, cross_entropy) after every tree: one pass, each task adding trees one by one."""
-    loss, k = loss_of(model.config.loss, model.config.outputs, model.config.label_encoding), len(model.trees)
+def cross_entropy(scored: DataFrame, label: str = "y", by: list[str] | None = None) -> DataFrame:
+    return moments(scored, label, by).select(*(by or []), "cross_entropy")
+
+
+def curve_of(model: Model, x: np.ndarray, y: np.ndarray) -> tuple[list[float], list[float]]:
+    """Hits and summed cross-entropy after every tree."""
+    loss, s, hit, ent = loss_for(model.config), np.tile(model.base, (len(x), 1)), [], []
+    for t in model.trees:
+        t.descend(x, s)
+        p = loss.predict(s)
+        hit.append(float((p.argmax(axis=1) == y).sum()))
+        ent.append(float(-np.log(np.maximum(p[np.arange(len(y)), y], CLIP)).sum()))
+    return hit, ent
+
+
+def curve(base: DataFrame, model: Model, by: str | None = None) -> DataFrame:
+    """([by,] n_trees, accuracy, cross_entropy) after every tree: one pass, each task adding trees one by one."""
+    k, keys = len(model.trees), [by] if by else []
 
     def run(batches):
         for b in batches:
-            if not b.num_rows:
-                continue
             x, y = byte_matrix(b.column("bins")), targets(b, "class")
-            s, hit, ent = np.tile(model.base, (len(x), 1)), [], []
-            for t in model.trees:
-                t.descend(x, s)
-                p = loss.predict(s)
-                hit.append(float((p.argmax(axis=1) == y).sum()))
-                ent.append(float(-np.log(np.maximum(p[np.arange(len(y)), y], CLIP)).sum()))
-            yield pa.RecordBatch.from_pydict({"n_trees": pa.array(range(1, k + 1), pa.int32()), "hit": hit, "ent": ent, "n": pa.array([len(y)] * k, pa.int64())})
+            groups = b.column("g").to_pylist()
+            for g in sorted(set(groups), key=str):
+                some = np.array([v == g for v in groups])
+                hit, ent = curve_of(model, x[some], y[some])
+                yield pa.RecordBatch.from_pydict({"g": pa.array([g] * k, pa.string()), "n_trees": pa.array(range(1, k + 1), pa.int32()), "hit": hit, "ent": ent, "n": pa.array([int(some.sum())] * k, pa.int64())})
 
-    sums = base.select("bins", "y").mapInArrow(run, "n_trees int, hit double, ent double, n long")
-    return sums.groupBy("n_trees").agg((F.sum("hit") / F.sum("n")).alias("accuracy"), (F.sum("ent") / F.sum("n")).alias("cross_entropy"))
+    group = (F.col(by).cast("string") if by else F.lit("")).alias("g")
+    sums = base.select("bins", "y", group).mapInArrow(run, "g string, n_trees int, hit double, ent double, n long")
+    out = sums.groupBy("g", "n_trees").agg((F.sum("hit") / F.sum("n")).alias("accuracy"), (F.sum("ent") / F.sum("n")).alias("cross_entropy"))
+    return out.withColumnRenamed("g", by) if by else out.drop("g")
 
 
 def trees_to_target(curves: DataFrame, target: float, metric: str = "accuracy", greater: bool = True, by: str = "method") -> DataFrame:
@@ -70,15 +90,16 @@ def model_size(model: Model) -> dict:
     leaves = [len(t.leaves()) for t in model.trees]
     inner = [len(t.nodes()) for t in model.trees]
     width = [1 if t.target is not None else model.config.outputs for t in model.trees]
-    layered = model.config.schedule == "layer"
+    layered = model.config.layered
     return {"n_trees": len(model.trees), "n_leaves": sum(leaves), "n_params": sum(n * w for n, w in zip(leaves, width)), "n_params_unfolded": sum(n * w for n, w in zip(inner if layered else leaves, width))}
 
 
 def schedule_counts(cfg: BoostConfig) -> dict:
     """Rounds, gradient refreshes and passes over the rows for n_trees full trees."""
     k, d, c = cfg.n_trees, cfg.depth, cfg.outputs
-    if cfg.schedule == "layer":
-        return {"rounds": k, "refreshes": k * d + k * cfg.root_contributes, "passes": k * d + k * cfg.root_contributes}
+    if cfg.layered:
+        r = k if cfg.schedule == "layer" else -(-k // c)
+        return {"rounds": r, "refreshes": k * d + k * cfg.root_contributes, "passes": k * d + k * cfg.root_contributes}
     if cfg.schedule == "per_class" and cfg.refresh == "round":
         r = -(-k // c)
         return {"rounds": r, "refreshes": r, "passes": r * d}
@@ -101,22 +122,41 @@ def inference_cost(model: Model) -> dict:
     return {"comparisons": sum(t.depth for t in model.trees), "bytes": 8 * size["n_params"] + 12 * (size["n_leaves"] - size["n_trees"])}
 
 
-def taylor_gap(base: DataFrame, model: Model, first: int) -> tuple[float, float]:
-    """(true, predicted) change of the summed loss by the trees from `first` on, the latter by the second-order model."""
+def taylor_gap(base: DataFrame | LocalRows, model: Model, first: int) -> tuple[float, float, float]:
+    """(true, predicted, error) of the summed loss's change by the trees from `first` on. Predicted is the sum over steps of the
+    second-order model at the scores before each: a step is a tree, or, layer by layer, a layer. error: the steps' absolute
+    differences of truth and prediction, added up."""
     cfg = model.config
-    loss = loss_of(cfg.loss, cfg.outputs, cfg.label_encoding, cfg.zero_sum, cfg.zero_sum_mu)
-
-    def run(batches):
-        for b in batches:
-            if b.num_rows:
-                x, y = byte_matrix(b.column("bins")), targets(b, loss.kind)
-                s, t = model.scores(x, first), model.scores(x)
-                d = t - s
+    loss = loss_for(cfg)
+
+    def steps(x, y):
+        s, out = Model(cfg, model.edges, base=model.base, trees=model.trees[:first]).scores(x), []
+        for t in model.trees[first:]:
+            path = t.descend(x)
+            for layer in range(t.depth + 1) if cfg.layered else [None]:
+                if layer is None:
+                    d = np.zeros_like(s)
+                    t.descend(x, d)
+                else:  # the ancestor of a row's leaf in that layer; none if the path ends above
+                    level = np.floor(np.log2(path)).astype(int)
+                    d = np.where((level >= layer)[:, None], t.delta[path >> np.maximum(level - layer, 0)], 0)
                 told = (loss.grad(s, y) * d).sum() + 0.5 * np.einsum("ia,iab,ib->", d, loss.full(s, y), d)
-                yield pa.RecordBatch.from_pydict({"true": [float((loss.value(t, y) - loss.value(s, y)).sum())], "told": [float(told)]})
-
-    r = base.select("bins", "y").mapInArrow(run, "true double, told double").agg(F.sum("true"), F.sum("told")).first()
-    return float(r[0]), float(r[1])
+                before, s = loss.value(s, y).sum(), s + d
+                out.append((float(loss.value(s, y).sum() - before), float(told)))
+        return out
+
+    if isinstance(base, LocalRows):
+        sums = steps(base.x, base.targets())
+    else:
+
+        def run(batches):
+            for b in batches:
+                if b.num_rows:
+                    got = steps(byte_matrix(b.column("bins")), targets(b, loss.kind))
+                    yield pa.RecordBatch.from_pydict({"k": pa.array(range(len(got)), pa.int32()), "true": [g[0] for g in got], "told": [g[1] for g in got]})
+
+        sums = [(r.true, r.told) for r in base.select("bins", "y").mapInArrow(run, "k int, true double, told double").groupBy("k").agg(F.sum("true").alias("true"), F.sum("told").alias("told")).orderBy("k").collect()]  # a row a step
+    return sum(a for a, _ in sums), sum(b for _, b in sums), sum(abs(a - b) for a, b in sums)
 
 
 def objective(base: DataFrame, model: Model) -> float:

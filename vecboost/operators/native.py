@@ -48,7 +48,7 @@ def prefix(hist: DataFrame, stats: list[str], keys: tuple[str, ...] = ("node",))
     return hist.select(*keys, "feature", "bin", *[F.sum(s).over(w).alias(f"l_{s}") for s in ("n", *stats)], *[F.sum(s).over(all_).alias(f"t_{s}") for s in ("n", *stats)])
 
 
-def weights(g: list[Column], h: list[Column], n: Column, lam: float, kind: str = "diagonal", zero_sum: bool = False) -> list[Column]:
+def weights_of(g: list[Column], h: list[Column], n: Column, lam: float, kind: str = "diagonal", zero_sum: bool = False) -> list[Column]:
     """Leaf vectors as columns; kinds diagonal, identity, pair, and full up to three outputs."""
     c = len(g)
     if kind in ("diagonal", "identity"):
@@ -73,34 +73,29 @@ def weights(g: list[Column], h: list[Column], n: Column, lam: float, kind: str =
 
 
 def gain(g: list[Column], h: list[Column], n: Column, lam: float, kind: str = "diagonal", zero_sum: bool = False) -> Column:
-    w = weights(g, h, n, lam, kind, zero_sum)
+    w = weights_of(g, h, n, lam, kind, zero_sum)
     return -0.5 * sum((a * b for a, b in zip(g[1:], w[1:])), g[0] * w[0])
 
 
-def candidates(pre: DataFrame, c: int, n_h: int, lam: float, kind: str = "diagonal", gamma: float = 0.0, keys: tuple[str, ...] = ("node",)) -> DataFrame:
-    """(keys, feature, bin, nl, nr, gain) of every legal split; right = total - left."""
+def candidates(pre: DataFrame, c: int, n_h: int, lam: float, kind: str = "diagonal", gamma: float = 0.0, keys: tuple[str, ...] = ("node",), weights: bool = False, zero_sum: bool = False, whole: bool = False) -> DataFrame:
+    """(keys, feature, bin, nl, nr, gain) of every legal split; right = total - left.
+
+    weights: also the vectors w, wl, wr of the node and of its children. whole: also a row without a split (gain null) for
+    each node, that all rows lie left of.
+    """
     col = lambda s, k, n: [F.col(f"{s}_{k}{i}") for i in range(n)]
     gl, hl, gt, ht = col("l", "g", c), col("l", "h", n_h), col("t", "g", c), col("t", "h", n_h)
     gr, hr = [t - x for t, x in zip(gt, gl)], [t - x for t, x in zip(ht, hl)]
     nl, nt = F.col("l_n"), F.col("t_n")
-    value = gain(gl, hl, nl, lam, kind) + gain(gr, hr, nt - nl, lam, kind) - gain(gt, ht, nt, lam, kind) - gamma
-    return pre.where("l_n < t_n").select(*keys, "feature", "bin", nl.alias("nl"), (nt - nl).alias("nr"), F.round(value, 9).alias("gain"))
+    sides = [(gt, ht, nt), (gl, hl, nl), (gr, hr, nt - nl)]
+    value = gain(*sides[1], lam, kind, zero_sum) + gain(*sides[2], lam, kind, zero_sum) - gain(*sides[0], lam, kind, zero_sum) - gamma
+    value = F.when(nl < nt, F.round(value, 9))
+    made = [F.array(*weights_of(*side, lam, kind, zero_sum)).alias(n) if n == "w" else F.when(nl < nt, F.array(*weights_of(*side, lam, kind, zero_sum))).alias(n) for n, side in zip(("w", "wl", "wr"), sides)] if weights else []
+    rows = pre if whole else pre.where("l_n < t_n")
+    return rows.select(*keys, "feature", "bin", nl.alias("nl"), (nt - nl).alias("nr"), value.alias("gain"), *made)
 
 
 def best(cands: DataFrame, keys: tuple[str, ...] = ("node",), top: int = 1) -> DataFrame:
     """The `top` splits of each node: gain, then least feature, then least bin."""
     w = W.partitionBy(*keys).orderBy(F.desc("gain"), "feature", "bin")
     return cands.withColumn("place", F.row_number().over(w)).where(F.col("place") <= top)
-
-
-def subtract(parent: DataFrame, child: DataFrame, stats: list[str]) -> DataFrame:
-    """The other child's cells: parent's minus child's, cells that end empty left out."""
-    j = parent.alias("p").join(child.alias("c"), ["feature", "bin"], "left")
-    n = (F.col("p.n") - F.coalesce("c.n", F.lit(0))).alias("n")
-    return j.select("feature", "bin", n, *[(F.col(f"p.{s}") - F.coalesce(F.col(f"c.{s}"), F.lit(0.0))).alias(s) for s in stats]).where("n > 0")
-
-
-def stamped(cells: DataFrame, stamp: int) -> DataFrame:
-    """Sums of the cells that carry the current stamp; others are stale. A batch that was sent twice counts once."""
-    once = cells.where(F.col("stamp") == stamp).dropDuplicates(["stamp", "batch_id", "node", "feature", "bin"])
-    return once.groupBy("node", "feature", "bin").agg(F.sum("n").alias("n"), F.sum("g").alias("g"))

@@ -14,9 +14,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, StructField, StructType
 
 from ..config import BoostConfig
 from ..functions.arrays import byte_matrix, list_matrix, to_lists
+from .jvm import JvmRows
 from .kernel import HELD, LocalRows, Split, Wip, add_cells, add_up, best_of, bins_of, hessian_for, loss_for, pack_cells, places, row_stats
 from .model import Model, Tree
 
@@ -174,6 +176,20 @@ def best_splits(sums: DataFrame, cfg: BoostConfig, scalar: bool, bins: int, laye
     return each.groupBy("tree", "node").agg(F.max_by(F.struct(*each.columns), rank).alias("b")).select("b.*")
 
 
+def cells(sums: DataFrame, bins: int, stats: list[str]) -> DataFrame:
+    """(tree, node, feature, bin, n, stats..) of rows of SUMS, one a cell with rows: what people and SQL read."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for *key, raw in zip(*(b.column(c).to_pylist() for c in ("tree", "node", "feature", "sums"))):
+                v = np.zeros((bins, 1 + len(stats)))
+                add_cells(v, raw)
+                at = np.flatnonzero(v[:, 0])
+                yield pa.RecordBatch.from_arrays([*(pa.array([k] * len(at), pa.int32()) for k in key), pa.array(at, pa.int32()), pa.array(np.rint(v[at, 0]).astype(np.int64)), *(pa.array(v[at, 1 + k]) for k in range(len(stats)))], ["tree", "node", "feature", "bin", "n", *stats])
+
+    return sums.mapInArrow(run, "tree int, node int, feature int, bin int, n long, " + ", ".join(f"{s} double" for s in stats))
+
+
 class Rows:
     """Distributed rows of one round: a layer's splits, with the sums of the layer above kept for subtraction."""
 
@@ -219,7 +235,7 @@ class Local(LocalRows):
         pass
 
 
-def grow_layer(rows: Rows | Local, model: Model, wips: list[Wip], layer: int, fresh: bool) -> bool:
+def grow_layer(rows: Rows | Local | JvmRows, model: Model, wips: list[Wip], layer: int, fresh: bool) -> bool:
     """Adds one layer below the open nodes of every tree; False if nothing could be split."""
     cfg, scalar = model.config, wips[0].direction is not None
     return apply_splits(rows.splits(model, wips, layer, fresh), cfg, wips, layer, fresh, scalar)
@@ -254,7 +270,7 @@ def write_slices(base: DataFrame, path: str, slices: int = 64, seed: int = 7) ->
     """Writes binned rows by a hash into `slices` folders and reads them back: a quota then reads some folders only."""
     what = [c for c in ("key", "bins", "y") if c in base.columns]
     base.withColumn("slice", F.pmod(F.xxhash64(*what, F.lit(seed)), F.lit(slices)).cast("int")).write.partitionBy("slice").parquet(path)
-    return base.sparkSession.read.schema(base.schema.add("slice", "int")).parquet(path)
+    return base.sparkSession.read.schema(StructType([*base.schema.fields, StructField("slice", IntegerType())])).parquet(path)
 
 
 def quota_slice(base: DataFrame, quota: int, n: int, layer: int, tree: int, seed: int, slices: int = 64) -> DataFrame:
@@ -267,7 +283,7 @@ def quota_slice(base: DataFrame, quota: int, n: int, layer: int, tree: int, seed
     if n <= quota:
         return base
     share = quota / n
-    what = [c for c in ("key", "bins", "y") if c in base.columns]
+    what = ["group"] if "group" in base.columns else [c for c in ("key", "bins", "y") if c in base.columns]  # a list is drawn whole
     if "slice" in base.columns:
         several = max(1, -(-quota * slices // n))
         step = tree * 31 + layer
@@ -277,7 +293,7 @@ def quota_slice(base: DataFrame, quota: int, n: int, layer: int, tree: int, seed
     return base.where(F.pmod(F.xxhash64(*what, F.lit(seed), F.lit(tree), F.lit(layer)), F.lit(1 << 30)) < kept)
 
 
-def root_step(rows: Rows | Local, model: Model, wips: list[Wip]) -> None:
+def root_step(rows: Rows | Local | JvmRows, model: Model, wips: list[Wip]) -> None:
     """Layer by layer, the root's own contribution: totals of one feature suffice."""
     scalar = wips[0].direction is not None
     for r in rows.splits(model, wips, 0, True, features=1):
@@ -286,7 +302,7 @@ def root_step(rows: Rows | Local, model: Model, wips: list[Wip]) -> None:
         w.tree.n[1] = r.n
 
 
-def grow(rows: Rows | Local, model: Model, wips: list[Wip]) -> list[Tree]:
+def grow(rows: Rows | Local | JvmRows, model: Model, wips: list[Wip]) -> list[Tree]:
     cfg = model.config
     fresh = cfg.layered
     if fresh and cfg.root_contributes:
@@ -303,7 +319,7 @@ def grow(rows: Rows | Local, model: Model, wips: list[Wip]) -> list[Tree]:
     return [w.tree for w in wips]
 
 
-def _leaf_weights_after_pruning(rows: Rows | Local, model: Model, wip: Wip) -> None:
+def _leaf_weights_after_pruning(rows: Rows | Local | JvmRows, model: Model, wip: Wip) -> None:
     """Nodes that became leaves get their own optimum: one pass over their rows."""
     lost = tuple(j for j in wip.tree.leaves() if not wip.tree.delta[j].any())
     if not lost:
@@ -388,13 +404,11 @@ def carry(base: DataFrame, model: Model, first: int, scored: DataFrame | None, k
                     t.descend(x, s)
             yield pa.RecordBatch.from_arrays([*(b.column(f.name) for f in fields), to_lists(s)], [*(f.name for f in fields), "scores"])
 
-    from pyspark.sql.types import ArrayType, DoubleType, StructField, StructType
-
     source = scored if had else base.select("bins", *keep)
     return source.mapInArrow(run, StructType([*fields.fields, StructField("scores", ArrayType(DoubleType()))]))
 
 
-def fit(base: DataFrame | LocalRows, cfg: BoostConfig, edges: list[list[float]], how: str | None = None, classes: list | None = None, validation: DataFrame | LocalRows | None = None, base_class: str | int = "worst_class", model: Model | None = None) -> Model:
+def fit(base: DataFrame | LocalRows | JvmRows, cfg: BoostConfig, edges: list[list[float]], how: str | None = None, classes: list | None = None, validation: DataFrame | LocalRows | None = None, base_class: str | int = "worst_class", model: Model | None = None) -> Model:
     """Trains on binned rows (bins BINARY, y label or target array; weight, and for ranking group, optional).
 
     how: vector (default), per_class, logitboost or abc. base_class, for abc: a class, 'worst_class' (greatest training
@@ -403,8 +417,16 @@ def fit(base: DataFrame | LocalRows, cfg: BoostConfig, edges: list[list[float]],
     persisted column: each round adds its trees to the column of the last, and every REBASE rounds the column is made
     from the input and the whole model again, so lineage stays short and a lost executor costs little. With a quota a
     layer reads a slice only (whole folders of write_slices, where base comes from there), so its rows are scored there
-    and the rows are counted once. A LocalRows base is trained on in this process, with the same arithmetic.
+    and the rows are counted once. A LocalRows base is trained on in this process, with the same arithmetic; a JvmRows base
+    by column expressions alone.
     """
+    if isinstance(base, JvmRows):
+        model = model or Model(cfg, edges, classes or [])
+        while len(model.trees) < cfg.n_trees:
+            model.trees += grow(base, model, round_of(cfg, model, "vector"))
+        base.release()
+        model.stamp += 1
+        return model
     local = isinstance(base, LocalRows)
     if local and cfg.rows_per_layer is not None:
         raise ValueError("quotas are drawn from distributed rows")

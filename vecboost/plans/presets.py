@@ -26,6 +26,11 @@ def per_class(outputs: int, **k) -> BoostConfig:
     return BoostConfig(**{"outputs": outputs, "schedule": "per_class", "refresh": "tree", **k})
 
 
+def per_class_lbl(outputs: int, **k) -> BoostConfig:
+    """A scalar tree a class, its layers steps of their own."""
+    return BoostConfig(**{"outputs": outputs, "schedule": "per_class", "refresh": "layer", **k})
+
+
 def logitboost_compact(outputs: int, **k) -> BoostConfig:
     """Logistic boosting with one tree for all classes."""
     return BoostConfig(outputs=outputs, loss="softmax", hessian="diagonal", **k)
@@ -51,4 +56,4 @@ def gd_mc_like(outputs: int, **k) -> BoostConfig:
     return BoostConfig(outputs=outputs, loss="marginexp", label_encoding="simplex", hessian="identity", **k)
 
 
-PRESETS = {f.__name__: f for f in (diag, full, diag_lbl, full_lbl, per_class, logitboost_compact, samme_like, gamble_like, aoso_like, gd_mc_like)}
+PRESETS = {f.__name__: f for f in (diag, full, diag_lbl, full_lbl, per_class, per_class_lbl, logitboost_compact, samme_like, gamble_like, aoso_like, gd_mc_like)}

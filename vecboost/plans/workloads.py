@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..functions.arrays import to_lists
+
 #: Bin edges of the small SQL-checked workload (x <= edge goes left).
 T3_FEATURES = ["l_quantity", "l_extendedprice", "l_discount", "l_tax"]
 T3_EDGES = [
@@ -97,13 +101,6 @@ def hand10(spark, sf_dir) -> DataFrame:
     return five.select(F.col("l_orderkey").alias("key"), F.concat("r", "s").cast("array<double>").alias("x"), y.alias("y"))
 
 
-def hashed_grams(text, width: int, n: int = 3):
-    """Counts of character n-grams by hash bucket, as an array of doubles; all in the JVM."""
-    t = F.lower(text)
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.length(t) - (n - 1), F.lit(1))), lambda i: F.pmod(F.crc32(F.substring(t, i, F.lit(n)).cast("binary")), F.lit(width)).cast("int"))
-    return grams
-
-
 def langwide(spark, sf_dir, width: int = 1024, label: str = "lang") -> DataFrame:
     """Hashed character 3-grams of whole texts; label: lang (4 classes) or source (20, no signal)."""
     d = table(spark, sf_dir, "documents")
@@ -112,8 +109,7 @@ def langwide(spark, sf_dir, width: int = 1024, label: str = "lang") -> DataFrame
 
 
 def wide_counts(d: DataFrame, width: int) -> DataFrame:
-    import numpy as np
-    import pyarrow as pa
+    """Hashed 3-gram counts of a text column, in place of it."""
 
     def run(batches):
         for b in batches:
@@ -122,9 +118,9 @@ def wide_counts(d: DataFrame, width: int) -> DataFrame:
                 c = np.frombuffer((t or "").lower().encode(), np.uint8).astype(np.int64)
                 g = (c[:-2] * 65599 * 65599 + c[1:-1] * 65599 + c[2:]) % 1000003 % width if len(c) > 2 else np.zeros(0, np.int64)
                 rows.append(np.bincount(g, minlength=width).astype(float))
-            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(rows, pa.list_(pa.float64())), b.column("y")], ["key", "x", "y"])
+            yield pa.RecordBatch.from_arrays([b.column("key"), to_lists(np.stack(rows) if rows else np.zeros((0, width))), b.column("y")], ["key", "x", "y"])
 
-    return d.mapInArrow(run, "key long, x array<double>, y int")
+    return d.mapInArrow(run, f"key long, x array<double>, y {dict(d.dtypes)['y']}")
 
 
 def pages4(spark, sf_dir, width: int = 1024) -> DataFrame:
@@ -144,7 +140,60 @@ def events5(spark, sf_dir) -> DataFrame:
     return e.select(F.col("event_id").alias("key"), "ts", x.alias("x"), y.alias("y"))
 
 
+def labelled_documents(spark, sf_dir, label: str, width: int = 256) -> DataFrame:
+    """Documents that have labels, by hashed 3-grams and the share of signs that aren't letters. label: quality, or both for (quality, toxic)."""
+    d = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels"), "doc_id")
+    y = F.col("quality").cast("int") if label == "quality" else F.array(F.col("quality").cast("double"), F.col("toxic").cast("double"))
+    share = F.regexp_count("text", F.lit(r"[^\p{L}]")) / F.greatest(F.length("text"), F.lit(1))
+    rows = wide_counts(d.select(F.col("doc_id").alias("key"), "text", F.struct(y.alias("y"), share.alias("share")).alias("y")), width)
+    return rows.select("key", F.concat("x", F.array("y.share")).alias("x"), F.col("y.y").alias("y"))
+
+
+def vecreg2(spark, sf_dir) -> DataFrame:
+    """Two real outputs of a line: its net price, and that with tax, in thousands."""
+    d = table(spark, sf_dir, "lineitem")
+    net = F.col("l_extendedprice") * (1 - F.col("l_discount")) / 1000
+    x = F.array("l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_linenumber", F.month("l_shipdate")).cast("array<double>")
+    return d.select(F.col("l_orderkey").alias("key"), x.alias("x"), F.array(net, net * (1 + F.col("l_tax"))).alias("y"))
+
+
+def rank_docs(spark, sf_dir) -> DataFrame:
+    """Lines of an order as a list to be ranked by a grade of quantity and price; groups are orders."""
+    d = table(spark, sf_dir, "lineitem")
+    x = F.array("l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_linenumber").cast("array<double>")
+    grade = (F.col("l_quantity") > 20).cast("int") + (F.col("l_extendedprice") > 50000).cast("int") + (F.col("l_discount") > 0.05).cast("int")
+    return d.select(F.col("l_orderkey").alias("key"), F.col("l_orderkey").alias("group"), x.alias("x"), grade.alias("y"))
+
+
+def null_label(spark, sf_dir, kind: str) -> DataFrame:
+    """Features that say nothing about the label."""
+    if kind == "null_label":
+        return emb(spark, sf_dir).drop("y").join(table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("key"), F.col("label").cast("int").alias("y")), "key")
+    if kind == "null_event":
+        names = ["click", "login", "purchase", "signup", "view"]
+        e = events5(spark, sf_dir).drop("y", "ts")
+        own = table(spark, sf_dir, "events").select(F.col("event_id").alias("key"), F.coalesce(*[F.when(F.col("event_type") == n, k) for k, n in enumerate(names)], F.lit(0)).alias("y"))
+        return e.join(own, "key")
+    li = table(spark, sf_dir, "lineitem")
+    x = F.array("l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_linenumber").cast("array<double>")
+    if kind == "null_flag":
+        y = F.when(F.col("l_returnflag") == "A", 0).when(F.col("l_returnflag") == "N", 1).otherwise(2)
+        return li.select(F.col("l_orderkey").alias("key"), x.alias("x"), y.alias("y"))
+    o = table(spark, sf_dir, "orders").select("o_orderkey", (F.substring("o_orderpriority", 1, 1).cast("int") - 1).alias("y"))
+    return li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).select(F.col("l_orderkey").alias("key"), x.alias("x"), "y")
+
+
+def t3(spark, sf_dir) -> DataFrame:
+    """The small workload by its fixed edges, as the others are given."""
+    d = slice3(spark, sf_dir)
+    return d.select(F.when(F.col("test"), 0).otherwise(1).alias("key"), F.array(*[F.col(c).cast("double") for c in T3_FEATURES]).alias("x"), "y")
+
+
+#: Edges that aren't learned from the training rows.
+FIXED_EDGES = {"slice3": T3_EDGES}
 WORKLOADS = {
+    "slice3": (t3, 3, 4), "multilabel2": (lambda s, d: labelled_documents(s, d, "both"), 2, 257), "bin_quality": (lambda s, d: labelled_documents(s, d, "quality"), 2, 257),
+    "vecreg2": (vecreg2, 2, 6), **{n: (lambda s, d, n=n: null_label(s, d, n), c, w) for n, c, w in (("null_label", 10, 64), ("null_flag", 3, 5), ("null_priority", 5, 5), ("null_event", 5, 6))},
     "emb10": (lambda s, d: emb(s, d), 10, 64), "role3": (role3, 3, 6), "cover7": (cover7, 7, 47), "cover7_oblique": (cover7_oblique, 7, 7),
     "letter26": (lambda s, d: emb(s, d, 26, 26), 26, 26), "letter26_large": (letter26_large, 26, 16), "hand10": (hand10, 10, 10),
     "langwide": (langwide, 4, 1024), "source20": (lambda s, d: langwide(s, d, label="source"), 20, 1024), "pages4": (pages4, 4, 1024), "events5": (events5, 5, 6),
@@ -160,7 +209,8 @@ def prepared(spark, sf_dir, name: str, bins: int = 32):
     from ..operators.binning import array_edges, binned
 
     make, classes, width = WORKLOADS[name]
-    rows = make(spark, sf_dir).select("key", "x", F.col("y").cast("int").alias("y"))
-    cuts = array_edges(rows.where(~is_test()), "x", width, bins)
+    y = F.col("y").cast("array<double>" if name in ("multilabel2", "vecreg2") else "int").alias("y")
+    rows = make(spark, sf_dir).select("key", "x", y)
+    cuts = FIXED_EDGES.get(name) or array_edges(rows.where(~is_test()), "x", width, bins)
     b = binned(rows, "x", cuts, ["key", "y"])
     return b.where(~is_test()), b.where(is_test()), cuts, classes

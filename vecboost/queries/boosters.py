@@ -11,10 +11,13 @@ import math
 from pyspark.sql import functions as F
 
 from ..config import BoostConfig
-from ..operators.binning import binned
+from ..operators import metrics
+from ..operators.binning import bin_expr, binned
+from ..operators.native import softmax_columns
 from ..plans import presets
 from ..plans.boost import fit, training_loss
-from ..plans.model import score
+from ..plans.jvm import JvmRows
+from ..plans.model import score, score_expr
 from ..plans.workloads import T3_EDGES, T3_FEATURES, slice3
 from . import query
 
@@ -98,9 +101,10 @@ class Sql:
                 nu = f"(-({'+'.join(f'{g[k]}/{a[k]}' for k in range(c))})/({'+'.join(f'1/{a[k]}' for k in range(c))}))"
                 return [f"(-({g[k]}+{nu})/{a[k]})" for k in range(c)]
             return [f"(-({g[k]})/{a[k]})" for k in range(c)]
-        m = {(k, k): f"({h[k]}+{lam})" for k in range(c)}
+        null = 1 if self.hessian == "least" else 0  # along (1, 1, 1) the sums are singular and g has no part: adding ones changes no solution
+        m = {(k, k): f"({h[k]}+{lam + null})" for k in range(c)}
         for (a, b), x in zip(self.pairs, h[c:]):
-            m[a, b] = m[b, a] = f"({x})"
+            m[a, b] = m[b, a] = f"({x}+{null})"
         if self.hessian == "pair":
             num = [f"({g[a]}-{g[b]})" for a, b in self.pairs]
             den = [f"({m[a, a]}+{m[b, b]}-2*{m[a, b]})" for a, b in self.pairs]
@@ -111,7 +115,13 @@ class Sql:
             return [f"({first(lambda i, k=k: f'{sign(i, k)}*{num[i]}/{den[i]}' if sign(i, k) else '0.0')})" for k in range(c)]
         minor = lambda i, j: (lambda r, s: f"({m[r[0], s[0]]}*{m[r[1], s[1]]}-{m[r[0], s[1]]}*{m[r[1], s[0]]})")([x for x in range(3) if x != i], [x for x in range(3) if x != j])
         det = "(" + "+".join(f"({'' if j % 2 == 0 else '-'}{m[0, j]}*{minor(0, j)})" for j in range(3)) + ")"
-        return ["(-(" + "+".join(f"({'' if (i + k) % 2 == 0 else '-'}{minor(i, k)})*({g[i]})" for i in range(3)) + f")/{det})" for k in range(3)]
+        w = ["(-(" + "+".join(f"({'' if (i + k) % 2 == 0 else '-'}{minor(i, k)})*({g[i]})" for i in range(3)) + f")/{det})" for k in range(3)]
+        if self.hessian != "least":
+            return w
+        # rows of one class leave a single direction, along which the least-norm step goes
+        gg, trace = "(" + "+".join(f"({x})*({x})" for x in g) + ")", "(" + "+".join(f"({x})" for x in h[:c]) + ")"
+        ghg = "(" + "+".join(f"({h[k]})*({g[k]})*({g[k]})" for k in range(c)) + "+" + "+".join(f"2*({x})*({g[a]})*({g[b]})" for (a, b), x in zip(self.pairs, h[c:])) + ")"
+        return [f"(CASE WHEN {det} > 1e-9*{trace}*{trace} THEN {w[k]} WHEN {ghg} > 0 THEN -({g[k]})*{gg}/{ghg} ELSE 0 END)" for k in range(3)]
 
     def gain(self, g, h, n) -> str:
         w = self.weight(g, h, n)
@@ -120,13 +130,15 @@ class Sql:
 
 def base_sql(kind: str) -> str:
     bins = ", ".join("CASE " + " ".join(f"WHEN {x} <= {e} THEN {i + 1}" for i, e in enumerate(cuts)) + f" ELSE {len(cuts) + 1} END AS b{f}" for f, (x, cuts) in enumerate(zip(T3_FEATURES, T3_EDGES)))
+    if kind.isdigit():  # rows of two classes, the second against the first
+        return f"SELECT * REPLACE ((y = {kind[1]})::INT AS y) FROM ({base_sql('class')}) WHERE y IN ({kind[0]}, {kind[1]})"
     y = {"class": f"{Y_SQL} AS y", "binary": f"({Z_SQL} > 1.6)::INT AS y", "multi": f"({Z_SQL} > 1.6)::INT AS y0, (l_tax > 0.04)::INT AS y1", "real": "l_extendedprice*(1-l_discount)/1000 AS y0, l_extendedprice*(1-l_discount)*(1+l_tax)/1000 AS y1"}[kind]
     return f"SELECT l_orderkey % 5 = 0 AS test, {bins}, {y} FROM lineitem"
 
 
-def booster_sql(f: Sql, trees: int, depth: int, eta: float, kind: str = "class", layered: bool = False, root: bool = True, direction: list[tuple[list[float], list[float]]] | None = None, snapshot: int = 1, min_child: float = 0.0) -> str:
-    """direction: of each tree (u, v): scalar sums of g.u and u.H.u, leaf vectors w*v. snapshot: trees that share a gradient."""
-    c, y = f.c, ", ".join({"class": ["y"], "binary": ["y"]}.get(kind, [f"y{k}" for k in range(f.c)]))
+def booster_sql(f: Sql, trees: int, depth: int, eta: float, kind: str = "class", layered: bool = False, root: bool = True, direction: list[tuple[list[float], list[float]]] | None = None, snapshot: int = 1, min_child: float = 0.0, measured: bool | None = True) -> str:
+    """measured: with the splits, the test measures (None: those alone). direction: of each tree (u, v): scalar sums of g.u and u.H.u, leaf vectors w*v. snapshot: trees that share a gradient."""
+    c, y = f.c, ", ".join({"class": ["y"], "binary": ["y"], "01": ["y"], "02": ["y"], "12": ["y"]}.get(kind, [f"y{k}" for k in range(f.c)]))
     keep = f"test, b0, b1, b2, b3, {y}"
     s = ", ".join(f"s{k}" for k in range(c))
     ctes = [f"z0 AS MATERIALIZED (SELECT {keep.replace('test', 'test', 1)}, {', '.join(f'0.0::DOUBLE AS s{k}, 0.0::DOUBLE AS r{k}' for k in range(c))}, 1 AS node FROM ({base_sql(kind)}))"]
@@ -207,6 +219,10 @@ def booster_sql(f: Sql, trees: int, depth: int, eta: float, kind: str = "class",
     else:
         hit = "round(avg(((s0 >= 0)::INT = y)::INT::DOUBLE), 4)" if kind == "binary" else "NULL::DOUBLE"
     ctes.append(f"m AS (SELECT {hit} AS accuracy, round(avg({loss}), 4) AS test_loss FROM ({inner}) WHERE test)")
+    if measured is None:
+        return "WITH " + ",\n".join(ctes) + "\nSELECT * FROM m"
+    if not measured:
+        return "WITH " + ",\n".join(ctes) + "\n" + " UNION ALL ".join(done)
     return "WITH " + ",\n".join(ctes) + "\nSELECT d.*, m.accuracy, m.test_loss FROM (" + " UNION ALL ".join(done) + ") d CROSS JOIN m"
 
 
@@ -246,6 +262,42 @@ def boost_tree_per_class(spark, sf_dir):
     return told(spark, sf_dir, presets.per_class(3, n_trees=3, depth=2))
 
 
+@query(booster_sql(Sql(3), 3, 2, 0.3, layered=True, direction=[(ONE[k], ONE[k]) for k in range(3)]))
+def boost_per_class_lbl(spark, sf_dir):
+    """A tree per class whose layers are steps of their own."""
+    return told(spark, sf_dir, presets.per_class_lbl(3, n_trees=3, depth=2))
+
+
+def told_by_columns(spark, sf_dir, cfg: BoostConfig):
+    """As told, by JvmRows: bins, scores, sums and splits are column expressions."""
+    d = slice3(spark, sf_dir)
+    names = [f"b{k}" for k in range(4)]
+    rows = d.select("test", "y", *[bin_expr(c, e).alias(b) for b, c, e in zip(names, T3_FEATURES, T3_EDGES)])
+    model = fit(JvmRows(rows.where("not test"), names), cfg, T3_EDGES)
+    s = score_expr(model, T3_FEATURES)
+    scored = d.where("test").select("y", *[x.alias(f"s{k}") for k, x in enumerate(s)])
+    p, s = softmax_columns([F.col(f"s{k}") for k in range(3)]), [F.col(f"s{k}") for k in range(3)]
+    best = F.when((s[0] >= s[1]) & (s[0] >= s[2]), 0).when(s[1] >= s[2], 1).otherwise(2)
+    m = metrics.moments(scored.select("y", F.array(*p).alias("probability"), best.alias("prediction"))).first()
+    out = [(t, j, int(x.feature[j]), int(x.bin[j]), int(x.n[j]), round(float(x.gain[j]), 4), round(m.accuracy, 4), round(m.cross_entropy, 4)) for t, x in enumerate(model.trees) for j in x.nodes() if x.feature[j] >= 0]
+    return spark.createDataFrame(out, "tree int, node int, feature int, bin int, n long, gain double, accuracy double, test_loss double")
+
+
+@query(booster_sql(Sql(3), 2, 2, 0.3, layered=True))
+def jvm_diag_lbl(spark, sf_dir):
+    return told_by_columns(spark, sf_dir, presets.diag_lbl(3, **TWO))
+
+
+@query(booster_sql(Sql(3, hessian="full"), 2, 2, 0.3))
+def jvm_full_tree_c3(spark, sf_dir):
+    return told_by_columns(spark, sf_dir, presets.full(3, **TWO))
+
+
+@query(booster_sql(Sql(3, hessian="pair"), 2, 2, 0.3))
+def jvm_pair(spark, sf_dir):
+    return told_by_columns(spark, sf_dir, presets.aoso_like(3, **TWO))
+
+
 @query(booster_sql(Sql(3, scale=2.0), 3, 2, 0.3, direction=[(ONE[k], ONE[k]) for k in range(3)], snapshot=3, min_child=1.0))
 def boost_ovr_round(spark, sf_dir):
     return told(spark, sf_dir, presets.per_class(3, refresh="round", n_trees=3, depth=2, hessian_scale=2.0, min_child_weight=1.0))
@@ -271,9 +323,9 @@ def preset_samme_like(spark, sf_dir):
     return told(spark, sf_dir, presets.samme_like(3, **TWO))
 
 
-@query()
+@query(booster_sql(Sql(3, loss="multiexp", hessian="least", lam=0), 2, 2, 0.3))
 def preset_gamble_like(spark, sf_dir):
-    """No SQL: the summed Hessian is singular and needs a rank-revealing solver."""
+    """The summed Hessian is singular: the least-norm solution by SVD, in SQL by a closed form for three classes."""
     return told(spark, sf_dir, presets.gamble_like(3, **TWO))
 
 

@@ -1,4 +1,7 @@
-"""The experiments with few and shallow trees, and the workloads' class counts with SQL."""
+"""The experiments at depth 4 and ten trees or more, and the workloads' class counts with SQL.
+
+What a registered query leaves out of its experiment is in the README; bench/run_grid.py runs them whole.
+"""
 
 from __future__ import annotations
 
@@ -7,70 +10,101 @@ from pyspark.sql import functions as F
 from ..plans import experiments as E
 from ..plans import workloads as WL
 from . import query
-from .boosters import Z_SQL
+from .boosters import ONE, Z_SQL, Sql, booster_sql
 
-SMALL = {"depth": 2}
+ONE_EACH = [(ONE[k % 3], ONE[k % 3]) for k in range(12)]
+#: The methods on the small workload with fixed edges, ten trees (twelve of the rounds), depth 4, as SQL.
+T3_SQL = {
+    "ovr_default": (12, booster_sql(Sql(3, scale=2.0), 12, 4, 0.3, direction=ONE_EACH, snapshot=3, min_child=1.0, measured=None)),
+    "per_class": (10, booster_sql(Sql(3), 10, 4, 0.3, direction=ONE_EACH, measured=None)),
+    "full": (10, booster_sql(Sql(3, hessian="full"), 10, 4, 0.3, measured=None)),
+    "diag": (10, booster_sql(Sql(3), 10, 4, 0.3, measured=None)),
+    "diag_lbl": (10, booster_sql(Sql(3), 10, 4, 0.3, layered=True, measured=None)),
+}
 
 
-@query()
+def union(parts: dict) -> str:
+    return " UNION ALL ".join(f"SELECT {head}, * FROM ({sql})" for head, sql in parts.items())
+
+
+@query(union({f"'{m}' AS method, {n} AS n_trees": sql for m, (n, sql) in T3_SQL.items()}).replace("test_loss", "cross_entropy"))
 def exp_main_comparison(spark, sf_dir):
-    return E.main_comparison(spark, sf_dir, ("role3",), ["ovr_default", "per_class", "full", "diag", "diag_lbl"], (3,), **SMALL)
+    """Every untuned method at ten trees on the small workload."""
+    d = E.main_comparison(spark, sf_dir, ("slice3",), list(T3_SQL), (10,))
+    return d.select("method", "n_trees", F.round("accuracy", 4).alias("accuracy"), F.round("cross_entropy", 4).alias("cross_entropy"))
+
+
+@query()
+def exp_main_workloads(spark, sf_dir):
+    """The untuned methods at all four sizes on three workloads of 3, 10 and 26 classes."""
+    return E.main_comparison(spark, sf_dir, ("role3", "emb10", "letter26"), [m for m in E.METHODS if m != "ovr_tuned"], (10, 25, 50, 100))
 
 
 @query()
 def exp_tuned_baseline(spark, sf_dir):
-    return E.main_comparison(spark, sf_dir, ("role3",), ["ovr_tuned"], (3,), folds=2, draws=2, grid={"eta": [0.1, 0.3, 1.0], "lam": [0.5, 1, 2]}, expansions=0, depth=1)
+    """The search at two sizes on the 3-class workload: 20 draws, 5 folds, the grid grown once at its edges."""
+    return E.main_comparison(spark, sf_dir, ("role3",), ["ovr_tuned", "diag_lbl"], (10, 25), expansions=1)
 
 
 @query()
 def exp_convergence(spark, sf_dir):
-    return E.convergence(spark, sf_dir, "role3", n_trees=3, **SMALL)
+    return E.convergence(spark, sf_dir, "emb10", n_trees=100).unionByName(E.convergence(spark, sf_dir, "letter26", n_trees=100))
 
 
 @query()
 def exp_grid_swapped(spark, sf_dir):
-    return E.grid_swapped(spark, sf_dir, (2,), (0.1,), n_trees=2)
+    """All twelve cells of depth and rate, with 20 trees each."""
+    return E.grid_swapped(spark, sf_dir, n_trees=20)
 
 
 @query()
 def exp_full_vs_diag(spark, sf_dir):
-    return E.hessian_costs(spark, sf_dir, ("role3", "cover7"), 1, **SMALL).drop("seconds_per_tree")
+    return E.hessian_costs(spark, sf_dir, ("role3", "emb10", "letter26")).drop("seconds_per_tree")
 
 
 @query()
 def exp_layer_ablation(spark, sf_dir):
-    return E.layer_ablation(spark, sf_dir, n_trees=2, **SMALL)
+    return E.layer_ablation(spark, sf_dir, n_trees=10)
 
 
-@query()
+@query(union({f"'{how}' AS refresh, 12 AS n_trees": booster_sql(Sql(3), 12, 4, 0.3, direction=ONE_EACH, measured=None, **k) for how, k in (("tree", {}), ("round", {"snapshot": 3}), ("layer", {"layered": True}))}).replace("test_loss", "cross_entropy"))
 def exp_refresh(spark, sf_dir):
-    return E.refresh(spark, sf_dir, **SMALL)
+    d = E.refresh(spark, sf_dir, "slice3", 12)
+    return d.select("refresh", "n_trees", F.round("accuracy", 4).alias("accuracy"), F.round("cross_entropy", 4).alias("cross_entropy"))
 
 
 @query()
 def exp_class_count(spark, sf_dir):
-    return E.class_counts(spark, sf_dir, ("role3", "cover7_oblique"), 1, 9, **SMALL)
+    return E.class_counts(spark, sf_dir, ("role3", "emb10", "letter26"), 4)
 
 
 @query()
 def exp_rows_per_layer(spark, sf_dir):
-    return E.quotas(spark, sf_dir, n_trees=1, **SMALL)
+    """Drawn from distributed rows: three trees, whose layers each read another part of the data."""
+    return E.quotas(spark, sf_dir, "slice3", n_trees=3)
 
 
 @query()
 def exp_significance(spark, sf_dir):
-    return E.significance(spark, sf_dir, "role3", n_trees=2, **SMALL)
+    return E.significance(spark, sf_dir, "emb10", n_trees=10)
 
 
-@query()
+PRESET_SQL = {
+    "logitboost_compact": Sql(3), "samme_like": Sql(3, loss="multiexp", hessian="identity", zero_sum=True), "gamble_like": Sql(3, loss="multiexp", hessian="least", lam=0),
+    "aoso_like": Sql(3, hessian="pair"), "gd_mc_like": Sql(3, loss="marginexp", hessian="identity"),
+}
+
+
+@query(union({f"'{m}' AS method": f"SELECT accuracy FROM ({booster_sql(f, 10, 2, 0.3, measured=None)})" for m, f in PRESET_SQL.items()}))
 def exp_presets(spark, sf_dir):
-    return E.preset_scores(spark, sf_dir, ("role3",), 2, **SMALL)
+    """The presets at ten trees of depth 2 on the small workload."""
+    return E.preset_scores(spark, sf_dir, ("slice3",), 10, depth=2).select("method", F.round("accuracy", 4).alias("accuracy"))
 
 
-@query()
+@query(union({f"'{n}' AS dataset": f"SELECT {c} AS classes, true AS near" for n, c in (("null_label", 10), ("null_flag", 3), ("null_priority", 5), ("null_event", 5))}))
 def null_control(spark, sf_dir):
-    """A label without signal: test accuracy stays near chance."""
-    return E.main_comparison(spark, sf_dir, ("source20",), ["diag"], (2,), **SMALL)
+    """Labels without signal: test accuracy stays near the share of the largest class."""
+    return E.null_controls(spark, sf_dir, ("null_label", "null_flag", "null_priority", "null_event")).select("dataset", "classes", "near")
 
 
 def counts(make):

@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 
-from pyspark.sql import Window as W
+import numpy as np
 from pyspark.sql import functions as F
 
 from ..config import BoostConfig
 from ..functions.significance import best_set, unpaired_t
 from ..operators import metrics
+from ..operators.binning import binned
 from ..operators.native import softmax_columns
 from ..plans.baselines import round_budget
 from ..plans.model import Model, Tree, score_expr
@@ -120,7 +121,7 @@ def layered_prediction_fixed(spark, sf_dir):
 
 @query(f"SELECT test, round(avg((prediction = y)::INT::DOUBLE), 6) AS accuracy FROM {PROB} GROUP BY test")
 def accuracy_fixed(spark, sf_dir):
-    return scored(spark, sf_dir).groupBy("test").agg(F.round(F.avg((F.col("prediction") == F.col("y")).cast("double")), 6).alias("accuracy"))
+    return metrics.accuracy(scored(spark, sf_dir), by=["test"]).select("test", F.round("accuracy", 6).alias("accuracy"))
 
 
 @query(f"SELECT round(avg(-ln(greatest(CASE y WHEN 0 THEN p0 WHEN 1 THEN p1 ELSE p2 END, 1e-15))), 6) AS cross_entropy FROM {PROB}")
@@ -148,15 +149,14 @@ MOMENTS = f"(SELECT test, avg((prediction = y)::INT::DOUBLE) AS m, stddev_samp((
 
 @query(f"SELECT test, round(m, 6) AS mean, round(s, 6) AS sd, n FROM {MOMENTS}")
 def ttest_moments(spark, sf_dir):
-    hit = (F.col("prediction") == F.col("y")).cast("double")
-    return scored(spark, sf_dir).groupBy("test").agg(F.round(F.avg(hit), 6).alias("mean"), F.round(F.stddev_samp(hit), 6).alias("sd"), F.count("*").alias("n"))
+    m = metrics.moments(scored(spark, sf_dir), by=["test"])
+    return m.select("test", F.round("accuracy", 6).alias("mean"), F.round("accuracy_sd", 6).alias("sd"), F.col("n_test").alias("n"))
 
 
 @query(f"SELECT round((a.m - b.m) / sqrt(a.s*a.s/a.n + b.s*b.s/b.n), 4) AS t, round(power(a.s*a.s/a.n + b.s*b.s/b.n, 2) / (power(a.s*a.s/a.n, 2)/(a.n-1) + power(b.s*b.s/b.n, 2)/(b.n-1)), 2) AS df FROM {MOMENTS} a JOIN {MOMENTS} b ON a.test AND NOT b.test")
 def ttest_unpaired(spark, sf_dir):
-    hit = (F.col("prediction") == F.col("y")).cast("double")
-    r = {x.test: x for x in scored(spark, sf_dir).groupBy("test").agg(F.avg(hit).alias("m"), F.stddev_samp(hit).alias("s"), F.count("*").alias("n")).collect()}
-    t, df, _ = unpaired_t(r[True].m, r[True].s, r[True].n, r[False].m, r[False].s, r[False].n)
+    r = {x.test: x for x in metrics.moments(scored(spark, sf_dir), by=["test"]).collect()}  # two rows
+    t, df, _ = unpaired_t(r[True].accuracy, r[True].accuracy_sd, r[True].n_test, r[False].accuracy, r[False].accuracy_sd, r[False].n_test)
     return spark.createDataFrame([(round(t, 4), round(df, 2))], "t double, df double")
 
 
@@ -183,24 +183,33 @@ def model_size_fixed(spark, sf_dir):
     return spark.createDataFrame([tuple(s.values())], "n_trees int, n_leaves int, n_params int, n_params_unfolded int")
 
 
-def curves(spark, sf_dir):
-    """A stand-in curve: the share of lines within the cheapest tenths, by line number."""
-    d = table(spark, sf_dir, "lineitem").groupBy(F.col("l_linenumber").alias("n_trees"), F.col("l_returnflag").alias("method")).agg(F.sum("l_quantity").alias("q"))
-    w = W.partitionBy("method").orderBy("n_trees")
-    return d.select("method", "n_trees", F.round(F.sum("q").over(w) / F.sum("q").over(W.partitionBy("method")), 6).alias("accuracy"))
+def after(n: int) -> str:
+    """Rows of lineitem with the fixed model's probabilities after its first n trees, as SQL."""
+    s = ", ".join("(" + " + ".join(path_sql(t, k) for t in range(n)) + f")::DOUBLE AS s{k}" for k in range(3))
+    one = f"(SELECT l_orderkey % 5 = 0 AS test, {Y_SQL} AS y, {s} FROM lineitem)"
+    return f"(SELECT *, {', '.join(f'exp(s{k})/(exp(s0)+exp(s1)+exp(s2)) AS p{k}' for k in range(3))}, CASE WHEN s0 >= s1 AND s0 >= s2 THEN 0 WHEN s1 >= s2 THEN 1 ELSE 2 END AS prediction FROM (SELECT test, y, {', '.join(f'round(s{k}, 9) AS s{k}' for k in range(3))} FROM {one}))"
+
 
+CURVES = "(" + " UNION ALL ".join(f"SELECT test::VARCHAR AS test, {n} AS n_trees, round(avg((prediction = y)::INT::DOUBLE), 6) AS accuracy, round(avg(-ln(CASE y WHEN 0 THEN p0 WHEN 1 THEN p1 ELSE p2 END)), 6) AS cross_entropy FROM {after(n)} GROUP BY test" for n in (1, 2)) + ")"
 
-CURVES = "(SELECT method, n_trees, round(sum(q) OVER (PARTITION BY method ORDER BY n_trees) / sum(q) OVER (PARTITION BY method), 6) AS accuracy FROM (SELECT l_linenumber AS n_trees, l_returnflag AS method, sum(l_quantity) AS q FROM lineitem GROUP BY ALL))"
+
+def curves(spark, sf_dir):
+    """The fixed model's measures after each of its trees, on either side of the split."""
+    m = fixed_model()
+    for t in m.trees:
+        t.delta[:] = np.round(t.delta, 9)
+    return metrics.curve(binned(table(spark, sf_dir, "lineitem").select(*COLS, (F.col("l_orderkey") % 5 == 0).alias("test"), sliced(oblique(), [1.6, 2.4]).alias("y")), COLS, EDGES, ["test", "y"]), m, "test")
 
 
 @query(f"SELECT * FROM {CURVES}")
 def curve_by_tree(spark, sf_dir):
-    return curves(spark, sf_dir)
+    return curves(spark, sf_dir).select("test", "n_trees", F.round("accuracy", 6).alias("accuracy"), F.round("cross_entropy", 6).alias("cross_entropy"))
 
 
-@query(f"SELECT method, min(CASE WHEN accuracy >= 0.6 THEN n_trees END) AS n_trees FROM {CURVES} GROUP BY method")
+@query(f"SELECT test, min(CASE WHEN cross_entropy <= 1.0 THEN n_trees END) AS n_trees, min(CASE WHEN accuracy >= 0.3 THEN n_trees END) AS by_accuracy FROM {CURVES} GROUP BY test")
 def trees_to_target(spark, sf_dir):
-    return metrics.trees_to_target(curves(spark, sf_dir), 0.6)
+    c = curves(spark, sf_dir).persist()
+    return metrics.trees_to_target(c, 1.0, "cross_entropy", False, "test").join(metrics.trees_to_target(c, 0.3, by="test").withColumnRenamed("n_trees", "by_accuracy"), "test")
 
 
 @query("SELECT c::INT AS classes, h AS hessian, (CASE h WHEN 'diagonal' THEN 2*c+1 ELSE 1+c+c*(c+1)//2 END)::INT AS sums_per_cell, (CASE h WHEN 'diagonal' THEN c ELSE c*c*c END)::INT AS solve_per_candidate, 8*32*20*8*(CASE h WHEN 'diagonal' THEN 2*c+1 ELSE 1+c+c*(c+1)//2 END)::BIGINT AS task_bytes FROM (VALUES (3), (7), (10), (26)) a(c) CROSS JOIN (VALUES ('diagonal'), ('full')) b(h)")

@@ -6,9 +6,10 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..operators import features as X
-from ..plans.workloads import hand10, oblique, sliced, table
+from ..plans.baselines import one_vs_one
+from ..plans.workloads import T3_EDGES, cover7, hand10, oblique, sliced, table
 from . import query
-from .boosters import Y_SQL
+from .boosters import Y_SQL, Sql, booster_sql, fixed_rows
 
 
 @query("SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 4) AS qty, round(avg(l_extendedprice), 4) AS price FROM lineitem WHERE l_discount BETWEEN 0.02 AND 0.08 GROUP BY ALL")
@@ -73,11 +74,15 @@ def join_star_features(spark, sf_dir):
     return star(spark, sf_dir).groupBy("n_regionkey", "o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_extendedprice"), 2).alias("price"), F.round(F.avg("p_retailprice"), 4).alias("retail"))
 
 
-@query(f"SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, p_size, (l_returnflag = 'R')::DOUBLE AS flag_r, (l_linestatus = 'O')::DOUBLE AS status_o, (n_regionkey = 2)::DOUBLE AS region_2, CASE WHEN l_quantity <= 25 AND l_extendedprice < 60000 THEN 0 WHEN l_quantity > 25 AND l_discount <= 0.06 THEN 1 WHEN l_shipdate < TIMESTAMP '1996-01-01' THEN 3 WHEN l_tax >= 0.06 AND l_extendedprice >= 60000 THEN 2 WHEN l_extendedprice >= 95000 THEN 4 WHEN l_linenumber <= 3 THEN 5 ELSE 6 END AS y FROM {STAR}")
+FEATURES_SQL = ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_linenumber::DOUBLE", "date_diff('day', DATE '1992-01-01', l_shipdate::DATE)::DOUBLE", "p_size::DOUBLE", "p_retailprice", "o_totalprice", "c_acctbal"] + [f"({c} = {v!r})::INT::DOUBLE" for c, vs in (("l_returnflag", "ANR"), ("l_linestatus", "FO"), ("o_orderstatus", "FOP"), ("n_regionkey", range(5))) for v in vs]
+COVER_SQL = "CASE WHEN l_quantity <= 25 AND l_extendedprice < 60000 THEN 0 WHEN l_quantity > 25 AND l_discount <= 0.06 THEN 1 WHEN l_shipdate < TIMESTAMP '1996-01-01' THEN 3 WHEN l_tax >= 0.06 AND l_extendedprice >= 60000 THEN 2 WHEN l_extendedprice >= 95000 THEN 4 WHEN l_linenumber <= 3 THEN 5 ELSE 6 END"
+
+
+@query(f"SELECT l_orderkey AS key, {', '.join(f'{e} AS x{k}' for k, e in enumerate(FEATURES_SQL))}, 3.0 AS hashed, {COVER_SQL} AS y FROM {STAR}")
 def feature_matrix_cover7(spark, sf_dir):
-    one = lambda c, v: (F.col(c) == v).cast("double")
-    y = F.when((F.col("l_quantity") <= 25) & (F.col("l_extendedprice") < 60000), 0).when((F.col("l_quantity") > 25) & (F.col("l_discount") <= 0.06), 1).when(F.col("l_shipdate") < "1996-01-01", 3).when((F.col("l_tax") >= 0.06) & (F.col("l_extendedprice") >= 60000), 2).when(F.col("l_extendedprice") >= 95000, 4).when(F.col("l_linenumber") <= 3, 5).otherwise(6)
-    return star(spark, sf_dir).select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "p_size", one("l_returnflag", "R").alias("flag_r"), one("l_linestatus", "O").alias("status_o"), one("n_regionkey", 2).alias("region_2"), y.alias("y"))
+    """The star join's features; of the 24 hashed indicators, which DuckDB cannot hash alike, three are set."""
+    d, n = cover7(spark, sf_dir), len(FEATURES_SQL)
+    return d.select("key", *[F.element_at("x", k + 1).alias(f"x{k}") for k in range(n)], F.aggregate(F.slice("x", n + 1, 24), F.lit(0.0), lambda a, b: a + b).alias("hashed"), "y")
 
 
 @query("SELECT o_orderkey, " + ", ".join(f"(o_orderpriority = '{v}')::DOUBLE AS p{k}" for k, v in enumerate(["1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"])) + " FROM orders")
@@ -128,12 +133,16 @@ def hand_classes(spark, sf_dir):
     return hand10(spark, sf_dir).select("key", "y")
 
 
-@query(f"SELECT a.y AS a, b.y AS b, a.n + b.n AS n FROM (SELECT {Y_SQL} AS y, count(*) AS n FROM lineitem GROUP BY 1) a JOIN (SELECT {Y_SQL} AS y, count(*) AS n FROM lineitem GROUP BY 1) b ON a.y < b.y")
+PAIRS = [(0, 1), (0, 2), (1, 2)]
+
+
+@query(" UNION ALL ".join(f"SELECT {a} AS a, {b} AS b, * FROM ({booster_sql(Sql(1, loss='multilabel'), 1, 2, 0.3, kind=f'{a}{b}', measured=False)})" for a, b in PAIRS))
 def ovo_pairs(spark, sf_dir):
-    """Pairs of classes with their rows: a join of the class counts, a row a class."""
-    n = table(spark, sf_dir, "lineitem").groupBy(sliced(oblique(), [1.6, 2.4]).alias("y")).agg(F.count("*").alias("n"))
-    a, b = n.alias("a"), F.broadcast(n.alias("b"))
-    return a.join(b, F.col("a.y") < F.col("b.y")).select(F.col("a.y").alias("a"), F.col("b.y").alias("b"), (F.col("a.n") + F.col("b.n")).alias("n"))
+    """The binary trees of one-vs-one, a pair of classes each."""
+    base = fixed_rows(spark, sf_dir).where("not test").drop("test")
+    models = one_vs_one(base, T3_EDGES, 3, 1, depth=2)
+    rows = [(a, b, t, j, int(x.feature[j]), int(x.bin[j]), int(x.n[j]), round(float(x.gain[j]), 4)) for (a, b), m in models.items() for t, x in enumerate(m.trees) for j in x.nodes() if x.feature[j] >= 0]
+    return spark.createDataFrame(rows, "a int, b int, tree int, node int, feature int, bin int, n long, gain double")
 
 
 @query("SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS last_purchase FROM events")

@@ -3,15 +3,24 @@
 from __future__ import annotations
 
 
+import numpy as np
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.losses import codewords
+from ..config import BoostConfig
+from ..functions.losses import Logistic, codewords, loss_of
 from ..operators import native as N
-from ..operators.binning import bin_expr, edges
-from ..plans.workloads import T3_EDGES, T3_FEATURES, slice3, table
+from ..operators.binning import bin_expr, binned, edges, range_join_bins
+from ..operators.derivatives import derivatives
+from ..plans.boost import Rows, cells, layer_sums, met, quota_slice, write_slices
+from ..plans.jvm import node_expr
+from ..plans.kernel import Wip, bins_of, pack_cells
+from ..plans.model import Model, Tree
+from ..plans.workloads import T3_EDGES, T3_FEATURES, oblique, slice3, sliced, table
+from ..sources.io import scratch
+from ..streaming.minibatch import StampedStore, Trainer
 from . import query
-from .boosters import Y_SQL, Sql, base_sql
+from .boosters import Y_SQL, Sql, base_sql, booster_sql
 
 BINS = ["b0", "b1", "b2", "b3"]
 PAIRS = [(0, 1), (0, 2), (1, 2)]
@@ -22,6 +31,21 @@ def t3(spark, sf_dir):
     return d.select("test", *[bin_expr(c, e).alias(b) for b, c, e in zip(BINS, T3_FEATURES, T3_EDGES)], "y", F.lit(1).alias("node"))
 
 
+def engine(spark, sf_dir, **k):
+    """The training rows of the small workload, an empty model and its first tree, as the engine takes them."""
+    rows = binned(slice3(spark, sf_dir).where("not test"), T3_FEATURES, T3_EDGES, ["y"])
+    cfg = BoostConfig(outputs=3, depth=2, **k)
+    return rows, Model(cfg, T3_EDGES), Wip(Tree(3, 2))
+
+
+def split_once(wip: Wip) -> Wip:
+    """The tree with its root split at the fourth price edge."""
+    wip.tree.split(1, 1, 4, True, 1.0)
+    wip.tree.n[2], wip.tree.n[3] = 1, 2
+    wip.open = (2, 3)
+    return wip
+
+
 def train(spark, sf_dir, stats):
     return t3(spark, sf_dir).where("not test").select("node", *BINS, *N.named(*stats))
 
@@ -55,11 +79,19 @@ k AS (SELECT feature, bin, ln::BIGINT AS nl, (tn-ln)::BIGINT AS nr, round({f.gai
 SELECT 1 AS node, feature, bin, nl, nr, round(gain, 4) AS gain, place::INT AS place FROM (SELECT *, row_number() OVER (ORDER BY gain DESC, feature, bin) AS place FROM k) WHERE place <= {top} {extra}"""
 
 
-def splits(spark, sf_dir, kind="diagonal", top=1):
-    packed = kind in ("full", "pair")
-    stats = FULL if packed else STATS
-    rows = train(spark, sf_dir, softmax0(packed))
-    c = N.candidates(N.prefix(N.histogram(rows, BINS, stats), stats), 3, 6 if packed else 3, 1.0, kind)
+def splits(spark, sf_dir, hessian="diagonal"):
+    """The engine's best split of the root."""
+    rows, model, wip = engine(spark, sf_dir, hessian=hessian)
+    source = Rows(rows)
+    found = source.splits(model, [wip], 0, False)
+    source.forget()
+    return spark.createDataFrame([(r.node, r.feature, r.bin, r.nl, r.nr, round(r.gain, 4), 1) for r in found], "node int, feature int, bin int, nl long, nr long, gain double, place int")
+
+
+def ranked(spark, sf_dir, top):
+    """The best splits of the root by column expressions, as JvmRows has them."""
+    rows = train(spark, sf_dir, softmax0(False))
+    c = N.candidates(N.prefix(N.histogram(rows, BINS, STATS), STATS), 3, 3, 1.0)
     return N.best(c, top=top).withColumn("gain", F.round("gain", 4))
 
 
@@ -85,13 +117,13 @@ def best_split_firstorder(spark, sf_dir):
 
 @query(best_sql(Sql(3), 5))
 def topk_splits(spark, sf_dir):
-    return splits(spark, sf_dir, top=5)
+    return ranked(spark, sf_dir, 5)
 
 
 @query(best_sql(Sql(3), 99, "AND gain > 500"))
 def preprune_filter(spark, sf_dir):
     """Candidates left when a split must gain more than 500: pruning while growing."""
-    return splits(spark, sf_dir, top=99).where("gain > 500")
+    return ranked(spark, sf_dir, 99).where("gain > 500")
 
 
 @query(f"WITH {ROOT}, w AS (SELECT feature, bin, sum(n) OVER u AS nl, sum(g0) OVER u AS gl0, sum(h0) OVER u AS hl0, sum(n) OVER (PARTITION BY feature) AS nt FROM c WINDOW u AS (PARTITION BY feature ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)) SELECT feature, bin, nl::BIGINT AS nl, nt::BIGINT AS nt, round(gl0, 6) AS gl0, round(hl0, 6) AS hl0 FROM w")
@@ -101,14 +133,23 @@ def prefix_gains_root(spark, sf_dir):
     return p.select("feature", "bin", F.col("l_n").alias("nl"), F.col("t_n").alias("nt"), F.round("l_g0", 6).alias("gl0"), F.round("l_h0", 6).alias("hl0"))
 
 
+#: The order in which the engine holds the pairs of a full Hessian.
+PACKED = ["g0", "g1", "g2", "h0", "h3", "h4", "h1", "h5", "h2"]
+
+
+def root_cells(spark, sf_dir, hessian, stats):
+    rows, model, wip = engine(spark, sf_dir, hessian=hessian)
+    return cells(met(layer_sums(rows, model, [wip], False), model.config, False, bins_of(model)), bins_of(model), stats)
+
+
 @query(f"WITH {ROOT} SELECT feature, bin, n, {', '.join(f'round({s}, 6) AS {s}' for s in STATS)} FROM c")
 def hist_softmax_root(spark, sf_dir):
-    return N.histogram(train(spark, sf_dir, softmax0(False)), BINS, STATS).select("feature", "bin", "n", *r6(*STATS))
+    return root_cells(spark, sf_dir, "diagonal", STATS).select("feature", "bin", "n", *r6(*STATS))
 
 
 @query(f"WITH {ROOT} SELECT feature, bin, n, {', '.join(f'round({s}, 6) AS {s}' for s in FULL)} FROM c")
 def hist_full_root(spark, sf_dir):
-    return N.histogram(train(spark, sf_dir, softmax0(True)), BINS, FULL).select("feature", "bin", "n", *r6(*FULL))
+    return root_cells(spark, sf_dir, "full", PACKED).select("feature", "bin", "n", *r6(*FULL))
 
 
 @query(f"WITH {ROOT} SELECT feature, bin, n, round(g0, 6) AS g0 FROM c")
@@ -120,17 +161,20 @@ def hist_decimal_exact(spark, sf_dir):
 
 @query(f"WITH {ROOT} SELECT feature, bin, count(*) AS n, round(sum(g0), 6) AS g0 FROM (SELECT *, 0 AS feature, b0 AS bin FROM r UNION ALL SELECT *, 1, b1 FROM r UNION ALL SELECT *, 2, b2 FROM r UNION ALL SELECT *, 3, b3 FROM r) WHERE b1 > 4 GROUP BY ALL")
 def hist_sibling_subtract(spark, sf_dir):
-    """The right child's histogram as the parent's minus the left child's."""
-    rows = train(spark, sf_dir, softmax0(False))
-    parent = N.histogram(rows, BINS, ["g0"])
-    left = N.histogram(rows.where("b1 <= 4"), BINS, ["g0"])
-    return N.subtract(parent, left, ["g0"]).select("feature", "bin", "n", F.round("g0", 6).alias("g0"))
+    """The right child's histogram as the parent's minus the left child's, which alone is summed."""
+    rows, model, wip = engine(spark, sf_dir)
+    root = met(layer_sums(rows, model, [wip], False), model.config, False, bins_of(model))
+    left = layer_sums(rows, model, [split_once(wip)], False, summed=[(2,)])
+    both = met(left, model.config, False, bins_of(model), root)
+    return cells(both, bins_of(model), STATS).where("node = 3").select("feature", "bin", "n", F.round("g0", 6).alias("g0"))
 
 
 @query(f"WITH {ROOT} SELECT CASE WHEN b1 <= 4 THEN 2 ELSE 3 END AS node, count(*) AS n, {', '.join(f'round(sum({s}), 6) AS {s}' for s in STATS)} FROM r GROUP BY 1")
 def node_totals(spark, sf_dir):
-    rows = train(spark, sf_dir, softmax0(False))
-    return rows.withColumn("node", F.when(F.col("b1") <= 4, 2).otherwise(3)).groupBy("node").agg(F.count("*").alias("n"), *[F.round(F.sum(s), 6).alias(s) for s in STATS])
+    """One feature's cells hold every row of a node once."""
+    rows, model, wip = engine(spark, sf_dir)
+    one = cells(layer_sums(rows, model, [split_once(wip)], False, features=(0, 1)), bins_of(model), STATS)
+    return one.groupBy("node").agg(F.sum("n").alias("n"), *[F.round(F.sum(s), 6).alias(s) for s in STATS])
 
 
 def leaf_sql(f: Sql) -> str:
@@ -139,11 +183,10 @@ def leaf_sql(f: Sql) -> str:
     return f"WITH {ROOT}, t AS (SELECT CASE WHEN b1 <= 4 THEN 2 ELSE 3 END AS node, count(*) AS n, {', '.join(f'sum({s}) AS {s}' for s in FULL)} FROM r GROUP BY 1) SELECT node, {', '.join(f'round({x}, 6) AS w{k}' for k, x in enumerate(w))} FROM t"
 
 
-def leaves(spark, sf_dir, kind, zero_sum=False):
-    rows = train(spark, sf_dir, softmax0(True))
-    t = rows.withColumn("node", F.when(F.col("b1") <= 4, 2).otherwise(3)).groupBy("node").agg(F.count("*").alias("n"), *[F.sum(s).alias(s) for s in FULL])
-    g, h = [F.col(f"g{k}") for k in range(3)], [F.col(f"h{k}") for k in range(6)]
-    return t.select("node", *[F.round(w, 6).alias(f"w{k}") for k, w in enumerate(N.weights(g, h, F.col("n"), 1.0, kind, zero_sum))])
+def leaves(spark, sf_dir, hessian, zero_sum=None):
+    rows, model, wip = engine(spark, sf_dir, hessian=hessian, zero_sum=zero_sum)
+    found = Rows(rows).splits(model, [split_once(wip)], 1, False, features=1)
+    return spark.createDataFrame([(r.node, *[round(v, 6) for v in r.w]) for r in found], "node int, w0 double, w1 double, w2 double")
 
 
 @query(leaf_sql(Sql(3)))
@@ -158,22 +201,23 @@ def leaf_weights_full_c3(spark, sf_dir):
 
 @query(leaf_sql(Sql(3, zero_sum=True)))
 def leaf_weights_zero_sum(spark, sf_dir):
-    return leaves(spark, sf_dir, "diagonal", True)
+    return leaves(spark, sf_dir, "diagonal", "multiplier")
 
 
 @query(f"WITH z AS ({base_sql('class')}) SELECT test, CASE WHEN b1 <= 4 THEN CASE WHEN b2 <= 3 THEN 4 ELSE 5 END ELSE CASE WHEN b3 <= 5 THEN 6 ELSE 7 END END AS node, y, count(*) AS n FROM z GROUP BY ALL")
 def split_apply_fixed(spark, sf_dir):
     """Rows by node of a fixed depth-2 tree."""
-    node = F.when(F.col("b1") <= 4, F.when(F.col("b2") <= 3, 4).otherwise(5)).otherwise(F.when(F.col("b3") <= 5, 6).otherwise(7))
-    return t3(spark, sf_dir).groupBy("test", node.alias("node"), "y").agg(F.count("*").alias("n"))
+    t = Tree(3, 2)
+    for j, f, b in ((1, 1, 4), (2, 2, 3), (3, 3, 5)):
+        t.split(j, f, b, True, 1.0)
+    return t3(spark, sf_dir).groupBy("test", node_expr(t, BINS).alias("node"), "y").agg(F.count("*").alias("n"))
 
 
 # ---- bins and edges
-@query(" UNION ALL ".join(f"SELECT {i} AS feature, round(quantile_cont({c}, {k / 8}), 6) AS edge, round({k / 8}::DOUBLE, 3) AS p FROM lineitem" for i, c in enumerate(T3_FEATURES) for k in range(1, 8)))
+@query("SELECT DISTINCT * FROM (" + " UNION ALL ".join(f"SELECT {i} AS feature, round(quantile_cont({c}, {k / 8}), 6) AS edge FROM lineitem" for i, c in enumerate(T3_FEATURES) for k in range(1, 8)) + ")")
 def quantile_edges_exact(spark, sf_dir):
-    d, ps = table(spark, sf_dir, "lineitem"), [k / 8 for k in range(1, 8)]
-    q = d.agg(*[F.percentile(c, F.array(*map(F.lit, ps))).alias(c) for c in T3_FEATURES])
-    return q.select(F.explode(F.array(*[F.struct(F.lit(i).alias("feature"), F.col(c).alias("e")) for i, c in enumerate(T3_FEATURES)])).alias("x")).select("x.feature", F.posexplode("x.e").alias("k", "e")).select("feature", F.round("e", 6).alias("edge"), F.round((F.col("k") + 1) / 8, 3).alias("p"))
+    cuts = edges(table(spark, sf_dir, "lineitem"), T3_FEATURES, 8, "exact")
+    return spark.createDataFrame([(i, round(e, 6)) for i, c in enumerate(cuts) for e in c], "feature int, edge double")
 
 
 @query("SELECT b AS bin, max(l_extendedprice) AS edge, count(*) AS n FROM (SELECT l_extendedprice, ntile(8) OVER (ORDER BY l_extendedprice) AS b FROM lineitem) GROUP BY b".replace("b AS bin", "b::INT AS bin"))
@@ -196,21 +240,17 @@ def quantile_edges_sketch(spark, sf_dir):
     return d.agg(*[c.alias(f"c{i}") for i, c in enumerate(checks)]).select(F.explode(F.array("c0", "c1")).alias("x")).select("x.*")
 
 
-@query("SELECT least(greatest(floor((l_extendedprice - lo) / ((hi - lo) / 16)), 0), 15)::INT AS bin, count(*) AS n FROM lineitem CROSS JOIN (SELECT min(l_extendedprice) AS lo, max(l_extendedprice) AS hi FROM lineitem) GROUP BY 1")
+@query("SELECT least(greatest(ceil((l_extendedprice - lo) / ((hi - lo) / 16)), 1), 16)::INT AS bin, count(*) AS n FROM lineitem CROSS JOIN (SELECT min(l_extendedprice) AS lo, max(l_extendedprice) AS hi FROM lineitem) GROUP BY 1")
 def bin_uniform(spark, sf_dir):
     d = table(spark, sf_dir, "lineitem").select("l_extendedprice")
-    ends = d.agg(F.min("l_extendedprice").alias("lo"), F.max("l_extendedprice").alias("hi"))
-    b = F.least(F.greatest(F.floor((F.col("l_extendedprice") - F.col("lo")) / ((F.col("hi") - F.col("lo")) / 16)), F.lit(0)), F.lit(15)).cast("int")
-    return d.crossJoin(F.broadcast(ends)).groupBy(b.alias("bin")).agg(F.count("*").alias("n"))  # one row is broadcast
+    cuts = edges(d, ["l_extendedprice"], 16, "uniform")[0]
+    return d.groupBy(bin_expr("l_extendedprice", cuts).alias("bin")).agg(F.count("*").alias("n"))
 
 
 @query("SELECT " + "CASE " + " ".join(f"WHEN l_extendedprice <= {e} THEN {i + 1}" for i, e in enumerate(T3_EDGES[1])) + " ELSE 8 END AS bin, count(*) AS n FROM lineitem GROUP BY 1")
 def bin_by_range_join(spark, sf_dir):
-    """Bins by a range join with the table of edges (a fixed number of rows)."""
-    lo, hi = [float("-inf"), *T3_EDGES[1]], [*T3_EDGES[1], float("inf")]
-    e = spark.createDataFrame([(i + 1, a, b) for i, (a, b) in enumerate(zip(lo, hi))], "bin int, lo double, hi double")
-    x = F.col("l_extendedprice")
-    return table(spark, sf_dir, "lineitem").join(F.broadcast(e), (x > F.col("lo")) & (x <= F.col("hi"))).groupBy("bin").agg(F.count("*").alias("n"))
+    """Bins by a range join with the table of edges."""
+    return range_join_bins(table(spark, sf_dir, "lineitem").select("l_extendedprice"), "l_extendedprice", T3_EDGES[1]).groupBy("bin").agg(F.count("*").alias("n"))
 
 
 # ---- labels and derivatives
@@ -244,8 +284,6 @@ KEY = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
 def scored_lines(spark, sf_dir):
     """Lines with three made-up scores and the slice label."""
     d = table(spark, sf_dir, "lineitem")
-    from ..plans.workloads import oblique, sliced
-
     return d.select(*KEY, "l_tax", (F.col("l_quantity") / 25 - 1).alias("s0"), (F.col("l_discount") * 10 - 0.5).alias("s1"), (F.col("l_tax") * 5).alias("s2"), sliced(oblique(), [1.6, 2.4]).alias("y"))
 
 
@@ -257,40 +295,47 @@ def grads_sql(f: Sql) -> str:
     return f"SELECT {', '.join(KEY)}, {', '.join(f'round({x}, 6) AS g{k}' for k, x in enumerate(g))}, round({loss}, 6) AS loss FROM (SELECT *, {', '.join(f'{x} AS e{k}' for k, x in enumerate(e))} FROM {LINES})"
 
 
-def pick(y, values):
-    return F.element_at(F.array(*values), y + 1)
+def of_loss(d, name, encoding):
+    out = derivatives(d, loss_of(name, 3, encoding), ["s0", "s1", "s2"], "y", KEY)
+    return out.select(*KEY, *r6("g0", "g1", "g2", "loss"))
 
 
 @query(grads_sql(Sql(3)))
 def softmax_gradients(spark, sf_dir):
+    return of_loss(scored_lines(spark, sf_dir), "softmax", "onehot")
+
+
+@query(grads_sql(Sql(3)))
+def softmax_gradients_columns(spark, sf_dir):
+    """The same by column expressions, as JvmRows has them."""
     d = scored_lines(spark, sf_dir)
     s = [F.col(f"s{k}") for k in range(3)]
     g, _ = N.softmax_stats(s, F.col("y"))
-    loss = -F.log(F.greatest(pick(F.col("y"), N.softmax_columns(s)), F.lit(1e-15)))
+    loss = -F.log(F.greatest(F.element_at(F.array(*N.softmax_columns(s)), F.col("y") + 1), F.lit(1e-15)))
     return d.select(*KEY, *[F.round(x, 6).alias(f"g{k}") for k, x in enumerate(g)], F.round(loss, 6).alias("loss"))
 
 
 @query(grads_sql(Sql(3, loss="multiexp")))
 def exp_gradients(spark, sf_dir):
-    d, m = scored_lines(spark, sf_dir), codewords(3, "centered") / 3
-    u = [pick(F.col("y"), [F.lit(float(m[y, k])) for y in range(3)]) for k in range(3)]
-    e = F.exp(-(u[0] * F.col("s0") + u[1] * F.col("s1") + u[2] * F.col("s2")))
-    return d.select(*KEY, *[F.round(-x * e, 6).alias(f"g{k}") for k, x in enumerate(u)], F.round(e, 6).alias("loss"))
+    return of_loss(scored_lines(spark, sf_dir), "multiexp", "centered")
 
 
 @query(grads_sql(Sql(3, loss="marginexp")))
 def margin_exp_gradients(spark, sf_dir):
-    d, m, y = scored_lines(spark, sf_dir), codewords(3, "simplex"), F.col("y")
-    diff = lambda k, j: pick(y, [F.lit(float((m[a, j] - m[k, j]) / 2)) for a in range(3)])
-    e = [F.when(y == k, 0.0).otherwise(F.exp(-sum((diff(k, j) * F.col(f"s{j}") for j in (1, 2)), diff(k, 0) * F.col("s0")))) for k in range(3)]
-    g = [-sum((e[k] * diff(k, j) for k in (1, 2)), e[0] * diff(0, j)) for j in range(3)]
-    return d.select(*KEY, *[F.round(x, 6).alias(f"g{k}") for k, x in enumerate(g)], F.round(e[0] + e[1] + e[2], 6).alias("loss"))
+    return of_loss(scored_lines(spark, sf_dir), "marginexp", "simplex")
 
 
 @query(f"SELECT {', '.join(KEY)}, round(1/(1+exp(-s0)) - (y > 0)::INT, 6) AS g0, round(1/(1+exp(-s1)) - (l_tax > 0.04)::INT, 6) AS g1, round(1/(1+exp(-s0))*(1-1/(1+exp(-s0))), 6) AS h0 FROM {LINES}")
 def multilabel_gradients(spark, sf_dir):
-    p = [1 / (1 + F.exp(-F.col(f"s{k}"))) for k in range(2)]
-    return scored_lines(spark, sf_dir).select(*KEY, F.round(p[0] - (F.col("y") > 0).cast("double"), 6).alias("g0"), F.round(p[1] - (F.col("l_tax") > 0.04).cast("double"), 6).alias("g1"), F.round(p[0] * (1 - p[0]), 6).alias("h0"))
+    d = scored_lines(spark, sf_dir).withColumn("y0", (F.col("y") > 0).cast("double")).withColumn("y1", (F.col("l_tax") > 0.04).cast("double"))
+    out = derivatives(d, loss_of("multilabel", 2), ["s0", "s1"], ["y0", "y1"], KEY)
+    return out.select(*KEY, *r6("g0", "g1", "h0"))
+
+
+@query(f"SELECT {', '.join(KEY)}, round(1/(1+exp(-s0)) - (y > 0)::INT, 6) AS g0, round(-((y > 0)::INT*ln(1/(1+exp(-s0))) + (1-(y > 0)::INT)*ln(1-1/(1+exp(-s0)))), 6) AS loss FROM {LINES}")
+def logistic_gradients(spark, sf_dir):
+    d = scored_lines(spark, sf_dir).withColumn("y", (F.col("y") > 0).cast("double"))
+    return derivatives(d, Logistic(), ["s0"], "y", KEY).select(*KEY, *r6("g0", "loss"))
 
 
 # ---- machinery
@@ -299,14 +344,53 @@ STAMPS = [(3, 0, 1, 0, 1, 5, 1.5), (4, 1, 1, 0, 1, 7, 2.0), (4, 2, 1, 0, 1, 2, -
 
 @query("SELECT node, feature, bin, sum(n)::BIGINT AS n, sum(g) AS g FROM (SELECT DISTINCT * FROM (VALUES " + ", ".join(f"({s}, {b}, {n}, {f}, {i}, {c}, {g}::DOUBLE)" for s, b, n, f, i, c, g in STAMPS) + ") t(stamp, batch_id, node, feature, bin, n, g) WHERE stamp = 4) GROUP BY ALL")
 def stale_stamp_filter(spark, sf_dir):
-    return N.stamped(spark.createDataFrame(STAMPS, "stamp long, batch_id long, node int, feature int, bin int, n long, g double"), 4)
-
-
-@query("SELECT k AS layer, count(*) AS n FROM (SELECT l_orderkey % 8 AS k FROM lineitem WHERE l_orderkey % 5 <> 0) WHERE k < 4 GROUP BY k UNION ALL SELECT 4, count(*) FROM lineitem WHERE l_orderkey % 5 <> 0 AND l_orderkey % 8 >= 4")
+    """The store's sums of one stamp: other stamps are stale, a batch that was sent twice counts once."""
+    store, sent = StampedStore(spark, scratch(spark, "stamps")), {}
+    for stamp, batch, *row in STAMPS:
+        sent.setdefault((stamp, batch), set()).add(tuple(row))
+    for (stamp, batch), rows in [*sent.items(), *sent.items()]:  # every batch is pushed twice
+        out = []
+        for node, f, i, n, g in sorted(rows):
+            v = np.zeros((10, 2))
+            v[i] = n, g
+            out.append((0, node, f, pack_cells(v)))
+        store.push(spark.createDataFrame(out, "tree int, node int, feature int, sums binary"), stamp, batch)
+    held = cells(store.current(4, [1, 2]), 10, ["g"])
+    return held.groupBy("node", "feature", "bin").agg(F.sum("n").alias("n"), F.sum("g").alias("g"))
+
+
+@query("SELECT k::INT AS layer, (SELECT count(*) FROM lineitem WHERE l_orderkey % 5 <> 0) // 8 * CASE WHEN k = 4 THEN 4 ELSE 1 END AS quota, true AS near, k = 4 OR TRUE AS pruned FROM (VALUES (0), (1), (2), (3), (4)) a(k)")
 def rows_per_layer_slices(spark, sf_dir):
-    """A slice of the training rows for each of four layers, and twice as much and more for the fifth."""
-    d = table(spark, sf_dir, "lineitem").where("l_orderkey % 5 <> 0")
-    return d.groupBy(F.least(F.col("l_orderkey") % 8, F.lit(4)).alias("layer")).agg(F.count("*").alias("n"))
+    """A slice of the rows for each of four layers and four times as much for the fifth, from whole folders: whether the rows
+    drawn come near the quota, and whether the scan reads no more folders than that takes."""
+    base = binned(table(spark, sf_dir, "lineitem").where("l_orderkey % 5 <> 0").withColumn("key", F.xxhash64(*table(spark, sf_dir, "lineitem").columns)), T3_FEATURES, T3_EDGES, ["key"])
+    held = write_slices(base, scratch(spark, "slices"), 16)
+    n, out = held.count(), []
+    for layer in range(5):
+        q = n // 8 * (4 if layer == 4 else 1)
+        d = quota_slice(held, q, n, layer, 0, 7, 16)
+        got = d.agg(F.count("*").alias("n"), F.count_distinct("slice").alias("folders")).first()
+        out.append((layer, q, abs(got.n - q) < 6 * q**0.5 + 0.15 * q, got.folders <= -(-q * 16 // n)))
+    return spark.createDataFrame(out, "layer int, quota long, near boolean, pruned boolean")
+
+
+@query(booster_sql(Sql(3), 2, 2, 0.3, layered=True, root=False, measured=False))
+def minibatch_replays(spark, sf_dir):
+    """The mini-batch trainer over all training rows a layer, in three batches of which each comes twice, one is stale, and
+    with a new trainer on the same path after every layer: the trees of the full batch, as SQL has them."""
+    d = slice3(spark, sf_dir).where("not test").select(F.array(*[F.col(c).cast("double") for c in T3_FEATURES]).alias("x"), "y", F.pmod(F.xxhash64(*T3_FEATURES), F.lit(3)).alias("part")).persist()
+    n, path = d.count(), scratch(spark, "minibatch")
+    cfg = BoostConfig(outputs=3, n_trees=2, depth=2, schedule="layer", root_contributes=False, rows_per_layer=n)
+    for layer in range(4):
+        t = Trainer(spark, path, cfg, 4, T3_EDGES)
+        for k in range(3):
+            part = d.where(F.col("part") == k).select("x", "y")
+            t.batch(part, 3 * layer + k, stamp=99)
+            t.batch(part, 3 * layer + k)
+            t.batch(part, 3 * layer + k)
+    d.unpersist()
+    rows = [(i, j, int(x.feature[j]), T3_EDGES[x.feature[j]].index(x.cut[j]) + 1, int(x.n[j]), round(float(x.gain[j]), 4)) for i, x in enumerate(t.model.trees) for j in x.nodes() if x.feature[j] >= 0]
+    return spark.createDataFrame(rows, "tree int, node int, feature int, bin int, n long, gain double")
 
 
 #: A fixed depth-3 list of splits: (node, gain).
