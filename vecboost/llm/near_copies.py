@@ -1,14 +1,15 @@
-"""Near copies by the Jaccard similarity of word shingles: minhash bands propose clusters, exact counts decide.
+"""The SimHash operator for a similarity bound: near copies by the Jaccard similarity of word shingles.
 
-Texts of one shingle set are one node. Nodes that agree in a band of minhashes are tied to the least of them, and the
-components over these ties are clusters; within a cluster all pairs are compared by their whole shingle sets, in
-tiles of bounded size. The bands only choose what is compared: a link is always an exact similarity.
+Texts of one shingle set are one node. The vantage-point trees of simhash.py tie nodes whose fingerprints lie within their
+radius; as texts at similarity 0.8 may lie further apart than any radius at which triangle bounds still prune, nodes that
+agree in a band of minhashes are tied too. The components over both kinds of ties are clusters; within a cluster all pairs
+are compared by their whole shingle sets, in tiles of bounded size. Ties only choose what is compared: a link is always an
+exact similarity.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import repeat
 
 import numpy as np
 import pandas as pd
@@ -18,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import components, cut, n_partitions, spread, unite
-from .simhash import LOWER, SEED
+from .simhash import forests, majority, shingle_hashes
 
 #: Words of a shingle, and the least similarity of a link: 4 / 5.
 SHINGLE, SHARE = 5, (4, 5)
@@ -32,11 +33,7 @@ FACTOR, SHIFT = _rng.integers(0, 2**63, BANDS * ROWS, np.uint64) * np.uint64(2)
 
 def shingle_set(text: bytes, width: int = SHINGLE) -> np.ndarray:
     """Distinct shingles as ascending 64-bit hashes; a shorter text is one shingle, one without words has none."""
-    words = text.translate(LOWER).split()
-    if not words:
-        return np.zeros(0, np.uint64)
-    shingles = map(b" ".join, zip(*(words[k:] for k in range(width)))) if len(words) >= width else [b" ".join(words)]
-    return np.unique(np.fromiter(map(xxhash.xxh64_intdigest, shingles, repeat(SEED)), np.uint64))
+    return np.unique(shingle_hashes(text, width))
 
 
 def digest(s: np.ndarray) -> str:
@@ -85,10 +82,15 @@ def similar_pairs(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
-    """nodes (digest, node, bands) and docs (id, text) to (a, b): for each tile a spanning forest of its links."""
+    """nodes (digest, node, bands, fp) and docs (id, text) to (a, b): for each tile a spanning forest of its links."""
+    led = nodes.where("node is not null")
+    alike = cut(led.groupBy("fp").agg(F.min("node").alias("node"), F.count("*").alias("n")))
+    close = led.join(alike.select("fp", F.col("node").alias("head")), "fp").where("head < node").select(F.col("node").alias("a"), F.col("head").alias("b"))
+    close = close.union(forests(alike))
     ties = nodes.where("node is not null").select("node", F.explode("bands").alias("key"))
     heads = ties.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("last")).where("head < last").select("key", "head")
-    told = components(ties.join(heads, "key").where("head < node").select(F.col("node").alias("a"), F.col("head").alias("b")))
+    banded = ties.join(heads, "key").where("head < node").select(F.col("node").alias("a"), F.col("head").alias("b"))
+    told = components(banded.union(close))
     told = told.union(told.select("root", "root").distinct())
     member = cut(nodes.join(told, "node").select("node", "digest", "root"))
     total = member.count()
@@ -138,17 +140,21 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text: str = "text") ->
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            sets = [shingle_set(t or b"") for t in b.column("text").cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([digest(s) for s in sets], pa.string()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], ["id", "digest", "bands"])
+            hashes = [shingle_hashes(t or b"", SHINGLE) for t in b.column("text").cast(pa.binary()).to_pylist()]
+            sets, fps = [np.unique(h) for h in hashes], np.array([majority(h) for h in hashes], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([digest(s) for s in sets], pa.string()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64())), pa.array(fps)], ["id", "digest", "bands", "fp"])
 
-    signed = cut(spread(plain).mapInArrow(sign, "id long, digest string, bands array<long>"))
-    nodes = cut(signed.groupBy("digest").agg(F.min("id").alias("node"), F.first("bands").alias("bands")))
+    signed = cut(spread(plain).mapInArrow(sign, "id long, digest string, bands array<long>, fp long"))
+    nodes = cut(signed.groupBy("digest").agg(F.min("id").alias("node"), F.first("bands").alias("bands"), F.min("fp").alias("fp")))
     roots = components(links(nodes, plain))
     told = nodes.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("component_id"))
     return signed.select("id", "digest").join(told, "digest").select(F.col("id").alias(id_col), "component_id")
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs without all but the lowest id of each component; rows without an id, and repeats of a kept row, stay."""
+    """docs without all but the lowest id of each component; rows without an id, and repeats of a kept row, stay.
+
+    Null and empty texts are copies of each other; columns of any names pass through; an empty table gives no rows.
+    """
     spare = near_copies(docs, id_col, text).where("component_id <> " + f"`{id_col}`").select(id_col).distinct()
     return docs.join(spare, id_col, "left_anti")

@@ -22,23 +22,33 @@ from .common import components, cut, spread, unite
 
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 SEED, SHINGLE, RADIUS = 42, 3, 3
-#: Bounds: fingerprints in the sample, shards, distinct fingerprints a shard is meant to hold, block of brute force.
-SAMPLE, MAX_SHARDS, PER_SHARD, BLOCK = 1 << 16, 4096, 1 << 15, 256
+#: Bounds: fingerprints in the sample (and for each leaf), shards, distinct fingerprints a shard is meant to hold, the same
+#: where more shards would keep cores idle otherwise, visitors a member in one piece of a shard, block of brute force.
+SAMPLE, A_LEAF, MAX_SHARDS, PER_SHARD, LEAST_SHARD, VISITORS, BLOCK = 1 << 16, 32, 1 << 16, 1 << 17, 1 << 13, 4, 256
 
 
-def fingerprint(text: bytes, width: int = SHINGLE) -> int:
-    """64-bit SimHash over the word shingles (repeats count); zero without words."""
+def shingle_hashes(text: bytes, width: int = SHINGLE) -> np.ndarray:
+    """64-bit hashes of the lower-case word shingles, repeats included; a shorter text is one shingle, one without words has none."""
     words = text.translate(LOWER).split()
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     shingles = map(b" ".join, zip(*(words[k:] for k in range(width)))) if len(words) >= width else [b" ".join(words)]
-    h = np.fromiter(map(xxhash.xxh64_intdigest, shingles, repeat(SEED)), np.uint64)
+    return np.fromiter(map(xxhash.xxh64_intdigest, shingles, repeat(SEED)), np.uint64)
+
+
+def majority(h: np.ndarray) -> int:
+    """The 64 bits that over half the hashes set; zero for none."""
     ones = np.zeros(64, np.int64)
     for k in range(0, len(h), 4096):
         ones += np.unpackbits(h[k : k + 4096].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
     return int(np.packbits(ones * 2 > len(h), bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: bytes, width: int = SHINGLE) -> int:
+    """64-bit SimHash over the word shingles (repeats count); zero without words."""
+    return majority(shingle_hashes(text, width))
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, fp long: the 64 bits as signed) for every row; a null text has no words."""
     kind = dict(docs.dtypes)[id_col]
@@ -99,8 +109,8 @@ def route(tree: dict, p: np.ndarray, radius: int) -> list[tuple[str, np.ndarray,
     return out
 
 
-def close_pairs(p: np.ndarray, members: np.ndarray, visitors: np.ndarray, radius: int, rng: np.random.Generator) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs within the radius: member with member (once), member with visitor."""
+def close_pairs(p: np.ndarray, members: np.ndarray, visitors: np.ndarray, radius: int, rng: np.random.Generator, own: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Index pairs within the radius: member with member (once; if own), member with visitor."""
     todo = [(members, visitors)]
     while todo:
         m, v = todo.pop()
@@ -115,53 +125,81 @@ def close_pairs(p: np.ndarray, members: np.ndarray, visitors: np.ndarray, radius
                 mu = int(dm.max()) - 1
                 inside = dm <= mu
             if inside.any():  # pairs across the split are found inside
-                cross = ~inside & (dm - radius <= mu)
+                cross = ~inside & (dm - radius <= mu) & own
                 todo.append((m[inside], np.concatenate([v[dv - radius <= mu], m[cross]])))
                 todo.append((m[~inside], v[dv + radius > mu]))
                 continue
         for k in range(0, len(m), BLOCK):
-            own = m[k : k + BLOCK]
-            rest = np.concatenate([m[k:], v])
+            some = m[k : k + BLOCK]
+            rest = np.concatenate([m[k:], v]) if own else v
             for r in range(0, len(rest), 1 << 14):
-                i, j = np.nonzero(hamming(p[own][:, None], p[rest[r : r + (1 << 14)]][None, :]) <= radius)
-                keep = own[i] != rest[r + j]
-                yield own[i[keep]], rest[r + j[keep]]
+                i, j = np.nonzero(hamming(p[some][:, None], p[rest[r : r + (1 << 14)]][None, :]) <= radius)
+                keep = some[i] != rest[r + j]
+                yield some[i[keep]], rest[r + j[keep]]
 
 
-def link(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """Distinct (fp, node, n) to (node, root): the components over links of at most radius differing bits."""
+def pieces_of(tree: dict, sample: np.ndarray, radius: int) -> dict[str, int]:
+    """Into how many pieces the visitors of each leaf go (1 if not named), by what the sample's points do."""
+    home, visits = {}, {}
+    own = np.empty(len(sample), object)
+    places = route(tree, sample, radius)
+    for leaf, i, at_home in places:
+        own[i[at_home]] = leaf
+        home[leaf] = int(at_home.sum())
+    for leaf, i, _ in places:
+        visits[leaf] = sum(leaf < x for x in own[i])
+    return {leaf: n for leaf in visits if (n := -(-visits[leaf] // (VISITORS * max(1, home[leaf])))) > 1}
+
+
+def forests(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """Distinct (fp, node, n) to (a, b): for each piece of a shard a spanning forest of its links of at most radius differing bits.
+
+    A leaf is at most about PER_SHARD members; it meets its visitors in pieces of about VISITORS of them a member, so no
+    task's memory grows with the number of fingerprints until there are PER_SHARD * MAX_SHARDS.
+    """
     spark = fps.sparkSession
     n = fps.count()
-    depth = min(int(np.log2(MAX_SHARDS)), max(0, int(np.ceil(np.log2(max(1, n) / PER_SHARD)))))
-    share = min(1 << 20, -(-(SAMPLE << 20) // max(1, n)))
-    some = fps.where(F.pmod(F.xxhash64("fp", F.lit(3)), F.lit(1 << 20)) < share).select("fp").limit(2 * SAMPLE) if depth else fps.limit(0).select("fp")
-    sample = np.sort(np.array([r.fp for r in some.collect()], np.int64).view(np.uint64))
+    levels = lambda size: int(np.ceil(np.log2(max(1, n / size))))
+    busy = int(np.ceil(np.log2(2 * spark.sparkContext.defaultParallelism)))
+    depth = min(int(np.log2(MAX_SHARDS)), max(levels(PER_SHARD), min(busy, levels(LEAST_SHARD))))
+    size = max(SAMPLE, A_LEAF << depth)
+    share = min(1 << 20, -(-(size << 20) // max(1, n)))
+    some = fps.where(F.pmod(F.xxhash64("fp", F.lit(3)), F.lit(1 << 20)) < share).select("fp").limit(2 * size) if depth else fps.limit(0).select("fp")
+    sample = np.sort(some.toPandas()["fp"].to_numpy(np.int64).view(np.uint64))
     tree = grow(sample, depth)
+    pieces = pieces_of(tree, sample, radius)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             p = b.column("fp").to_numpy(zero_copy_only=False).view(np.uint64)
-            own = [""] * len(p)
+            own = np.empty(len(p), object)
             places = route(tree, p, radius)
             for leaf, i, home in places:
-                for k in i[home]:
-                    own[k] = leaf
+                own[i[home]] = leaf
             for leaf, i, home in places:
-                keep = i[home | np.array([leaf < own[k] for k in i], bool)]
-                at_home = np.array([own[k] == leaf for k in keep], bool)
-                take = pa.array(keep)
-                yield pa.RecordBatch.from_arrays([pa.array([leaf] * len(keep)), b.column("fp").take(take), b.column("node").take(take), pa.array(at_home)], ["leaf", "fp", "node", "home"])
+                n_pieces = pieces.get(leaf, 1)
+                guests = i[~home & np.array([leaf < x for x in own[i]], bool)]
+                at = (p[guests] * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(40)).astype(np.int64) % n_pieces
+                for k in range(n_pieces):  # members go to every piece
+                    keep = np.concatenate([i[home], guests[at == k]])
+                    take = pa.array(keep)
+                    yield pa.RecordBatch.from_arrays([pa.array([leaf] * len(keep), pa.string()), pa.array([k] * len(keep), pa.int32()), b.column("fp").take(take), b.column("node").take(take), pa.array(np.arange(len(keep)) < home.sum())], ["leaf", "piece", "fp", "node", "home"])
 
     def search(pdf: pd.DataFrame) -> pd.DataFrame:
         p, node = pdf["fp"].to_numpy().view(np.uint64), pdf["node"].to_numpy()
-        home, label = pdf["home"].to_numpy(bool), np.arange(len(pdf))
-        for i, j in close_pairs(p, np.nonzero(home)[0], np.nonzero(~home)[0], radius, np.random.default_rng(11)):
+        home, label, first = pdf["home"].to_numpy(bool), np.arange(len(pdf)), pdf["piece"].iat[0] == 0
+        for i, j in close_pairs(p, np.nonzero(home)[0], np.nonzero(~home)[0], radius, np.random.default_rng(11), first):
             unite(label, i, j)
         other = np.nonzero(label != np.arange(len(label)))[0]
         return pd.DataFrame({"a": node[other], "b": node[label[other]]})
 
-    dealt = fps.select("fp", "node").mapInArrow(deal, "leaf string, fp long, node long, home boolean")
-    return components(dealt.groupBy("leaf").applyInPandas(search, "a long, b long"))
+    dealt = fps.select("fp", "node").mapInArrow(deal, "leaf string, piece int, fp long, node long, home boolean")
+    return dealt.groupBy("leaf", "piece").applyInPandas(search, "a long, b long")
+
+
+def link(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """Distinct (fp, node, n) to (node, root): the components over links of at most radius differing bits."""
+    return components(forests(fps, radius))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", radius: int = RADIUS) -> DataFrame:
