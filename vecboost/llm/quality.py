@@ -170,7 +170,8 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
     some = labels.where(F.col(id_col).isNotNull() & F.col(label).isin(0, 1)).groupBy(id_col).agg(F.min(label).alias("_y"))
     some = some.orderBy(F.xxhash64(id_col), id_col).limit(sample)  # bounds what is broadcast and collected
     known = statistics(docs.select(id_col, text).join(F.broadcast(some), id_col), id_col, text, ("_y",))
-    rows = known.where(f"not ({BASE_FAILED})").selectExpr(f"`{id_col}` as i", "_y", *[f"cast({e} as double) as {f}" for f, e in FEATURES.items()]).orderBy("i", *FEATURES).toPandas()
+    usable = known.where(f"not ({BASE_FAILED})").selectExpr(f"`{id_col}` as i", "_y", *[f"cast({e} as double) as {f}" for f, e in FEATURES.items()])
+    rows = usable.groupBy("i", "_y").agg(F.min(F.struct(*FEATURES)).alias("f")).select("i", "_y", "f.*").toPandas().sort_values("i")  # a row an id, so `sample` at most
     return learn({f: rows[f].to_numpy(np.float64) for f in FEATURES}, rows["_y"].to_numpy() == 0, **options)
 
 
