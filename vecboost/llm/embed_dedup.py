@@ -8,6 +8,7 @@ the full vectors in double precision.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -76,7 +77,7 @@ def link_vectors(vectors: DataFrame, threshold: float = 0.95, id_col: str = "vec
     Null, zero and non-finite vectors, and those with a null component, link with nothing. Equal vectors are
     one class: they count as links of each other and are compared with others once. Vectors of different
     lengths do not link. Repeated ids are taken as separate rows of one component; an empty table gives no rows.
-    Blocks of at most about `block` distinct vectors meet pair by pair in tiles; a tile emits per-vector counts and a spanning
+    Blocks of at most about `block` distinct vectors (fewer where that leaves cores idle) meet pair by pair in tiles; a tile emits per-vector counts and a spanning
     forest, never its pairs. Work grows with the square of the distinct vectors, which exactness needs here;
     the number of tiles, not their size, grows.
     """
@@ -86,7 +87,8 @@ def link_vectors(vectors: DataFrame, threshold: float = 0.95, id_col: str = "vec
     v = v.withColumn("fine", fine)
     classes = cut(v.where("fine").groupBy("x").agg(F.min("id").alias("node"), F.count("*").alias("n")))
     count = classes.count()
-    blocks = max(1, -(-count // block))
+    cores = spark.sparkContext.defaultParallelism
+    blocks = max(1, -(-count // block), min(math.isqrt(4 * cores), -(-count // 512)))  # tiles enough for all cores
     spread = F.pmod(F.xxhash64("x", F.lit(7)), F.lit(blocks)).cast("int")
     homed = classes.withColumn("b", spread)
     tiles = homed.select("*", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("o")).select(F.least("b", "o").alias("ta"), F.greatest("b", "o").alias("tb"), "b", "x", "node", "n", F.size("x").alias("d"))
