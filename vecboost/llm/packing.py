@@ -6,63 +6,65 @@ pad least. Within a bucket every row is padded to the bound, and a batch takes a
 
 from __future__ import annotations
 
+from collections import deque
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD, prefix_sums, spread
-
-#: Lengths up to EXACT are their own grid point; above, grid points lie within one part in STEPS of each other.
-EXACT, STEPS = 1024, 256
-
+from .common import WORD, cut, prefix_sums, spread
 
 def n_words(text):
     """Words of a text column (null: none), in the JVM."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def grid_point(length):
-    """The least grid point not under a length (a column of long); a bound is always one."""
-    power = F.floor(F.log2(F.greatest(length - 1, F.lit(1)).cast("double"))).cast("int")
-    step = F.when(length <= EXACT, F.lit(1)).otherwise(F.pow(F.lit(2.0), power) / STEPS).cast("long")
-    return (F.ceil(length / step) * step).cast("long")
-
-
 def optimal_bounds(lengths: np.ndarray, counts: np.ndarray, tokens: np.ndarray, k: int) -> tuple[list[int], int]:
-    """Of ascending grid lengths with their rows and true tokens: at most k bounds of least padding, and that padding.
+    """Of ascending distinct lengths, their rows and those rows' tokens: at most k bounds of least padding, and that padding.
 
-    best[j] over the first j lengths is min over i of best[i] + lengths[j-1] * rows(i..j) - tokens(i..j).
+    best[j], over the first j lengths, is the least over i < j of best[i] + lengths[j-1] * rows(i..j) - tokens(i..j). For a
+    fixed i that is a line in lengths[j-1] whose slope falls as i grows, so the lower hull of the lines answers all j in one
+    sweep: a layer takes time in proportion to the lengths, all in whole numbers.
     """
     n = len(lengths)
     if not n:
         return [], 0
-    rows, toks = np.concatenate([[0], np.cumsum(counts)]), np.concatenate([[0], np.cumsum(tokens)])
-    big = np.iinfo(np.int64).max // 4
-    best = np.full(n + 1, big, np.int64)
-    best[0] = 0
-    came = []
+    at, rows, toks = [int(v) for v in lengths], [0], [0]
+    for c, t in zip(counts.tolist(), tokens.tolist()):
+        rows.append(rows[-1] + c)
+        toks.append(toks[-1] + t)
+    best: list[int | None] = [0] + [None] * n
+    came: list[list[int]] = []
     for _ in range(min(k, n)):
-        now, back = np.full(n + 1, big, np.int64), np.zeros(n + 1, np.int64)
-        now[0] = 0
+        now, back = [0] + [None] * n, [0] * (n + 1)
+        hull: deque[tuple[int, int, int]] = deque()  # (slope, height, i)
         for j in range(1, n + 1):
-            cost = best[:j] + lengths[j - 1] * (rows[j] - rows[:j]) - (toks[j] - toks[:j])
-            i = int(np.argmin(cost))
-            now[j], back[j] = cost[i], i
+            if best[j - 1] is not None:
+                m, b = -rows[j - 1], best[j - 1] + toks[j - 1]
+                while len(hull) > 1 and (hull[-1][1] - hull[-2][1]) * (hull[-1][0] - m) >= (b - hull[-1][1]) * (hull[-2][0] - hull[-1][0]):
+                    hull.pop()
+                hull.append((m, b, j - 1))
+            x = at[j - 1]
+            while len(hull) > 1 and hull[1][0] * x + hull[1][1] <= hull[0][0] * x + hull[0][1]:
+                hull.popleft()
+            m, b, i = hull[0]
+            now[j], back[j] = m * x + b + x * rows[j] - toks[j], i
         best = now
         came.append(back)
     bounds, j = [], n
     for back in reversed(came):
         if not j:
             break
-        bounds.append(int(lengths[j - 1]))
-        j = int(back[j])
-    return sorted(set(bounds)), int(best[n])
+        bounds.append(at[j - 1])
+        j = back[j]
+    return sorted(bounds), int(best[n])
 
 
 def bucket_bounds(sized: DataFrame, k: int, length: str = "n_tokens") -> list[int]:
-    """The optimal bounds over all rows; the histogram has one row a grid point (some thousands at most)."""
-    h = sized.groupBy(grid_point(F.col(length)).alias("g")).agg(F.count("*").alias("n"), F.sum(length).alias("t")).orderBy("g").toPandas()
-    return optimal_bounds(h["g"].to_numpy(np.int64), h["n"].to_numpy(np.int64), h["t"].to_numpy(np.int64), k)[0]
+    """The optimal bounds over all rows; the histogram has one row a distinct length, so no more than the longest text has words."""
+    h = sized.groupBy(F.col(length).alias("g")).agg(F.count("*").alias("n")).orderBy("g").toPandas()
+    g, n = h["g"].to_numpy(np.int64), h["n"].to_numpy(np.int64)
+    return optimal_bounds(g, n, g * n, k)[0]
 
 
 def pack(docs: DataFrame, budget: int = 16_384, buckets: int = 16, id_col: str = "doc_id", text: str = "text", bounds: list[int] | None = None, seed: int = 1) -> DataFrame:
@@ -74,6 +76,7 @@ def pack(docs: DataFrame, budget: int = 16_384, buckets: int = 16, id_col: str =
     Other columns are not read.
     """
     sized = spread(docs.select(F.col(id_col).alias("_id"), F.col(text).alias("_text"))).select("_id", F.greatest(n_words(F.col("_text")), F.lit(1)).alias("n_tokens"))
+    sized = cut(sized)  # texts are read and counted once
     bounds = bucket_bounds(sized, buckets) if bounds is None else bounds
     length = F.lit(None).cast("long")
     for b in sorted(bounds, reverse=True):
