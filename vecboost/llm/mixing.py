@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, prefix_sums
+from .common import cut, prefix_sums, unused
 from .packing import n_words
 
 
@@ -105,8 +105,11 @@ def mix(docs: DataFrame, target: int | float = 0.8, epochs: int = 4, seed: int =
 def take_mix(docs: DataFrame, target: int | float = 0.9, id_col: str = "doc_id", **options) -> DataFrame:
     """docs, all columns, with each document as often as the mix picks it (options as in mix; one epoch if none is named).
 
-    Repeated rows of one id are all kept when the id is picked; rows without an id are left out.
+    Repeated rows of one id are all kept when the id is picked, and rows without an id count as such repeats. Null texts,
+    languages and sources are as in mix; columns of any names pass through; an empty table gives no rows.
     """
-    picks = mix(docs, target, id_col=id_col, **{"epochs": 1, **options}).where(F.col(id_col).isNotNull())
-    times = picks.groupBy(F.col(id_col)).agg(F.max("epoch").alias("_last"))
-    return docs.join(times, id_col).withColumn("_again", F.explode(F.sequence(F.lit(0), F.col("_last")))).select(*docs.columns)
+    key, last, again = (unused(n, docs.columns) for n in ("_key", "_last", "_again"))
+    picks = mix(docs, target, id_col=id_col, **{"epochs": 1, **options})
+    times = picks.groupBy(F.col(id_col).alias(key)).agg(F.max("epoch").alias(last))
+    taken = docs.join(times, F.col(id_col).eqNullSafe(F.col(key)))
+    return taken.withColumn(again, F.explode(F.sequence(F.lit(0), F.col(last)))).drop(key, last, again)
