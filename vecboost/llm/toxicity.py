@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import spread
+from .common import cut, spread
 
 #: Character classes: 0 a boundary (anything else), 1 to 26 the letters, 27 any byte beyond ASCII.
 CLASSES, ORDER = 28, 4
@@ -35,6 +35,7 @@ SPACED = re.compile(r"(?<![^\W_])(?:[A-Za-z0-9@$!|+*][ ._\-]{1,2}){3,}[A-Za-z0-9
 PIECES = re.compile(r"[^\s.,;:?\"()\[\]{}<>/\\#%&=_-]+")
 MIXED = re.compile(r"[^\W\d_][0-9@$!|+*]|[0-9@$!|+*][^\W\d_]")
 TWO, LETTERS = re.compile(r"(?i)([a-z])\1"), re.compile(r"[^\W\d_]+")
+RUN = re.compile(r"(?s)(.)\1+")
 SIGNS = set("0123456789@$!|+*")
 WORDS, ENDS = LETTERS, ".,;:?\"'()"
 #: Bounds of training: labelled rows, features of the linear model, and the log likelihood ratio that a feature brings.
@@ -99,7 +100,7 @@ def lattice(segment: str) -> list[list[tuple[tuple[int, ...], float]]]:
         before, times = c, n
         if own:
             kept = [((own,) * n, 0.0)] + [((own,), DOUBLED)] * (n == 2 and own < 27)
-            steps.append(joined + (kept if n < 3 else [((own,), SHORTEN), ((own,) * 2, SHORTEN), ((own,) * min(n, 8), KEEP_RUN)]))
+            steps.append(joined + (kept if n < 3 else [((own,), SHORTEN), ((own,) * 2, SHORTEN), ((own,) * n, KEEP_RUN)]))
             continue
         said = [((ord(x) - 96,) * k, SWAP + (0.0 if k == n else SHORTEN)) for x in MEANT.get(c, "") for k in {1, min(n, 2)}]
         steps.append(joined + said + [((0,), ITSELF if said else 0.0)])
@@ -174,24 +175,40 @@ def may_be_spaced(b: bytes) -> bool:
     return bool(far.any())
 
 
+def shrink(s: str) -> str:
+    """s with every run one character long."""
+    return RUN.sub(r"\1", s)
+
+
 class Reader:
     """Telling features of texts, restored first; readings and verdicts on tokens are kept in bounded tables."""
 
     def __init__(self, cost: np.ndarray, wanted: set[str] | None = None, most: int = 600_000):
         self.cost, self.wanted, self.most, self.dull, self.telling = cost.tolist(), wanted, most, set(), {}
         self.starts = None if wanted is None else {f[:4] for f in wanted if f[:4].isalpha() or len(f) > 4}
+        self.shrunk = None if wanted is None else {shrink(x) for x in self.starts}
+        self.short = None if wanted is None else {shrink(f[:-1]) for f in wanted if f.endswith("$") and len(f) < 5}
+
+    def may_matter(self, s: str) -> bool:
+        """Whether some reading of a segment of plain letters could be a wanted feature: readings only change how long its
+        runs are, so they are the same once all runs are one letter long."""
+        if self.wanted is None or not (s.isascii() and s.isalpha()):
+            return True
+        t = shrink(s)
+        return t in self.short or any(t[:k] in self.shrunk for k in range(1, 5))
 
     def of_word(self, w: str) -> list[str]:
         if self.starts is not None and len(w) >= 4 and w[:4] not in self.starts:
             return []
-        own = [w[:40] + "$", *(w[:k] for k in range(4, min(len(w), 9)))]
+        own = [w + "$", *(w[:k] for k in range(4, min(len(w), 9)))]
         return own if self.wanted is None else [f for f in own if f in self.wanted]
 
     def of_token(self, token: str) -> tuple[str, ...]:
         token = token.strip(ENDS)
         words = [token] if token.isalpha() else WORDS.findall(token)
         for s in doubtful(token):
-            words += decode(s, self.cost).split()
+            if self.may_matter(s):
+                words += decode(s, self.cost).split()
         return tuple(f for w in words for f in self.of_word(w))
 
     def features(self, raw: bytes) -> set[str]:
@@ -273,7 +290,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
     cost = language_model(gram_counts(docs, text))
     some = labels.where(F.col(id_col).isNotNull() & F.col(label).isin(0, 1) & ~held_out(id_col)).groupBy(id_col).agg(F.max(label).alias("_y"))
     some = some.orderBy(F.xxhash64(id_col), id_col).limit(sample)  # bounds what is broadcast and collected
-    known = spread(docs.select(F.col(id_col), F.col(text).alias("text")).join(F.broadcast(some), id_col).select("text", "_y"))
+    known = docs.select(F.col(id_col).alias("_id"), F.col(text).alias("text")).join(F.broadcast(some.withColumnRenamed(id_col, "_id")), "_id")
+    known = known.repartition(4 * docs.sparkSession.sparkContext.defaultParallelism, "_id")
+    known = cut(known.groupBy("_id", "_y").agg(F.min("text").alias("text")).select("text", "_y"))  # a text an id, so `sample` at most
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reader, seen = Reader(cost), (Counter(), Counter())
@@ -284,6 +303,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str =
         yield pa.RecordBatch.from_pydict({"f": pa.array(keys, pa.string()), "good": pa.array([seen[0][k] for k in keys], pa.int64()), "bad": pa.array([seen[1][k] for k in keys], pa.int64())})
 
     told = known.mapInArrow(count, "f string, good long, bad long").groupBy("f").agg(F.sum("good").alias("good"), F.sum("bad").alias("bad")).where("bad >= 3 or f = '\n'")
+    told = cut(told)
     both = told.where("f = '\n'").first()
     if both is None or not both.good or not both.bad:
         return ToxicityModel(cost, {}, -10.0)
@@ -324,7 +344,11 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", t
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", model: ToxicityModel | None = None, **options) -> DataFrame:
-    """docs, all columns, without the rows whose text scores 0.5 or more; decided row by row, in one pass."""
+    """docs, all columns, without the rows whose text scores 0.5 or more; decided row by row, in one pass.
+
+    Null and empty texts score as texts without telling words; null ids and repeated rows are judged each by its text;
+    columns of any names pass through; an empty table gives no rows.
+    """
     model = fit(docs, labels, id_col, text, **options) if model is None else model
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
