@@ -15,26 +15,32 @@ to a slice of the input is written to the shared folder under the slice's number
 from __future__ import annotations
 
 import hashlib
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.parquet as pq
+import xxhash
 import zstandard
 from pyarrow import fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import filesystem, fresh_dir, n_partitions
+from .common import filesystem, fresh_dir, is_scan, n_partitions
 
 LENGTH, GRAM = 50, 24
 MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93)]
-KEY_BITS = 39
+KEY_BITS = 38
 POS = np.uint64(30)
 #: Sizes of working pieces, which bound memory: bytes of text at a time, stretches held before they are shipped, bytes of one suffix array.
 BLOCK, HELD, ARRAY = 1 << 20, 60_000, 1 << 19
+#: An anchor that a slice has more often is dealt by SIDE bytes before it and by SIDE bytes after it: a string of LENGTH bytes
+#: that has the anchor has one of the two, LENGTH being GRAM + 2 * SIDE.
+OFTEN, SIDE = 256, (LENGTH - GRAM) // 2
 LAST = np.iinfo(np.int64).max
 
 
@@ -44,12 +50,12 @@ def words_at_each(buf: bytes) -> np.ndarray:
     return np.ndarray((len(buf),), ">u8", padded, 0, (1,)).astype(np.uint64)
 
 
-def anchors(buf: bytes, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of texts end to end in buf: (hash, text, first, last): the LENGTH-byte strings that start from first to
+def anchors(buf: bytes, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of texts end to end in buf: (hash, text, first, last, place): the LENGTH-byte strings that start from first to
     last in that text have their least GRAM hash, leftmost if equal, at one place."""
     n, none = len(buf), np.zeros(0, np.int64)
     if n < LENGTH:
-        return none.astype(np.uint64), none, none, none
+        return none.astype(np.uint64), none, none, none, none
     w = words_at_each(buf)
     m = n - GRAM + 1
     h = np.zeros(m, np.uint64)
@@ -70,14 +76,18 @@ def anchors(buf: bytes, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.nd
     inside = starts + LENGTH <= ends[text]
     starts, at = starts[inside], (least[inside] & np.uint64((1 << 30) - 1)).astype(np.int64)
     if not len(starts):
-        return none.astype(np.uint64), none, none, none
+        return none.astype(np.uint64), none, none, none, none
     new = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
     first, last = starts[new], starts[np.concatenate([new[1:] - 1, [len(starts) - 1]])]
-    return h[at[new]], text[first], first, last
+    return h[at[new]], text[first], first, last, at[new]
 
 
-def blocks(batches: Iterator[pa.RecordBatch], text: str, others: list[str]) -> Iterator[tuple[int, bytes, np.ndarray, list[list]]]:
-    """(first row, texts end to end, their ends, other columns) over pieces of a partition of about BLOCK bytes."""
+def blocks(batches: Iterator[pa.RecordBatch], text: str, others: list[str]) -> Iterator[tuple[int, bytes, np.ndarray, list[list], int]]:
+    """(first row, texts end to end, their ends, other columns, offset) over pieces of a partition of about BLOCK bytes.
+
+    A longer text comes alone, in pieces that begin at the offset and overlap so far that every string of LENGTH bytes
+    lies in just one; what holds of its strings holds of the text's.
+    """
     row = 0
     for b in batches:
         texts = b.column(text).cast(pa.binary()).to_pylist()
@@ -88,14 +98,24 @@ def blocks(batches: Iterator[pa.RecordBatch], text: str, others: list[str]) -> I
             while j < len(texts) and (j == k or size + len(texts[j] or b"") <= BLOCK):
                 size += len(texts[j] or b"")
                 j += 1
-            some = [t or b"" for t in texts[k:j]]
-            if len(some[0]) >> 30:
-                raise ValueError("a text of a GiB or more")
-            yield row + k, b"".join(some), np.cumsum([len(t) for t in some]), [c[k:j] for c in rest]
+            cols = [c[k:j] for c in rest]
+            if size > BLOCK:
+                for at in range(0, size, BLOCK):
+                    piece = texts[k][at : at + BLOCK + LENGTH - 1]
+                    yield row + k, piece, np.array([len(piece)]), cols, at
+            else:
+                some = [t or b"" for t in texts[k:j]]
+                yield row + k, b"".join(some), np.cumsum([len(t) for t in some]), cols, 0
             k = j
         row += len(texts)
 
 
+def ids_crc(ids: pa.Array, crc: int = 0) -> int:
+    """A running check of a slice's ids, in their order."""
+    ids = ids.cast(pa.int64())
+    return zlib.crc32(pc.fill_null(ids, LAST).to_numpy(zero_copy_only=False).tobytes(), crc)
+
+
 def pack5(v: np.ndarray) -> bytes:
     return (v & 0xFFFFFFFF).astype("<u4").tobytes() + (v >> 32).astype("u1").tobytes()
 
@@ -237,10 +257,15 @@ def side_blobs(folder: str, part: int) -> list[dict]:
     return out
 
 
-def is_scan(df: DataFrame) -> bool:
-    """Whether df reads files and does nothing else but choose columns, so that its slices are the same each time."""
-    plan = df._jdf.queryExecution().optimizedPlan().toString()
-    return all(x.strip(" +-:").startswith(("Project", "Relation ")) for x in plan.strip().splitlines())
+def sides(h: int, buf: bytes, first: int, end: int, place: int) -> tuple[int, ...]:
+    """Hashes by which a stretch (first to end, its anchor at place) meets those that share SIDE bytes before or after the anchor."""
+    after = place + GRAM
+    out = []
+    if place - first >= SIDE:
+        out.append(xxhash.xxh64_intdigest(buf[place - SIDE : after], seed=1))
+    if end - after >= SIDE:
+        out.append(xxhash.xxh64_intdigest(buf[place : after + SIDE], seed=2))
+    return tuple(out) or (h,)
 
 
 class SuffixDedup:
@@ -253,7 +278,7 @@ class SuffixDedup:
             docs.write.parquet(f"{self.folder}/input.parquet")
             docs = spark.read.schema(docs.schema).parquet(f"{self.folder}/input.parquet")
         self.docs, self.id_col, self.text = docs, id_col, text
-        self.parts = n_partitions(spark)
+        self.parts = max(n_partitions(spark), self.docs.rdd.getNumPartitions())  # of a plain scan: nothing is run
         self.bits = max(1, (8 * self.parts - 1).bit_length())
 
     def _read(self) -> DataFrame:
@@ -265,8 +290,8 @@ class SuffixDedup:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             part, keys, rows = TaskContext.get().partitionId(), [], []
-            for row, buf, ends, _ in blocks(batches, "text", []):
-                h, t, _, _ = anchors(buf, ends)
+            for row, buf, ends, _, _ in blocks(batches, "text", []):
+                h, t, *_ = anchors(buf, ends)
                 keys.append(keyed(h, bits))
                 rows.append(t + row)
             if not keys:
@@ -278,8 +303,9 @@ class SuffixDedup:
                 return
             firsts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
             several = np.minimum.reduceat(row, firsts) != np.maximum.reduceat(row, firsts)
+            often = np.diff(np.append(firsts, len(key))) > OFTEN
             key = key[firsts]
-            bucket, code = key >> KEY_BITS, ((key & ((1 << KEY_BITS) - 1)) << 1) | several
+            bucket, code = key >> KEY_BITS, ((key & ((1 << KEY_BITS) - 1)) << 2) | (often << 1) | several
             cuts = np.flatnonzero(bucket[1:] != bucket[:-1]) + 1
             at = np.concatenate([[0], cuts])
             yield pa.RecordBatch.from_pydict({"bucket": pa.array(bucket[at], pa.int32()), "part": pa.array([part] * len(at), pa.int32()), "keys": pa.array([pack5(c) for c in np.split(code, cuts)], pa.binary())})
@@ -289,12 +315,14 @@ class SuffixDedup:
             code = np.concatenate(codes)
             part = np.repeat(pdf["part"].to_numpy(), [len(c) for c in codes])
             order = np.argsort(code, kind="stable")
-            k, part = code[order] >> 1, part[order]
+            code = code[order]
+            k, part = code >> 2, part[order]
             new = np.concatenate([[True], k[1:] != k[:-1]])
             g = np.cumsum(new) - 1
             firsts = np.flatnonzero(new)
-            shared = (np.diff(np.concatenate([firsts, [len(k)]])) > 1) | (np.maximum.reduceat(code[order] & 1, firsts) > 0)
-            k, part = k[shared[g]], part[shared[g]]
+            shared = (np.diff(np.concatenate([firsts, [len(k)]])) > 1) | (np.maximum.reduceat(code & 1, firsts) > 0)
+            often = np.maximum.reduceat(code >> 1 & 1, firsts)
+            k, part = ((k << 1) | often[g])[shared[g]], part[shared[g]]
             order = np.argsort(part, kind="stable")
             k, part = k[order], part[order]
             cuts = np.flatnonzero(part[1:] != part[:-1]) + 1
@@ -310,11 +338,12 @@ class SuffixDedup:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             part = TaskContext.get().partitionId()
-            shared = [unpack5(r["keys"]) | (r["bucket"] << KEY_BITS) for r in side_blobs(keys_at, part)]
+            shared = [unpack5(r["keys"]) | (r["bucket"] << (KEY_BITS + 1)) for r in side_blobs(keys_at, part)]
             shared = np.sort(np.concatenate(shared)) if shared else np.zeros(0, np.int64)
+            shared, often = shared >> 1, (shared & 1).astype(bool)
             z = zstandard.ZstdCompressor(level=1)
             seen: dict[bytes, int] = {}
-            owner, places, hashes, marks, n_rows = [], [], [], [], 0
+            owner, places, hashes, marks, n_rows, crc = [], [], [], [], 0, 0
 
             def ship() -> Iterator[pa.RecordBatch]:
                 out = []
@@ -322,13 +351,16 @@ class SuffixDedup:
                     m = np.array(marks, np.int64)
                     out.append((part % (1 << bits), part, 1, marks_blob(m[:, 0], m[:, 1], m[:, 2])))
                 if owner:
-                    texts, hs, doc = list(seen), np.array(hashes, np.uint64), np.array(owner, np.int64)
+                    texts, doc = list(seen), np.array(owner, np.int64)
+                    which = np.repeat(np.arange(len(texts)), [len(x) for x in hashes])  # one that is often met goes to two ranges
+                    hs = np.array([x for own in hashes for x in own], np.uint64)
                     bucket = (hs >> np.uint64(64 - bits)).astype(np.int64)
                     order = np.argsort(bucket, kind="stable")
                     for group in np.split(order, np.flatnonzero(np.diff(bucket[order])) + 1):
-                        some, at = [texts[g] for g in group.tolist()], [places[g] for g in group.tolist()]
+                        own = which[group].tolist()
+                        some, at = [texts[g] for g in own], [places[g] for g in own]
                         flat = np.array([x for p in at for x in p], "<i4")
-                        arrays = [np.array([len(group), len(flat)], "<i8"), hs[group].astype("<u8"), doc[group].astype("<i8"), np.array([len(s) for s in some], "<i4"), np.array([len(p) for p in at], "<i4"), np.ascontiguousarray(flat.T)]
+                        arrays = [np.array([len(group), len(flat)], "<i8"), hs[group].astype("<u8"), doc[own].astype("<i8"), np.array([len(s) for s in some], "<i4"), np.array([len(p) for p in at], "<i4"), np.ascontiguousarray(flat.T)]
                         out.append((int(bucket[group[0]]), part, 0, z.compress(b"".join([*(x.tobytes() for x in arrays), *some]))))
                 for held in (seen, owner, places, hashes, marks):
                     held.clear()
@@ -336,23 +368,24 @@ class SuffixDedup:
                     cols = list(zip(*out[k : k + 64]))
                     yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int32()), pa.array(cols[3], pa.binary())], ["bucket", "part", "kind", "blob"])
 
-            for row, buf, ends, (doc_ids,) in blocks(batches, "text", ["id"]):
+            for row, buf, ends, (doc_ids,), offset in blocks(batches, "text", ["id"]):
+                n_rows, crc = row + len(doc_ids), crc if offset else ids_crc(pa.array(doc_ids, pa.int64()), crc)
                 doc_ids = [LAST if d is None else d for d in doc_ids]
-                n_rows = row + len(doc_ids)
                 if not len(shared):
                     continue
-                h, t, first, last = anchors(buf, ends)
+                h, t, first, last, place = anchors(buf, ends)
                 k = keyed(h, bits)
-                i = np.flatnonzero(shared[np.minimum(np.searchsorted(shared, k), len(shared) - 1)] == k)
-                begins = np.concatenate([[0], ends[:-1]])
-                for hh, r, a, e, b in zip(h[i].tolist(), t[i].tolist(), first[i].tolist(), (last[i] + LENGTH).tolist(), begins[t[i]].tolist()):
+                at = np.minimum(np.searchsorted(shared, k), len(shared) - 1)
+                i = np.flatnonzero(shared[at] == k)
+                begins = np.concatenate([[0], ends[:-1]]) - offset
+                for hh, r, a, e, b, p, many in zip(h[i].tolist(), t[i].tolist(), first[i].tolist(), (last[i] + LENGTH).tolist(), begins[t[i]].tolist(), place[i].tolist(), often[at[i]].tolist()):
                     s, d = buf[a:e], doc_ids[r]
                     had = seen.get(s)
                     if had is None:
                         seen[s] = len(owner)
                         owner.append(d)
                         places.append([(row + r, a - b)])
-                        hashes.append(hh)
+                        hashes.append(sides(hh, buf, a, e, p) if many else (hh,))
                     elif d > owner[had]:
                         marks.append((row + r, a - b, e - b))
                     elif d == owner[had]:
@@ -363,7 +396,7 @@ class SuffixDedup:
                 if len(owner) >= HELD or len(marks) >= 8 * HELD:
                     yield from ship()
             yield from ship()
-            meta = z.compress(np.array([[n_rows], [-1], [-1]], "<i4").tobytes())
+            meta = z.compress(np.array([[n_rows], [crc >> 16], [crc & 0xFFFF]], "<i4").tobytes())
             yield pa.RecordBatch.from_arrays([pa.array([part % (1 << bits)], pa.int32()), pa.array([part], pa.int32()), pa.array([2], pa.int32()), pa.array([meta], pa.binary())], ["bucket", "part", "kind", "blob"])
 
         return self._read().mapInArrow(run, "bucket int, part int, kind int, blob binary")
@@ -372,7 +405,7 @@ class SuffixDedup:
     def settle(pdf: pd.DataFrame) -> pd.DataFrame:
         """One hash range: marks of all its stretches, by slice."""
         out = [(p, k, b) for p, k, b in zip(pdf["part"], pdf["kind"], pdf["blob"]) if k]
-        classes: dict[bytes, int] = {}
+        classes: dict[tuple[int, bytes], int] = {}
         cls, part, doc, row, at, hashed, texts = [], [], [], [], [], [], []
         for p, k, blob in zip(pdf["part"], pdf["kind"], pdf["blob"]):
             if k:
@@ -386,9 +419,9 @@ class SuffixDedup:
             own = []
             for e, s, hh in zip(ends.tolist(), size.tolist(), h.tolist()):
                 t = raw[e - s : e]
-                c = classes.get(t)
+                c = classes.get((hh, t))
                 if c is None:
-                    c = classes[t] = len(texts)
+                    c = classes[hh, t] = len(texts)
                     texts.append(t)
                     hashed.append(hh)
                 own.append(c)
@@ -437,51 +470,56 @@ class SuffixDedup:
         return marks_at
 
     @staticmethod
-    def ranges(marks_at: str, part: int) -> tuple[dict[int, list[tuple[int, int]]], int | None]:
-        """Removed byte ranges by row, merged, and the number of rows that the slice had."""
-        held, n_rows = [np.zeros((3, 0), np.int64)], None
+    def ranges(marks_at: str, part: int) -> tuple[dict[int, list[tuple[int, int]]], tuple[int, int] | None]:
+        """Removed byte ranges by row, merged, and the number and check of the rows that the slice had."""
+        held, had = [np.zeros((3, 0), np.int64)], None
         for r in side_blobs(marks_at, part):
             m = read_marks(r["blob"]).astype(np.int64)
             if r["kind"] == 2:
-                n_rows = int(m[0, 0])
+                had = int(m[0, 0]), int(m[1, 0]) << 16 | int(m[2, 0])
             else:
                 held.append(m)
         m = read_marks(marks_blob(*np.concatenate(held, axis=1)))
         out: dict[int, list[tuple[int, int]]] = {}
         for row, a, z in m.T.tolist():
             out.setdefault(row, []).append((a, z))
-        return out, n_rows
+        return out, had
+
+    @staticmethod
+    def check(part: int, had: tuple[int, int] | None, rows: int, crc: int) -> None:
+        if had not in (None, (rows, crc)):
+            raise ValueError(f"slice {part} holds other rows now ({rows}) than before ({had[0]})")
 
     def digests(self) -> DataFrame:
         """(id, n_bytes, n_removed, n_spans, kept_sha256) for every row."""
         marks_at = self.marks()
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            part, row = TaskContext.get().partitionId(), 0
-            gone, n_rows = SuffixDedup.ranges(marks_at, part)
+            part, row, crc = TaskContext.get().partitionId(), 0, 0
+            gone, had = SuffixDedup.ranges(marks_at, part)
             for b in batches:
-                out = []
+                out, crc = [], ids_crc(b.column("id"), crc)
                 for t in b.column("text").cast(pa.binary()).to_pylist():
                     t, spans = t or b"", gone.get(row, ())
                     row += 1
                     out.append((len(t), sum(z - a for a, z in spans), len(spans), hashlib.sha256(without(t, spans)).hexdigest()))
                 cols = list(zip(*out)) or [()] * 4
                 yield pa.RecordBatch.from_arrays([b.column("id"), *(pa.array(c, pa.int64()) for c in cols[:3]), pa.array(cols[3], pa.string())], ["id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
-            if n_rows not in (None, row):
-                raise ValueError(f"slice {part} has {row} rows now, {n_rows} before")
+            SuffixDedup.check(part, had, row, crc)
 
         read = self._read().mapInArrow(run, "id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
         return read.withColumnRenamed("id", self.id_col)
 
     def cut_texts(self, n_chars: str | None = "n_chars") -> DataFrame:
         """The input, all columns and rows, with texts cut; half characters at cuts go, n_chars follows if there."""
-        marks_at, text, schema = self.marks(), self.text, self.docs.schema
+        marks_at, id_col, text, schema = self.marks(), self.id_col, self.text, self.docs.schema
         n_chars = n_chars if n_chars in self.docs.columns else None
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            part, row = TaskContext.get().partitionId(), 0
-            gone, n_rows = SuffixDedup.ranges(marks_at, part)
+            part, row, crc = TaskContext.get().partitionId(), 0, 0
+            gone, had = SuffixDedup.ranges(marks_at, part)
             for b in batches:
+                crc = ids_crc(b.column(id_col), crc)
                 texts, sizes = b.column(text).to_pylist(), b.column(n_chars).to_pylist() if n_chars else None
                 for k in range(len(texts)):
                     if spans := gone.get(row + k):
@@ -491,8 +529,7 @@ class SuffixDedup:
                 row += len(texts)
                 new = {text: texts} | ({n_chars: sizes} if n_chars else {})
                 yield pa.RecordBatch.from_arrays([pa.array(new[c], b.column(c).type) if c in new else b.column(c) for c in b.schema.names], b.schema.names)
-            if n_rows not in (None, row):
-                raise ValueError(f"slice {part} has {row} rows now, {n_rows} before")
+            SuffixDedup.check(part, had, row, crc)
 
         return self.docs.mapInArrow(run, schema)
 
@@ -515,5 +552,9 @@ def passage_digests(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
 
 
 def cut_passages(docs: DataFrame, id_col: str = "doc_id", text: str = "text", folder: str | None = None) -> DataFrame:
-    """docs, all rows and columns, with the same bytes taken out of the texts."""
+    """docs, all rows and columns, with the same bytes taken out of the texts; half characters at cuts go.
+
+    Nulls, empty texts, repeated rows and empty tables as in passage_digests; a null text stays null. n_chars, if there,
+    follows the text; columns of other names pass through.
+    """
     return SuffixDedup(docs, id_col, text, folder).cut_texts()
