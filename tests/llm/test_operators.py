@@ -10,12 +10,12 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from vecboost.llm import near_copies, quality, simhash, toxicity
+from vecboost.llm import near_copies, quality, simhash, suffix_dedup, toxicity
 from vecboost.llm.common import components, prefix_sums
 from vecboost.llm.embed_dedup import link_vectors, quantise, tile_links, unit
-from vecboost.llm.mixing import Node, mix, share, take_mix
+from vecboost.llm.mixing import DOMAIN_WEIGHTS, LANGUAGE_WEIGHTS, Node, budgets, mix, share, take_mix
 from vecboost.llm.packing import optimal_bounds, pack
-from vecboost.llm.suffix_dedup import cut_passages, passage_digests, suffix_order
+from vecboost.llm.suffix_dedup import anchors, cut_passages, passage_digests, suffix_order
 from vecboost.llm.tokens import Encoder, PlaneReader, PlaneWriter, token_digests
 from vecboost.llm.url_rules import RULES, PathRules, judge_urls
 from vecboost.llm.warc import archive_digest, archive_pages, read_archives
@@ -91,6 +91,21 @@ def test_quality_counts_and_rules(spark, docs, none):
     assert quality.learn({"a": np.zeros(0)}, np.zeros(0, bool)) == []
 
 
+def test_the_conditional_says_what_the_rules_say(spark):
+    r = random.Random(8)
+    texts = ["\n".join(" ".join(r.choice(["aa", "B1", "#x", "...", "word", "Zz9!"]) for _ in range(r.randint(1, 30))) for _ in range(r.randint(1, 6))) for _ in range(150)] + ["", None]
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    test = quality.Test
+    rules = [[test("symbols_per_word", True, 0.3), test("words", False, 60.0)], [test("upper_share", True, 0.15)], [test("dup_line_share", False, 0.0), test("digit_share", True, 0.1), test("marks_per_word", True, 0.4)]]
+    rows = quality.judge_quality(d, None, rules=rules).collect()
+    x = {f: np.array([eval(e.replace("greatest", "max"), {"max": max}, q.asDict()) for q in rows], float) for f, e in quality.FEATURES.items()}
+    first = np.full(len(rows), -1)
+    for k in reversed(range(3)):
+        first[quality.covers(rules[k], x)] = k
+    assert [q.rule for q in rows] == first.tolist() and set(first) >= {-1, 0, 1}
+    assert all(q.kept == (not q.base_failed and q.rule < 0) for q in rows)
+
+
 def brute_fingerprint(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     words = [w.decode() for w in low.encode().split()]
@@ -128,6 +143,13 @@ def test_vantage_trees_find_every_pair(spark, monkeypatch):
     d = spark.createDataFrame([(int(v), k, 1) for k, v in enumerate(p.view(np.int64))], "fp long, node long, n long").repartition(4)
     got = {r.node: r.root for r in simhash.link(d).collect()}
     assert {k: got.get(k, k) for k in range(len(p))} == want
+    monkeypatch.setattr(simhash, "PER_SHARD", 8)  # leaves with many more visitors than members: several pieces
+    monkeypatch.setattr(simhash, "VISITORS", 1)
+    sample = np.sort(p)
+    tree = simhash.grow(sample, 7)
+    assert simhash.pieces_of(tree, sample, 3)
+    got = {r.node: r.root for r in simhash.link(d).collect()}
+    assert {k: got.get(k, k) for k in range(len(p))} == want
 
 
 def test_pipeline_drops_edited_copies(spark, docs, none, monkeypatch):
@@ -339,6 +361,22 @@ def test_buckets_are_optimal():
     assert optimal_bounds(np.zeros(0), np.zeros(0), np.zeros(0), 3) == ([], 0)
 
 
+def test_buckets_are_optimal_for_long_texts(spark):
+    r = random.Random(3)
+    sizes = [r.choice([r.randint(1, 40), r.randint(900, 1200), r.randint(5000, 90000)]) for _ in range(400)]
+    lengths, n = np.unique(sizes, return_counts=True)
+    tokens = lengths * n
+    rows, toks = np.concatenate([[0], np.cumsum(n)]), np.concatenate([[0], np.cumsum(tokens)])
+    best = np.array([0] + [10**15] * len(lengths))  # the program without a hull, bucket by bucket
+    for _ in range(6):
+        best = np.array([0] + [min(best[i] + lengths[j - 1] * (rows[j] - rows[i]) - (toks[j] - toks[i]) for i in range(j)) for j in range(1, len(lengths) + 1)])
+    bounds, waste = optimal_bounds(lengths, n, tokens, 6)
+    assert waste == best[-1] == sum(min(b for b in bounds if b >= s) - s for s in sizes) and len(bounds) <= 6
+    d = spark.createDataFrame([(k, " ".join(["w"] * s)) for k, s in enumerate(sizes)], "doc_id long, text string").repartition(3)
+    placed = pack(d, buckets=6).collect()
+    assert sum(x.bucket_length - x.n_tokens for x in placed) == waste and {x.n_tokens for x in placed} == set(sizes)
+
+
 def test_packing(docs, none):
     rows = pack(docs, budget=64, buckets=4).collect()
     assert len(rows) == 17 and len({r.bucket_length for r in rows}) <= 4
@@ -388,6 +426,55 @@ def test_mixing(spark, docs, none):
     assert mix(none).count() == 0
 
 
+def test_mix_takes_the_prefix_of_each_seeded_epoch(spark):
+    """Brute force: leaves by the weights two levels down, and in each epoch the seeded order's prefix."""
+    r = random.Random(6)
+    rows = [(k, " ".join(["w"] * r.randint(1, 30)), r.choice(["en", "de", None]), f"src{r.randint(0, 19)}") for k in range(300)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").repartition(5)
+    got = mix(d, 0.9, epochs=3, seed=5).collect()
+    size = {i: len(t.split()) for i, t, _, _ in rows}
+    domain = lambda s: "web" if int(s[3:]) <= 6 else "books" if int(s[3:]) <= 12 else "reference"
+    leaves = {}
+    for i, _, lang, s in rows:
+        leaves.setdefault((domain(s), lang or "", s), []).append(i)
+    stock = {k: sum(map(size.get, v)) for k, v in leaves.items()}
+    target = round(0.9 * sum(stock.values()))
+    plan = budgets([(*k, v) for k, v in stock.items()], target, 3, DOMAIN_WEIGHTS, LANGUAGE_WEIGHTS, {})
+    assert sum(plan.values()) == target
+
+    def within(prefix, of):
+        return sum(v for k, v in of.items() if k[: len(prefix)] == prefix)
+
+    top = {p[0] for p in plan}
+    short = {p for p in top if within((p,), plan) == 3 * within((p,), stock)}
+    rest = {p: within((p,), plan) / DOMAIN_WEIGHTS[p] for p in top - short}
+    assert max(rest.values()) - min(rest.values()) < 20  # domains with stock enough are level by weight
+    for p in rest:
+        langs = {q[1] for q in plan if q[0] == p}
+        level = {q: within((p, q), plan) / LANGUAGE_WEIGHTS.get(q, 1.0) for q in langs if within((p, q), plan) < 3 * within((p, q), stock)}
+        assert max(level.values()) - min(level.values()) < 60
+    hashed = {(x.doc_id, x.e): x.h for x in d.select("doc_id", F.explode(F.sequence(F.lit(0), F.lit(2))).alias("e")).select("doc_id", "e", F.xxhash64("doc_id", F.lit(5), "e").alias("h")).collect()}
+    want = []
+    for leaf, ids in leaves.items():
+        at = 0
+        for e in range(3):
+            for i in sorted(ids, key=lambda i: (hashed[i, e], i)):
+                if at < plan[leaf]:
+                    want.append((i, *leaf, size[i], e, at))
+                at += size[i]
+    assert sorted(tuple(x) for x in got) == sorted(want)
+
+
+def test_take_mix_keeps_clashing_columns_and_rows_without_an_id(spark):
+    rows = [(k if k % 7 else None, "a b c", "en", "src1", k, -k, "x") for k in range(40)] + [(3, "a b c", "en", "src1", 99, 0, "y")]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, _last int, _again int, _key string")
+    out = take_mix(d, 1.0)
+    assert out.columns == d.columns and sorted(map(str, out.collect())) == sorted(map(str, d.collect()))
+    half = take_mix(d, 0.5).collect()
+    assert 0 < len(half) < 41 and sum(r.doc_id is None for r in half) in (0, 6)
+    assert take_mix(d.limit(0)).columns == d.columns and take_mix(d.limit(0)).count() == 0
+
+
 def test_deobfuscation_and_scores(spark, docs, none):
     clean = [" ".join(rnd.choice(WORDS[:-2]) for _ in range(30)) for _ in range(300)]
     toxic = [c + " you idiot moron" for c in clean[:100]]
@@ -456,6 +543,17 @@ def test_long_segments_and_doubled_letters_are_read():
     assert len(toxicity.decode("m0r0n1" * 20_000, cost)) > 100_000  # in steps, not in their square
 
 
+def test_segments_that_cannot_matter_are_those_without_wanted_readings():
+    r = random.Random(5)
+    cost = toxicity.language_model(np.bincount(toxicity.class_codes(b"kill idiot moron a book of all fools " * 50), minlength=toxicity.CLASSES**toxicity.ORDER).astype(float))
+    wanted = {"kil$", "idiot$", "idio", "ass$", "moron", "a$", "fool$"}
+    told, all_ = toxicity.Reader(cost, wanted), toxicity.Reader(cost)
+    words = ["".join(c * r.choice([1, 1, 2, 3]) for c in r.choice(["kil", "idiot", "as", "moron", "a", "fol", "book", "idol", "xyz"])) for _ in range(400)]
+    for w in words:
+        assert set(told.of_token(w)) == set(all_.of_token(w)) & wanted
+    assert sum(not told.may_matter(w) for w in words) > 50
+
+
 def test_viterbi_is_the_cheapest_path():
     from itertools import product
 
@@ -538,6 +636,44 @@ def test_passages(spark, docs, none):
     assert passage_digests(none).count() == 0
 
 
+@pytest.mark.parametrize("often", [2, 10**9])
+def test_an_anchor_in_many_different_stretches(spark, monkeypatch, often):
+    """One frequent string, whose middle has the least hash of its surroundings, between ever other neighbours."""
+    r = random.Random(12)
+    gram = min(("".join(r.choice("abcdefgh") for _ in range(24)) for _ in range(30000)), key=lambda g: anchors((g + "x" * 26).encode(), np.array([50]))[0][0])
+    monkeypatch.setattr(suffix_dedup, "OFTEN", often)
+    monkeypatch.setattr(suffix_dedup, "ARRAY", 4000)
+    sides = ["".join(r.choice("ijkl") for _ in range(40)) for _ in range(12)]
+    texts = [r.choice(sides)[r.randint(0, 30) :] + r.choice(["", "q", "rs"]) + gram + r.choice(["", "t"]) + r.choice(sides)[: r.randint(5, 40)] + str(k) for k in range(500)]
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    got = sorted(tuple(x) for x in passage_digests(d).collect())
+    assert got == brute_passages([(k, t.encode()) for k, t in enumerate(texts)]) and sum(g[2] > 0 for g in got) > 100
+
+
+def test_a_long_text_is_read_in_pieces(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "BLOCK", 120)
+    r = random.Random(13)
+    pool = ["".join(r.choice("abcdé ") for _ in range(90)) for _ in range(5)]
+    texts = ["".join(r.choice(pool)[r.randint(0, 30) :] for _ in range(r.choice([1, 2, 12]))) for _ in range(40)]
+    got = sorted(tuple(x) for x in passage_digests(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)).collect())
+    assert got == brute_passages([(k, t.encode()) for k, t in enumerate(texts)])
+
+
+def test_pipeline_stages_take_any_table(spark, sf, docs, none):
+    """Nulls in every column, repeated rows, empty and long texts, ties, clashing names and no rows at all."""
+    import corpus_pipeline as P
+
+    for d in (docs.withColumn("_last", F.lit(1)).withColumn("root", F.lit("x")).withColumn("_id", F.lit(None).cast("string")).withColumn("digest", F.lit("y")), none):
+        for name, stage in P.STAGES:
+            out = stage(spark, d, sf)
+            if name != "packing":
+                assert out.columns == d.columns
+            rows = out.collect()
+            assert len(rows) <= d.count() and (rows or d.isEmpty())
+            if name in ("passages", "packing"):
+                assert len(rows) == d.count()
+
+
 def test_pipeline_stages(spark, sf):
     import corpus_pipeline as P
 
@@ -552,8 +688,10 @@ def test_pipeline_stages(spark, sf):
         if name != "packing":
             assert out.columns == docs.columns
         if name == "near_duplicates":
-            root = {r.doc_id: r.component_id for r in simhash.near_duplicates(d).collect()}
-            assert set(ids) == set(root.values())
+            words = {i: (t or "").lower().encode().split() for i, t in before.items()}
+            sets = {i: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set() for i, w in words.items()}
+            close = [(a, b) for a in sets for b in sets if a < b and (sets[a] == sets[b] or 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]))]
+            assert set(ids) == set(union_find(sets, close).values())
         if name == "passages":
             assert len(ids) == len(before) and all(len(r.text) <= len(before[r.doc_id]) for r in out.collect())
         if name == "packing":
