@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vecboost.llm.common import fresh_dir
+from vecboost.llm.common import fresh_dir, scratch
 from vecboost.llm.mixing import take_mix
 from vecboost.llm.near_copies import keep_one
 from vecboost.llm.packing import pack
@@ -18,7 +18,8 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The lowest document of each component over five-word shingle similarities of 0.8 or more."""
+    """The lowest document of each component over five-word shingle similarities of 0.8 or more: SimHash's trees and bands
+    of minhashes choose what is compared."""
     return keep_one(docs)
 
 
@@ -48,6 +49,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = fresh_dir(spark, "pipeline")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
+        with scratch():  # what a stage left in the shared folder goes once its rows are written
+            stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
     return docs
