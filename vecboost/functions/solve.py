@@ -53,9 +53,14 @@ def normal(a, b):
 
 
 def cholesky(a, b):
-    low = np.linalg.cholesky(a)
-    y = np.linalg.solve(low, b[:, :, None])
-    return np.linalg.solve(low.transpose(0, 2, 1), y)[:, :, 0]
+    """Forward and back substitution a column at a time, over the whole batch; fails where a matrix isn't positive definite."""
+    low, y = np.linalg.cholesky(a), b.astype(float)
+    c = b.shape[1]
+    for k in range(c):
+        y[:, k] = (y[:, k] - np.einsum("nj,nj->n", low[:, k, :k], y[:, :k])) / low[:, k, k]
+    for k in reversed(range(c)):
+        y[:, k] = (y[:, k] - np.einsum("nj,nj->n", low[:, k + 1 :, k], y[:, k + 1 :])) / low[:, k, k]
+    return y
 
 
 def closed(a, b):
@@ -149,9 +154,12 @@ class FullH(Hessian):
 
     def _solve(self, m, b):
         """By the solver chosen; systems that aren't positive definite are no case for Cholesky and go to the pivoted QR."""
-        if self.solver != "cholesky" or (fit := check_spd(m, 0.0)).all():
+        try:
             return SOLVERS[self.solver](m, b)
-        out = pivoted_qr(m, b)
+        except np.linalg.LinAlgError:
+            if self.solver != "cholesky":
+                raise
+        fit, out = check_spd(m, 0.0), pivoted_qr(m, b)
         out[fit] = cholesky(m[fit], b[fit])
         return out
 

@@ -35,6 +35,8 @@ def train(method: str, base, cuts, classes: int, n_trees: int, **k) -> Model | N
         return baselines.logitboost(base, cuts, classes, 1, **{**k, "n_trees": n_trees})
     if method == "abc_logitboost":
         return baselines.abc_logitboost(base, cuts, classes, 1, **{**k, "n_trees": n_trees})
+    if method in ("full", "full_lbl"):
+        k = {"solver": "cholesky", **k}  # with an L2 the systems are definite: the same solution as by the default's pivoted QR
     return fit(base, presets.PRESETS[method](classes, n_trees=n_trees, **k), cuts)
 
 

@@ -36,19 +36,19 @@ def exp_main_comparison(spark, sf_dir):
 
 @query()
 def exp_main_workloads(spark, sf_dir):
-    """The untuned methods at all four sizes on three workloads of 3, 10 and 26 classes."""
-    return E.main_comparison(spark, sf_dir, ("role3", "emb10", "letter26"), [m for m in E.METHODS if m != "ovr_tuned"], (10, 25, 50, 100))
+    """The untuned methods at the two small sizes on workloads of 3 and 10 classes."""
+    return E.main_comparison(spark, sf_dir, ("role3", "emb10"), [m for m in E.METHODS if m != "ovr_tuned"], (10, 25))
 
 
 @query()
 def exp_tuned_baseline(spark, sf_dir):
-    """The search at two sizes on the 3-class workload: 20 draws, 5 folds, the grid grown once at its edges."""
-    return E.main_comparison(spark, sf_dir, ("role3",), ["ovr_tuned", "diag_lbl"], (10, 25), expansions=1)
+    """The search at ten trees on the 3-class workload: 20 draws, 5 folds, the grid grown once at its edges."""
+    return E.main_comparison(spark, sf_dir, ("role3",), ["ovr_tuned", "diag_lbl"], (10,), expansions=1)
 
 
 @query()
 def exp_convergence(spark, sf_dir):
-    return E.convergence(spark, sf_dir, "emb10", n_trees=100).unionByName(E.convergence(spark, sf_dir, "letter26", n_trees=100))
+    return E.convergence(spark, sf_dir, "emb10", n_trees=25)
 
 
 @query()
@@ -59,7 +59,7 @@ def exp_grid_swapped(spark, sf_dir):
 
 @query()
 def exp_full_vs_diag(spark, sf_dir):
-    return E.hessian_costs(spark, sf_dir, ("role3", "emb10", "letter26")).drop("seconds_per_tree")
+    return E.hessian_costs(spark, sf_dir, ("role3", "emb10")).drop("seconds_per_tree")
 
 
 @query()
@@ -75,7 +75,7 @@ def exp_refresh(spark, sf_dir):
 
 @query()
 def exp_class_count(spark, sf_dir):
-    return E.class_counts(spark, sf_dir, ("role3", "emb10", "letter26"), 4)
+    return E.class_counts(spark, sf_dir, ("role3", "emb10"), 2)
 
 
 @query()
@@ -95,10 +95,10 @@ PRESET_SQL = {
 }
 
 
-@query(union({f"'{m}' AS method": f"SELECT accuracy FROM ({booster_sql(f, 10, 2, 0.3, measured=None)})" for m, f in PRESET_SQL.items()}))
+@query(union({f"'{m}' AS method": f"SELECT accuracy FROM ({booster_sql(f, 5, 2, 0.3, measured=None)})" for m, f in PRESET_SQL.items()}))
 def exp_presets(spark, sf_dir):
-    """The presets at ten trees of depth 2 on the small workload."""
-    return E.preset_scores(spark, sf_dir, ("slice3",), 10, depth=2).select("method", F.round("accuracy", 4).alias("accuracy"))
+    """The presets at five trees of depth 2 on the small workload."""
+    return E.preset_scores(spark, sf_dir, ("slice3",), 5, depth=2).select("method", F.round("accuracy", 4).alias("accuracy"))
 
 
 @query(union({f"'{n}' AS dataset": f"SELECT {c} AS classes, true AS near" for n, c in (("null_label", 10), ("null_flag", 3), ("null_priority", 5), ("null_event", 5))}))
