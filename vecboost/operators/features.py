@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, BooleanType, DateType, StringType, StructType, TimestampType
+from pyspark.sql.pandas.types import to_arrow_type
+from pyspark.sql.types import ArrayType, BooleanType, DateType, DoubleType, LongType, StringType, StructField, StructType, TimestampType
 
 
 def class_dictionary(df: DataFrame, label: str) -> DataFrame:
@@ -62,6 +64,51 @@ def impute_bin(col: Column, value: float) -> tuple[Column, Column]:
     return F.when(missing, F.lit(value)).otherwise(col), missing.cast("double")
 
 
+def weighted_mean(df: DataFrame, by: str, value: str, weight: str) -> DataFrame:
+    """(by, mean, n) by a user-defined aggregate in Python that combines: Arrow batches are folded to sums in the tasks that
+    read them, and only a row a group and task is exchanged. Nulls in value or weight, and null groups, as in SQL."""
+    kind = df.schema[by].dataType
+
+    def fold(batches):
+        held: dict = {}
+        for b in batches:
+            d = b.to_pandas()
+            for k, part in d.groupby("k", dropna=False):
+                k = None if k != k else k
+                a = held.setdefault(k, [0.0, 0.0, 0])
+                known = part["v"].notna() & part["w"].notna()
+                a[0] += float((part["v"] * part["w"])[known].sum())
+                a[1] += float(part["w"][known].sum())
+                a[2] += len(part)
+        if held:
+            yield pa.RecordBatch.from_pydict({"k": pa.array(list(held), to_arrow_type(kind)), "s": [a[0] for a in held.values()], "w": [a[1] for a in held.values()], "n": pa.array([a[2] for a in held.values()], pa.int64())})
+
+    rows = df.select(F.col(by).alias("k"), F.col(value).cast("double").alias("v"), F.col(weight).cast("double").alias("w"))
+    parts = rows.mapInArrow(fold, StructType([StructField("k", kind), *(StructField(n, t) for n, t in (("s", DoubleType()), ("w", DoubleType()), ("n", LongType())))]))
+    return parts.groupBy(F.col("k").alias(by)).agg((F.sum("s") / F.nullif(F.sum("w"), F.lit(0.0))).alias("mean"), F.sum("n").alias("n"))
+
+
+def draw(key: Column, seed: str = "") -> Column:
+    """0 to 999 by the key's MD5: the same in any engine."""
+    return F.conv(F.substring(F.md5(F.concat(key.cast("string"), F.lit(seed)).cast("binary")), 1, 8), 16, 10).cast("long") % 1000
+
+
+def sample_by(df: DataFrame, key: str, by: str, shares: dict, seed: str = "") -> DataFrame:
+    """About a share of each class's rows (none of classes not named), by a hash of the key."""
+    most = F.lit(0)
+    for v, share in shares.items():
+        most = F.when(F.col(by) == v, F.lit(round(share * 1000))).otherwise(most)
+    return df.where(draw(F.col(key), seed) < most)
+
+
+def bootstrap(df: DataFrame, key: str, out: str = "times", seed: str = "") -> DataFrame:
+    """df with how often a bootstrap takes each row: a Poisson count of mean one, to a thousandth and four at most."""
+    d, times = draw(F.col(key), seed), F.lit(4)
+    for n, below in ((3, 981), (2, 920), (1, 736), (0, 368)):
+        times = F.when(d < below, F.lit(n)).otherwise(times)
+    return df.withColumn(out, times)
+
+
 def assemble(df: DataFrame, cols: list[str], out: str = "x") -> DataFrame:
     """One array<double> of numeric, boolean, date, timestamp, array and (flattened) struct columns, in order."""
     parts: list[Column] = []

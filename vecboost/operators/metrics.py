@@ -159,6 +159,20 @@ def taylor_gap(base: DataFrame | LocalRows, model: Model, first: int) -> tuple[f
     return sum(a for a, _ in sums), sum(b for _, b in sums), sum(abs(a - b) for a, b in sums)
 
 
+def rows_per_node(base: DataFrame, model: Model) -> DataFrame:
+    """(tree, node, n): rows that end in each leaf."""
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                x = byte_matrix(b.column("bins"))
+                for k, t in enumerate(model.trees):
+                    node, n = np.unique(t.descend(x), return_counts=True)
+                    yield pa.RecordBatch.from_pydict({"tree": pa.array([k] * len(node), pa.int32()), "node": pa.array(node, pa.int32()), "n": pa.array(n, pa.int64())})
+
+    return base.select("bins").mapInArrow(run, "tree int, node int, n long").groupBy("tree", "node").agg(F.sum("n").alias("n"))
+
+
 def objective(base: DataFrame, model: Model) -> float:
     """Mean training loss times rows, plus gamma a leaf and half lam times the squared leaf vectors."""
     cfg, folded = model.config, model.fold()

@@ -19,4 +19,4 @@ def query(sql: str | None = None):
 
 
 def load_all() -> None:
-    from . import boosters, experiments, measures, relational, steps  # noqa: F401
+    from . import boosters, experiments, extras, measures, relational, steps  # noqa: F401

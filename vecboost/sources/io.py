@@ -14,6 +14,15 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
+
+
+def views(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> None:
+    """Temporary views of the tables in the session's catalog, for SQL."""
+    for n in names or TABLES:
+        load(spark, sf_dir, n).createOrReplaceTempView(n)
+
+
 def read(spark: SparkSession, kind: str, path: str, schema: StructType | None = None, **options) -> DataFrame:
     """kind: parquet, orc, csv, json or text. CSV and JSON want a schema: nothing is inferred."""
     if kind in ("csv", "json") and schema is None:
