@@ -182,7 +182,7 @@ def test_column_expressions_train_the_same_trees(spark, data):
     d = df.select("y", *[bin_expr(F.element_at("x", k + 1), cuts[k]).alias(f"b{k}") for k in range(3)])
     for how in ("diag", "diag_lbl", "full_lbl", "samme_like", "aoso_like"):
         cfg = presets.PRESETS[how](3, n_trees=2, depth=2)
-        if cfg.loss == "softmax":
+        if cfg.loss == "softmax" and cfg.hessian != "pair":
             same_trees(fit(base, cfg, cuts), fit(JvmRows(d, ["b0", "b1", "b2"]), cfg, cuts))
         else:
             with pytest.raises(ValueError):

@@ -49,7 +49,7 @@ def prefix(hist: DataFrame, stats: list[str], keys: tuple[str, ...] = ("node",))
 
 
 def weights_of(g: list[Column], h: list[Column], n: Column, lam: float, kind: str = "diagonal", zero_sum: bool = False) -> list[Column]:
-    """Leaf vectors as columns; kinds diagonal, identity, pair, and full up to three outputs."""
+    """Leaf vectors as columns; kinds diagonal, identity, and full up to three outputs."""
     c = len(g)
     if kind in ("diagonal", "identity"):
         a = [(h[k] if kind == "diagonal" else n) + lam for k in range(c)]
@@ -59,9 +59,6 @@ def weights_of(g: list[Column], h: list[Column], n: Column, lam: float, kind: st
     m = {(k, k): h[k] + lam for k in range(c)}
     for (a, b), x in zip(pairs, h[c:]):
         m[a, b] = m[b, a] = x
-    if kind == "pair":
-        best = F.array_max(F.array(*[F.struct(((g[a] - g[b]) * (g[a] - g[b]) / (m[a, a] + m[b, b] - 2 * m[a, b])).alias("q"), F.lit(-i).alias("i"), (-(g[a] - g[b]) / (m[a, a] + m[b, b] - 2 * m[a, b])).alias("step"), F.lit(a).alias("a"), F.lit(b).alias("b")) for i, (a, b) in enumerate(pairs)]))
-        return [F.when(best["a"] == k, best["step"]).when(best["b"] == k, -best["step"]).otherwise(0.0) for k in range(c)]
     if c == 1:
         return [-g[0] / m[0, 0]]
     if c == 2:

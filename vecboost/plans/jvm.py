@@ -81,9 +81,9 @@ class JvmRows:
         cfg, c = model.config, model.config.outputs
         if cfg.loss != "softmax" or len(wips) > 1 or wips[0].direction is not None or cfg.zero_sum == "penalty" or cfg.min_child_weight or cfg.l2_mode != "absolute" or cfg.hessian_scale != 1 or cfg.rows_per_layer is not None:
             raise ValueError("JvmRows: vector trees under the softmax loss, without child weights, quotas and scaled curvature")
-        if cfg.hessian not in ("diagonal", "identity", "pair") and not (cfg.hessian == "full" and c <= 3):
-            raise ValueError("JvmRows: diagonal, identity or pair Hessians, full ones up to three outputs")
-        tree, packed = wips[0].tree, cfg.hessian in ("full", "pair")
+        if cfg.hessian not in ("diagonal", "identity") and not (cfg.hessian == "full" and c <= 3):
+            raise ValueError("JvmRows: diagonal or identity Hessians, full ones up to three outputs")
+        tree, packed = wips[0].tree, cfg.hessian == "full"
         d, s = self._scored(model), [F.col(f"s{k}") for k in range(c)]
         if fresh:
             s = [a + b for a, b in zip(s, path_sums(tree, self.bins, c))]

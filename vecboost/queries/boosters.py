@@ -293,11 +293,6 @@ def jvm_full_tree_c3(spark, sf_dir):
     return told_by_columns(spark, sf_dir, presets.full(3, **TWO))
 
 
-@query(booster_sql(Sql(3, hessian="pair"), 2, 2, 0.3))
-def jvm_pair(spark, sf_dir):
-    return told_by_columns(spark, sf_dir, presets.aoso_like(3, **TWO))
-
-
 @query(booster_sql(Sql(3, scale=2.0), 3, 2, 0.3, direction=[(ONE[k], ONE[k]) for k in range(3)], snapshot=3, min_child=1.0))
 def boost_ovr_round(spark, sf_dir):
     return told(spark, sf_dir, presets.per_class(3, refresh="round", n_trees=3, depth=2, hessian_scale=2.0, min_child_weight=1.0))
