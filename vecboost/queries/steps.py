@@ -23,7 +23,6 @@ from . import query
 from .boosters import Y_SQL, Sql, base_sql, booster_sql
 
 BINS = ["b0", "b1", "b2", "b3"]
-PAIRS = [(0, 1), (0, 2), (1, 2)]
 
 
 def t3(spark, sf_dir):
