@@ -8,6 +8,9 @@ from __future__ import annotations
 
 import time
 
+import numpy as np
+from pyspark.sql import functions as F
+
 from ..config import BoostConfig
 from ..functions.significance import best_set, unpaired_t
 from ..operators import metrics
@@ -22,6 +25,8 @@ METHODS = ["ovr_default", "ovr_tuned", "per_class", "full", "diag", "diag_lbl"]
 SEARCH = ("folds", "draws", "seed", "grid", "expansions")
 #: Folds of the search where some class is too rare for five.
 FOLDS = {"hand10": 3}
+#: Features up to which equal binned rows are counted instead of kept one by one.
+NARROW = 64
 
 
 def train(method: str, base, cuts, classes: int, n_trees: int, **k) -> Model | None:
@@ -41,10 +46,16 @@ def train(method: str, base, cuts, classes: int, n_trees: int, **k) -> Model | N
 
 
 class Held:
-    """A workload's two sides, kept while an experiment runs: in tasks' memory if they are small, else as persisted rows."""
+    """A workload's two sides, kept while an experiment runs: in tasks' memory if they are small, else as persisted rows.
+
+    Rows with equal bins and label are one row with their number (copies): training, losses and moments are those of all rows,
+    and work grows with the rows that differ. keyed: rows are kept one by one with their keys, for folds and quotas.
+    """
 
-    def __init__(self, spark, sf_dir, name: str, bins: int = 32, swapped: bool = False, local: int = LOCAL):
+    def __init__(self, spark, sf_dir, name: str, bins: int = 32, swapped: bool = False, local: int = LOCAL, keyed: bool = False):
         a, b, self.cuts, self.classes = prepared(spark, sf_dir, name, bins)
+        if not keyed and len(self.cuts) <= NARROW:
+            a, b = (d.groupBy("bins", "y").agg(F.count("*").alias("copies")) for d in (a, b))
         a, b = (b.persist(), a.persist()) if swapped else (a.persist(), b.persist())
         sides = [local_rows(d, len(self.cuts), local) for d in (a, b)]
         self.spark, self.local, self.key = spark, all(s is not None for s in sides), None
@@ -67,13 +78,13 @@ class Held:
         cuts, classes = self.cuts, self.classes
         if not self.local:
             return [work(self.train, self.test, cuts, classes, j) for j in jobs]
-        told = self.spark.sparkContext.broadcast((self.train.x, self.train.y, self.test.x, self.test.y))
+        told = self.spark.sparkContext.broadcast([(d.x, d.y, d.copies) for d in (self.train, self.test)])
 
         def run(job):
             from .kernel import LocalRows
 
-            x, y, tx, ty = told.value
-            return work(LocalRows(x, y), LocalRows(tx, ty), cuts, classes, job)
+            sides = [LocalRows(x, y, copies=n) for x, y, n in told.value]
+            return work(*sides, cuts, classes, job)
 
         try:
             return run_all(self.spark, jobs, run)
@@ -108,7 +119,7 @@ def main_comparison(spark, sf_dir, names=("emb10",), methods=METHODS, sizes=(10,
     out = []
     search, fixed = {a: b for a, b in k.items() if a in SEARCH}, {a: b for a, b in k.items() if a not in SEARCH}
     for name in names:
-        with Held(spark, sf_dir, name, bins) as w:
+        with Held(spark, sf_dir, name, bins, keyed="ovr_tuned" in methods) as w:
             plain = [m for m in methods if m != "ovr_tuned"]
             found = dict(zip(plain, w.each([(m, tuple(sizes), fixed) for m in plain], at_sizes)))
             if "ovr_tuned" in methods:
@@ -139,7 +150,7 @@ def convergence(spark, sf_dir, name: str = "emb10", methods=("per_class", "full"
         def work(train_rows, test, cuts, classes, method):
             m = train(method, train_rows, cuts, classes, n_trees, **k)
             if hasattr(test, "x"):
-                hit, ent = metrics.curve_of(m, test.x, test.y)
+                hit, ent = metrics.curve_of(m, test.x, test.y, test.copies)
                 return [(i + 1, a / len(test), b / len(test)) for i, (a, b) in enumerate(zip(hit, ent))]
             return [(r.n_trees, r.accuracy, r.cross_entropy) for r in metrics.curve(test, m).orderBy("n_trees").collect()]  # a row a tree
 
@@ -211,7 +222,7 @@ def class_counts(spark, sf_dir, names=("role3", "cover7", "emb10", "letter26"),
                 if job == "diag":
                     return metrics.evaluate(test, m)["cross_entropy"]
                 if hasattr(test, "x"):
-                    return [v / len(test) for v in metrics.curve_of(m, test.x, test.y)[1]]
+                    return [v / len(test) for v in metrics.curve_of(m, test.x, test.y, test.copies)[1]]
                 return [r.cross_entropy for r in metrics.curve(test, m).orderBy("n_trees").collect()]  # a row a tree
 
             target, got = w.each(["diag", "per_class"], work)
@@ -223,7 +234,7 @@ def class_counts(spark, sf_dir, names=("role3", "cover7", "emb10", "letter26"),
 def quotas(spark, sf_dir, name: str = "cover7_oblique", n_trees: int = 3, small: int = 2000, **k):
     """Rows a layer: as many for each, twice as many for each deeper one, or all. Quotas are drawn from distributed rows."""
     rows = []
-    with Held(spark, sf_dir, name, local=0) as w:
+    with Held(spark, sf_dir, name, local=0, keyed=True) as w:
         depth = k.get("depth", 4)
         for label, q in (("constant", small), ("growing", tuple(small * 2**d for d in range(depth))), ("all", None)):
             m = fit(w.train, presets.diag_lbl(w.classes, n_trees=n_trees, rows_per_layer=q, **k), w.cuts)
@@ -260,7 +271,7 @@ def null_controls(spark, sf_dir, names=("null_label", "null_flag", "null_priorit
     for name in names:
         with Held(spark, sf_dir, name) as w:
             r = w.each([("diag", n_trees, k)], measured)[0]
-            y = w.test.y if w.local else [q.y for q in w.test.select("y").collect()]
-            most = max(list(y).count(c) for c in set(y)) / len(y)
-            rows.append((name, w.classes, r["accuracy"], most, r["accuracy"] <= most + 3 * (most * (1 - most) / len(y)) ** 0.5))
+            n = r["n_test"]
+            most = (int(np.bincount(w.test.y, w.test.copies).max()) if w.local else max(q.n for q in w.test.groupBy("y").agg(F.sum(metrics.copies_of(w.test)).alias("n")).collect())) / n  # a row a class
+            rows.append((name, w.classes, r["accuracy"], most, r["accuracy"] <= most + 3 * (most * (1 - most) / n) ** 0.5))
     return spark.createDataFrame(rows, "dataset string, classes int, accuracy double, largest_share double, near boolean")

@@ -23,16 +23,19 @@ LOCAL = 64 << 20
 
 
 def local_rows(base: DataFrame, width: int, most: int = LOCAL) -> tuple[LocalRows, np.ndarray] | None:
-    """The rows and their keys in key order, or None where they take more than `most` bytes."""
+    """The rows and their keys in key order, or None where they take more than `most` bytes. Rows with copies come in the order of
+    their bins; what stands for their keys is their copies."""
+    counted = "copies" in base.columns
     if base.count() * (width + 16) > most:
         return None
-    t = base.select("key", "bins", "y").toArrow().combine_chunks()
-    key = t.column("key").to_numpy()
+    t = base.select("copies" if counted else "key", "bins", "y").toArrow().combine_chunks()
+    key = t.column(0).to_numpy()
     x = byte_matrix(t.column("bins").chunk(0)) if t.num_rows else np.zeros((0, width), np.uint8)
     y = t.column("y")
     y = np.array(y.to_pylist(), float) if str(y.type).startswith("list") else y.to_numpy()
-    order = np.lexsort((*x.T[:8], key)) if len(key) else np.zeros(0, int)
-    return LocalRows(np.ascontiguousarray(x[order]), y[order]), key[order]
+    by = (*y.reshape(len(key), -1).T, *x.T) if counted else (*x.T[:8], key)
+    order = np.lexsort(by) if len(key) else np.zeros(0, int)
+    return LocalRows(np.ascontiguousarray(x[order]), y[order], copies=key[order] if counted else None), key[order]
 
 
 def run_all(spark, jobs: list, work: Callable[[object], object]) -> list:
