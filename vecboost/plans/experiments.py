@@ -17,8 +17,8 @@ from ..operators import metrics
 from . import baselines, presets, tuning
 from .boost import fit
 from .model import Model
-from .side_by_side import LOCAL, local_rows, run_all
-from .workloads import prepared
+from .side_by_side import LOCAL, local_rows, run_all, run_where
+from .workloads import WORKLOADS, grouped, prepared
 
 METHODS = ["ovr_default", "ovr_tuned", "per_class", "full", "diag", "diag_lbl"]
 #: What a search takes, not a model.
@@ -53,18 +53,39 @@ class Held:
     """
 
     def __init__(self, spark, sf_dir, name: str, bins: int = 32, swapped: bool = False, local: int = LOCAL, keyed: bool = False):
+        self.spark, self.key, self.rows, self.sides = spark, None, None, {}
+        if not keyed and WORKLOADS[name][2] <= NARROW:
+            rows, self.cuts, self.classes = grouped(spark, sf_dir, name, bins)
+            self.rows = (rows.withColumn("test", ~F.col("test")) if swapped else rows).persist()
+            self.held = [self.rows]
+            n = [0, 0, *(r["count"] for r in self.rows.groupBy("test").count().collect())][-2:]  # a row a side
+            self.local = max(n) * (len(self.cuts) + 16) <= local
+            self.empty = not min(n)
+            return
         a, b, self.cuts, self.classes = prepared(spark, sf_dir, name, bins)
-        if not keyed and len(self.cuts) <= NARROW:
-            a, b = (d.groupBy("bins", "y").agg(F.count("*").alias("copies")) for d in (a, b))
         a, b = (b.persist(), a.persist()) if swapped else (a.persist(), b.persist())
         sides = [local_rows(d, len(self.cuts), local) for d in (a, b)]
-        self.spark, self.local, self.key = spark, all(s is not None for s in sides), None
+        self.local = all(s is not None for s in sides)
         self.held = [a, b]
         if self.local:
-            (self.train, self.key), (self.test, _) = sides
+            (a, self.key), (b, _) = sides
             self.__exit__()
-        else:
-            self.train, self.test = a, b
+        self.sides = {False: a, True: b}
+
+    def side(self, test: bool):
+        """One side's rows; those that are counted come to the driver only where they are asked for here."""
+        if test not in self.sides:
+            d = self.rows.where(F.col("test") == test).drop("test")
+            self.sides[test] = local_rows(d, len(self.cuts))[0] if self.local else d
+        return self.sides[test]
+
+    @property
+    def train(self):
+        return self.side(False)
+
+    @property
+    def test(self):
+        return self.side(True)
 
     def __enter__(self):
         return self
@@ -78,6 +99,8 @@ class Held:
         cuts, classes = self.cuts, self.classes
         if not self.local:
             return [work(self.train, self.test, cuts, classes, j) for j in jobs]
+        if self.rows is not None and not self.empty:
+            return run_where(self.rows, len(cuts), jobs, lambda a, b, job: work(a, b, cuts, classes, job))
         told = self.spark.sparkContext.broadcast([(d.x, d.y, d.copies) for d in (self.train, self.test)])
 
         def run(job):
