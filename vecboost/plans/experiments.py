@@ -290,11 +290,16 @@ def preset_scores(spark, sf_dir, names=("emb10",), n_trees: int = 10, **k):
 
 def null_controls(spark, sf_dir, names=("null_label", "null_flag", "null_priority", "null_event", "source20"), n_trees: int = 10, **k):
     """Labels without signal: accuracy against the share of the largest class; near says that they lie within three deviations."""
+
+    def work(train_rows, test, cuts, classes, job):
+        r = measured(train_rows, test, cuts, classes, job)
+        most = np.bincount(test.y, test.copies).max() if hasattr(test, "x") else max(q.n for q in test.groupBy("y").agg(F.sum(metrics.copies_of(test)).alias("n")).collect())  # a row a class
+        return {**r, "most": int(most)}
+
     rows = []
     for name in names:
         with Held(spark, sf_dir, name) as w:
-            r = w.each([("diag", n_trees, k)], measured)[0]
-            n = r["n_test"]
-            most = (int(np.bincount(w.test.y, w.test.copies).max()) if w.local else max(q.n for q in w.test.groupBy("y").agg(F.sum(metrics.copies_of(w.test)).alias("n")).collect())) / n  # a row a class
+            r = w.each([("diag", n_trees, k)], work)[0]
+            n, most = r["n_test"], r["most"] / r["n_test"]
             rows.append((name, w.classes, r["accuracy"], most, r["accuracy"] <= most + 3 * (most * (1 - most) / n) ** 0.5))
     return spark.createDataFrame(rows, "dataset string, classes int, accuracy double, largest_share double, near boolean")
