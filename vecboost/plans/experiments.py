@@ -15,7 +15,7 @@ from ..config import BoostConfig
 from ..functions.significance import best_set, unpaired_t
 from ..operators import metrics
 from . import baselines, presets, tuning
-from .boost import fit
+from .boost import fit, flat, tidy
 from .model import Model
 from .side_by_side import LOCAL, local_rows, run_all, run_where
 from .workloads import WORKLOADS, grouped, prepared
@@ -56,8 +56,9 @@ class Held:
         self.spark, self.key, self.rows, self.sides = spark, None, None, {}
         if not keyed and WORKLOADS[name][2] <= NARROW:
             rows, self.cuts, self.classes = grouped(spark, sf_dir, name, bins)
-            self.rows = (rows.withColumn("test", ~F.col("test")) if swapped else rows).persist()
-            self.held = [self.rows]
+            self.held = [(rows.withColumn("test", ~F.col("test")) if swapped else rows).persist()]
+            self.rows = flat(self.held[0])
+            tidy(spark)
             n = [0, 0, *(r["count"] for r in self.rows.groupBy("test").count().collect())][-2:]  # a row a side
             self.local = max(n) * (len(self.cuts) + 16) <= local
             self.empty = not min(n)
@@ -93,6 +94,7 @@ class Held:
     def __exit__(self, *_):
         for d in self.held:
             d.unpersist()
+        tidy(self.spark)
 
     def each(self, jobs: list, work) -> list:
         """work(train, test, cuts, classes, job) for each job: side by side, or one after another."""
